@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from meshspan.llm import context_tree, simhash
+from meshspan.llm import context_tree, mixing, packing, simhash
 from meshspan.llm.common import table
 
 
@@ -14,6 +14,17 @@ def op1_context_tree_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return context_tree.score_documents(table(spark, sf_dir, "documents"))
 
 
+def op3_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    mix = mixing.mixed(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
+    return mix.select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op7_packed_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return packing.packed(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+
+
 def op8_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicate_groups(table(spark, sf_dir, "documents"))
 
