@@ -12,11 +12,13 @@ task; ids are unique across tasks because they start with the task's number.
 
 from __future__ import annotations
 
+import array
 import bisect
 import zlib
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -24,8 +26,23 @@ from pyspark.sql import functions as F
 LONG = 4096
 TIERS = (512, 1024, 2048, LONG)
 END_ID = 2
-_CACHE = 400_000  # words whose ids are remembered per worker
-_WORDS: dict[str, dict[str, list[int]]] = {}
+_END = np.array([END_ID], "<u2").tobytes()
+_REMEMBERED = 1_000_000  # words, and runs, whose ids a worker remembers
+_KNOWN: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
+_PLAIN = regex.compile(r"[\x21-\x7E\u00C0-\u012F\u0131-\u024F]+")
+# Fixed value: the runs on which the tokenizer file's pre-tokenizer works.
+_RUNS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
+
+
+def _byte_signs() -> dict[int, int]:
+    """The characters by which byte-level tokenizers write the 256 bytes: printable Latin-1 stands
+    for itself, the other bytes take U+0100 onwards in order."""
+    printable = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    other = [b for b in range(256) if b not in printable]
+    return {b: 0x100 + i for i, b in enumerate(other)}
+
+
+_BYTE_SIGNS = _byte_signs()
 
 PIECE = pa.schema(
     [("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64())]
@@ -35,38 +52,58 @@ PIECE_DDL = "doc_id long, start long, length long, ids_crc32 long, doc_tokens lo
 
 
 class WordTokenizer:
-    """Ids of whole texts by a public tokenizer file whose pieces never cross white space.
+    """Ids of whole texts by a public byte-level BPE tokenizer file whose pieces never cross white space.
 
-    Texts are cut at spaces and line ends and each distinct word is encoded once per worker; that
-    equals encoding the whole text, because the tokenizer drops white space and its pre-tokenizer
-    splits there. Strings of special tokens are ordinary text.
+    Texts are cut at ASCII white space, and each distinct word, then each distinct run of letters or
+    symbols in it, is merged once while a worker remembers it; that equals encoding the whole text,
+    because the tokenizer lower-cases, drops white space and merges such runs one by one. Words with
+    characters outside ASCII and extended Latin go to the library whole. Strings of special tokens
+    are ordinary text. What a worker remembers is bounded.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        self.model = Tokenizer.from_file(path)
-        self.model.encode_special_tokens = True
-        self.known = _WORDS.setdefault(path, {})
+        self.library = Tokenizer.from_file(path)
+        self.library.encode_special_tokens = True
+        self.model = self.library.model
+        if self.library.get_vocab_size() >= 1 << 16:
+            raise ValueError("ids must fit 16 bits")
+        self.words, self.runs = _KNOWN.setdefault(path, ({}, {}))
+
+    def _run(self, run: bytes) -> bytes:
+        known = self.runs.get(run)
+        if known is None:
+            tokens = self.model.tokenize(run.decode("latin-1").translate(_BYTE_SIGNS))
+            known = self.runs[run] = array.array("H", [t.id for t in tokens]).tobytes()
+        return known
+
+    def _word(self, word: bytes) -> bytes:
+        if word.isalpha():
+            return self._run(word.lower())
+        if word[:-1].isalpha() and word[-1] < 128:
+            if not word[-1:].isdigit():
+                return self._run(word[:-1].lower()) + self._run(word[-1:])
+        text = word.decode("utf-8")
+        if not _PLAIN.fullmatch(text):
+            ids = self.library.encode(text, add_special_tokens=False).ids
+            return array.array("H", ids).tobytes()
+        text = text.lower()
+        if text.isalpha():
+            return self._run(text.encode())
+        return b"".join([self._run(r.encode()) for r in _RUNS.findall(text)])
 
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
-        split = [t.split() for t in texts]
-        fresh = list({w for words in split for w in words if w not in self.known})
-        if len(self.known) + len(fresh) > _CACHE:
-            self.known.clear()
-            fresh = list({w for words in split for w in words})
-        for at in range(0, len(fresh), 20_000):
-            part = fresh[at : at + 20_000]
-            for w, e in zip(part, self.model.encode_batch(part, add_special_tokens=False), strict=True):
-                self.known[w] = e.ids
-        out = []
-        for words in split:
-            ids: list[int] = []
-            for w in words:
-                ids += self.known[w]
-            ids.append(END_ID)
-            out.append(np.array(ids, "<u4"))
-        return out
+        split = [t.encode("utf-8").split() for t in texts]
+        words = self.words
+        if len(words) > _REMEMBERED:
+            words.clear()
+        if len(self.runs) > _REMEMBERED:
+            self.runs.clear()
+        for w in set().union(*split).difference(words):
+            words[w] = self._word(w)
+        get = words.__getitem__
+        return [np.frombuffer(b"".join(map(get, own)) + _END, "<u2").astype("<u4") for own in split]
 
 
 class Packer:
@@ -189,9 +226,9 @@ def packed(docs: DataFrame, tokenizer_path: str, tiers: tuple[int, ...] = TIERS)
         packer, encode = Packer(TaskContext.get().partitionId() << 33, tiers), WordTokenizer(tokenizer_path)
         for batch in batches:
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
-            for at in range(0, len(ids), 256):
-                part = [texts[i].as_py() or "" for i in range(at, min(at + 256, len(ids)))]
-                for doc, tokens in zip(ids[at : at + 256], encode(part), strict=True):
+            for at in range(0, len(ids), 512):
+                part = [texts[i].as_py() or "" for i in range(at, min(at + 512, len(ids)))]
+                for doc, tokens in zip(ids[at : at + 512], encode(part), strict=True):
                     packer.add(doc, tokens)
                 if len(packer.rows["doc_id"]) > 20_000:
                     yield packer.taken()
