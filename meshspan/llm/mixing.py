@@ -110,12 +110,14 @@ def mixed(
 
 def repeated_texts(mix: DataFrame) -> DataFrame:
     """The mix as rows: each document once per whole epoch, then its first words if it ends a budget.
-    Columns of ``mix`` without size, source_size, target and taken; documents of no words are left out."""
+    Columns of ``mix`` without size, source_size, target and taken, n_chars of cut texts their new length;
+    documents of no words are left out."""
     columns = [c for c in mix.columns if c not in ("size", "source_size", "target", "taken")]
+    length = F.when(F.col("_copy") == F.col("text"), F.col("n_chars")).otherwise(F.length("_copy").cast(mix.schema["n_chars"].dataType)) if "n_chars" in columns else None
     whole = F.floor(F.col("taken") / F.col("size")).cast("int")
     rest = (F.col("taken") - whole * F.col("size")).cast("int")
-    head = F.regexp_extract(F.col("text"), F.concat(F.lit(r"^[\x20\x09-\x0D]*(?:" + WORD_PATTERN + r"[\x20\x09-\x0D]*){"), rest, F.lit("}")), 0)
+    words = F.regexp_extract_all(F.col("text"), F.lit(r"[\x20\x09-\x0D]*" + WORD_PATTERN), F.lit(0))
+    head = F.array_join(F.slice(words, F.lit(1), rest), "")
     parts = F.concat(F.array_repeat(F.col("text"), whole), F.when(rest > 0, F.array(head)).otherwise(F.array().cast("array<string>")))
-    return mix.where("taken > 0").withColumn("_copy", F.explode(parts)).select(
-        *[F.col("_copy").alias("text") if c == "text" else F.col(c) for c in columns]
-    )
+    changed = {"text": F.col("_copy").alias("text")} | ({"n_chars": length.alias("n_chars")} if length is not None else {})
+    return mix.where("taken > 0").withColumn("_copy", F.explode(parts)).select(*[changed.get(c, F.col(c)) for c in columns])
