@@ -21,6 +21,7 @@ documents. Nothing that grows with the corpus is broadcast: only nodes of depth
 from __future__ import annotations
 
 import struct
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -60,11 +61,21 @@ def log_block(n0: np.ndarray, n1: np.ndarray) -> np.ndarray:
 def n_grams(stream: np.ndarray, depth: int) -> np.ndarray:
     """Keys of all positions of ``stream`` from index ``depth`` on: the latest context byte in the
     highest place, the oldest below it, the byte itself in the lowest place."""
-    length = len(stream) - depth
-    key = np.zeros(length, np.uint64)
-    for back in range(1, depth + 1):
-        key = (key << np.uint64(8)) | stream[depth - back : depth - back + length]
-    return (key << np.uint64(8)) | stream[depth:]
+    byte = stream.astype(np.uint64)
+    runs = {1: byte}  # runs[m][i]: m bytes ending at i + m - 1, the last one highest
+    for m in (2, 4):
+        half = runs[m // 2]
+        runs[m] = (half[m // 2 :] << np.uint64(4 * m)) | half[: -(m // 2) or None]
+    left, size = depth, 0
+    context = None
+    for m in (4, 2, 1):
+        while left >= m:
+            # the newest bytes first: this run ends `size` bytes before the context's end
+            part = runs[m][depth - size - m : len(stream) - size - m]
+            context = part if context is None else (context << np.uint64(8 * m)) | part
+            size += m
+            left -= m
+    return byte[depth:] if context is None else (context << np.uint64(8)) | byte[depth:]
 
 
 def counted(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -298,14 +309,11 @@ def _listed(depth: int, shards: int):
         keys, counts = np.concatenate((keys, more)), np.concatenate((counts, np.zeros(len(more), np.int64)))
         order = np.argsort(keys)
         keys, counts = keys[order], counts[order]
-        words: dict[bytes, int] = {}
+        words = Counter()
         for stream in train:
-            for w in stream.split():
-                words[w] = words.get(w, 0) + 1
+            words.update(stream.split())
         for stream in other:
-            for w in stream.split():
-                if w not in words:
-                    words[w] = 0
+            words.update(dict.fromkeys(set(stream.split()).difference(words), 0))
         split: list[list[bytes]] = [[] for _ in range(shards)]
         for w in words:
             split[crc32(w) % shards].append(w)
@@ -400,14 +408,16 @@ def _scored(depth: int, n_ends: int, n_words: int, n_distinct: int):
         for body, n in zip(right.column("words").to_pylist(), right.column("word_counts").to_pylist(), strict=True):
             known.update(zip(zstandard.decompress(body).split(), _unints(n).tolist(), strict=True))
         cost = dict(zip(known, (np.log10(np.fromiter(known.values(), float, len(known)) + 0.1) - scale).tolist(), strict=True))
+        unseen = float(np.log10(np.array([0.1]))[0] - scale)  # the cost of a count of zero and of no other
         out = {n: [] for n in _SCORE_TYPES.names}
         for ids, flags, body in zip(left.column("ids").to_pylist(), left.column("held").to_pylist(), left.column("body").to_pylist(), strict=True):
             for doc, flag, stream in zip(ids, flags, _unpacked(body), strict=True):
                 own = stream.split()
                 seen, times = counted(next(_block_keys([stream], depth)))
                 score = float(times @ logs[np.searchsorted(keys, seen)])
-                n_known = len(own) - list(map(known.__getitem__, own)).count(0) + (n_ends > 0)
-                base = sum(map(cost.__getitem__, own)) + end_cost
+                costs = list(map(cost.__getitem__, own))
+                n_known = len(own) - costs.count(unseen) + (n_ends > 0)
+                base = sum(costs) + end_cost
                 bits = -score / float(np.log10(2)) / len(stream)
                 values = (doc, flag, len(own) + 1, n_known, n_train, base, score, len(stream), bits)
                 for n, v in zip(out, values, strict=True):

@@ -14,6 +14,7 @@ from __future__ import annotations
 import dataclasses
 import operator
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -52,31 +53,36 @@ def words_of(text: str | None) -> list[bytes]:
     return words + [SAME] * sum(map(operator.eq, words, words[1:]))
 
 
-def features(word: bytes, settings: Settings) -> list[int]:
-    """Buckets of a word: itself, and its character n-grams between word marks. Case is kept."""
-    out = [zlib.crc32(word) % settings.buckets]
-    marked = f"<{word.decode('utf-8', 'replace')}>"
+def features(words: list[bytes], settings: Settings) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of each word's features, and the word that each belongs to: the word itself, and the
+    character n-grams of the word between word marks. Case is kept."""
+    marked = [f"<{w.decode('utf-8', 'replace')}>" for w in words]
+    signs = np.frombuffer("".join(marked).encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
+    sizes = np.fromiter(map(len, marked), np.int64, len(words))
+    owner = np.repeat(np.arange(len(words)), sizes)
+    left = np.repeat(np.cumsum(sizes), sizes) - np.arange(len(signs))
+    whole = np.fromiter(map(zlib.crc32, words), np.uint64, len(words)) % np.uint64(settings.buckets)
+    ids, owners = [whole], [np.arange(len(words))]
     for n in range(settings.low, settings.high + 1):
-        for i in range(len(marked) - n + 1):
-            out.append(zlib.crc32(marked[i : i + n].encode("utf-8", "replace"), n) % settings.buckets)
-    return out
+        at = np.flatnonzero(left >= n)
+        mixed = np.full(len(at), n, np.uint64)
+        for step in range(n):
+            mixed = (mixed ^ signs[at + step]) * np.uint64(0x9E3779B97F4A7C15)
+            mixed ^= mixed >> np.uint64(29)
+        ids.append(mixed % np.uint64(settings.buckets))
+        owners.append(owner[at])
+    return np.concatenate(ids).astype(np.int64), np.concatenate(owners)
 
 
 def bag(text: str | None, settings: Settings) -> tuple[np.ndarray, np.ndarray]:
     """Distinct features of a text and their weights, which sum to 1 (none for wordless texts)."""
-    counts: dict[bytes, int] = {}
-    for w in words_of(text):
-        counts[w] = counts.get(w, 0) + 1
+    counts = Counter(words_of(text))
     if not counts:
         return np.zeros(0, np.int64), np.zeros(0, np.float32)
-    total = sum(counts.values())
-    ids, weights = [], []
-    for w, c in counts.items():
-        own = features(w, settings)
-        ids += own
-        weights += [c / (total * len(own))] * len(own)
-    ids, where = np.unique(np.array(ids), return_inverse=True)
-    return ids, np.bincount(where, weights=np.array(weights)).astype(np.float32)
+    ids, owner = features(list(counts), settings)
+    share = np.fromiter(counts.values(), float, len(counts)) / (counts.total() * np.bincount(owner))
+    ids, where = np.unique(ids, return_inverse=True)
+    return ids, np.bincount(where, weights=share[owner]).astype(np.float32)
 
 
 def train(bags: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, settings: Settings) -> tuple[np.ndarray, float]:
@@ -118,8 +124,24 @@ class Model:
     bias: float
     settings: Settings
 
-    def word_score(self, word: bytes) -> float:
-        return float(np.mean(self.scores[features(word, self.settings)]))
+    def text_scores(self, texts: list[str | None], known: dict[bytes, float]) -> list[float]:
+        """Probability of label 1 of each text. ``known``: remembered scores of words."""
+        split = [words_of(t) for t in texts]
+        if len(known) > _REMEMBERED:
+            known.clear()
+        fresh = list(set().union(*split).difference(known))
+        if fresh:
+            ids, owner = features(fresh, self.settings)
+            known.update(zip(fresh, (np.bincount(owner, weights=self.scores[ids]) / np.bincount(owner)).tolist(), strict=True))
+        get = known.__getitem__
+        means = np.array([sum(map(get, words)) / len(words) if words else 0.0 for words in split])
+        return (1 / (1 + np.exp(-np.clip(means + self.bias, -50, 50)))).tolist()
+
+    def batch_scores(self, texts: pa.Array, known: dict[bytes, float], step: int = 512) -> list[float]:
+        out: list[float] = []
+        for at in range(0, len(texts), step):
+            out += self.text_scores([texts[i].as_py() for i in range(at, min(at + step, len(texts)))], known)
+        return out
 
 
 def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) -> Model:
@@ -163,15 +185,7 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
     def run(batches):
         own, known = shared.value, {}
         for batch in batches:
-            texts, scores = batch.column("text"), []
-            for i in range(batch.num_rows):
-                words = words_of(texts[i].as_py())
-                for w in set(words).difference(known):
-                    known[w] = own.word_score(w)
-                mean = sum(map(known.__getitem__, words)) / len(words) if words else 0.0
-                scores.append(float(1 / (1 + np.exp(-np.clip(mean + own.bias, -50, 50)))))
-                if len(known) > _REMEMBERED:
-                    known.clear()
+            scores = own.batch_scores(batch.column("text"), known)
             yield pa.RecordBatch.from_arrays(
                 [batch.column("doc_id"), batch.column("held_out"), pa.array(scores, pa.float64()), pa.array([int(s >= 0.5) for s in scores], pa.int32())], schema=types
             )
@@ -186,15 +200,7 @@ def kept(docs: DataFrame, labels: DataFrame, least: float = 0.5, settings: Setti
     def run(batches):
         own, known = shared.value, {}
         for batch in batches:
-            texts, good = batch.column("text"), []
-            for i in range(batch.num_rows):
-                words = words_of(texts[i].as_py())
-                for w in set(words).difference(known):
-                    known[w] = own.word_score(w)
-                mean = sum(map(known.__getitem__, words)) / len(words) if words else 0.0
-                good.append(1 / (1 + np.exp(-np.clip(mean + own.bias, -50, 50))) >= least)
-                if len(known) > _REMEMBERED:
-                    known.clear()
+            good = [score >= least for score in own.batch_scores(batch.column("text"), known)]
             yield batch.filter(pa.array(good, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
