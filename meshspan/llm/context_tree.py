@@ -313,7 +313,7 @@ def _listed(depth: int, shards: int):
         for stream in train:
             words.update(stream.split())
         for stream in other:
-            words.update(dict.fromkeys(set(stream.split()).difference(words), 0))
+            words.update({w: 0 for w in set(stream.split()) if w not in words})
         split: list[list[bytes]] = [[] for _ in range(shards)]
         for w in words:
             split[crc32(w) % shards].append(w)
