@@ -1,0 +1 @@
+"""Leading-subspace estimation over coordinator-free networks, on Spark DataFrames."""
