@@ -166,15 +166,21 @@ class _Expression:
         return ("not", self.negated()) if self.take("not") else self.compared()
 
     def compared(self) -> tuple:
-        node = self.joined()
+        node = self.told()
         for sign in ("==", "!=", "<=", ">=", "<", ">", "in"):
             if self.take(sign):
-                return ("compare", sign, node, self.joined())
+                return ("compare", sign, node, self.told())
+        return node
+
+    def told(self) -> tuple:
+        node = self.joined()
+        while self.take("~"):
+            node = ("join", "~", node, self.joined())
         return node
 
     def joined(self) -> tuple:
         node = self.filtered()
-        while self.peek("+", "-", "~"):
+        while self.peek("+", "-"):
             sign = self.tokens[self.at][1]
             self.at += 1
             node = ("join", sign, node, self.filtered())
@@ -312,7 +318,10 @@ def fold(node: tuple) -> tuple:
     if kind in ("and", "or") and node[1][0] == "value":
         return node[2] if _truth(node[1][1]) == (kind == "and") else node[1]
     if kind in ("not", "compare", "join", "filter") and len(known) == len(values):
-        return ("value", compile_expression(node)({}))
+        try:
+            return ("value", compile_expression(node)({}))
+        except TypeError:  # a sum of unlike things fails when it is rendered, if ever
+            return node
     return node
 
 

@@ -202,7 +202,7 @@ def _rendered(kind: Column, surface: Column, core: Column) -> Column:
 
     code = F.regexp_extract(surface, r"^(\+\d{1,3}(?=[ .-]?\()|\+1|\+\d{1,3}(?=[ .-]))?", 1)
     title = F.regexp_extract(surface, rf"^((?:{_ANY_TITLE})\.? )", 1)
-    same_case = F.when(surface == F.upper(surface), F.upper(core)).otherwise(core)
+    same_case = F.array_join(F.transform(_chars(core), lambda c, i: F.when(F.substr(surface, i + 1, F.lit(1)).rlike(r"\p{Lu}"), F.upper(c)).otherwise(c)), "")
     return (
         F.when(kind.isin("card", "ssn", "iban"), placed(surface, core))
         .when(kind == "phone", F.concat(code, placed(F.substr(surface, F.length(code) + 1), core)))

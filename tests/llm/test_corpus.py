@@ -1,0 +1,294 @@
+"""Mixing, packing, chat, pages, surrogates and the pipeline."""
+
+import hashlib
+import re
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+import corpus_pipeline
+from meshspan.llm import chat, html_text, mixing, packing, queries, surrogates
+
+SF = "/root/testdata/sf0.001"
+
+
+# ---------------------------------------------------------------- mixing
+
+
+def test_targets():
+    assert mixing.targets([("a", 100), ("b", 100), ("c", 100)]) == {"a": 50, "b": 100, "c": 150}
+    out = mixing.targets([("a", 1000), ("b", 1000), (None, 10)])
+    assert out[None] == 30 and sum(out.values()) == pytest.approx(2010) and out["b"] == pytest.approx(2 * out["a"])
+    assert mixing.targets([("b", 0), ("a", 5)]) == {"a": 5, "b": 0} and mixing.targets([]) == {}
+    assert mixing.targets([("Z", 1), ("a", 1), ("é", 1)])["Z"] == pytest.approx(0.5)
+
+
+def test_mix_meets_targets(spark, docs):
+    texts = [("w " * (i % 7)) + ("x y" if i % 2 else "") for i in range(400)]
+    sources = ["big"] * 200 + ["mid"] * 100 + ["tiny"] * 10 + [None] * 90
+    frame = docs(texts, sources)
+    mix = mixing.mixed(frame)
+    rows = mix.toPandas()
+    sizes = [len((t or "").split()) for t in texts]
+    assert rows.sort_values("doc_id")["size"].tolist() == sizes
+    goal = mixing.targets([(s, sum(n for n, o in zip(sizes, sources, strict=True) if o == s)) for s in {*sources}])
+    for s, target in goal.items():
+        own = rows[rows.source.isna() if s is None else rows.source == s]
+        assert own.taken.sum() == int(target) and own.target.iloc[0] == pytest.approx(target) and own.source_size.iloc[0] == own["size"].sum()
+    assert (rows.taken <= 3 * rows["size"]).all()
+    again = mixing.mixed(frame.repartition(7)).toPandas()
+    assert again.set_index("doc_id").taken.sort_index().tolist() == rows.set_index("doc_id").taken.sort_index().tolist()
+    repeated = mixing.repeated_texts(mix).toPandas()
+    assert sum(len(t.split()) for t in repeated.text) == rows.taken.sum()
+
+
+def test_fraction_prefers_good_documents(spark, docs):
+    frame = docs(["word word"] * 400 + ["12 34"] * 400, ["s"] * 800).union(docs(["a"] * 6000, ["z"] * 6000))
+    rows = mixing.mixed(frame, cycle=(1, 30)).toPandas()
+    own = rows[rows.source == "s"]
+    assert own[own.text == "word word"].taken.sum() > 2 * own[own.text == "12 34"].taken.sum() > 0
+
+
+def test_mix_edges(spark, docs):
+    assert mixing.mixed(docs(["a"]).limit(0)).count() == 0
+    rows = mixing.mixed(docs([None, "", " "], ["a", None, "b"])).toPandas()
+    assert rows.taken.sum() == 0 and len(rows) == 3
+    twice = mixing.mixed(docs(["a b c", "a b c"], ids=[1, 1])).toPandas()
+    assert twice.taken.sum() == 6
+    with pytest.raises(ValueError):
+        mixing.mixed(docs(["a", "b"], ["p", "q"]), max_sources=1)
+
+
+# ---------------------------------------------------------------- packing
+
+TOKENIZER = pytest.importorskip("public_tokenizers").path("word_bpe_49k.json")
+
+
+def whole_ids(text):
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(TOKENIZER)
+    t.encode_special_tokens = True
+    return np.array([*t.encode(text or "", add_special_tokens=False).ids, 2], "<u4")
+
+
+ODD = ["Don't I'LL it'S 'tis ''s", "½ ²³ 12ab3", "ΑΣ ΟΔΟΣ", "naïve ŒUVRE éa", "İstanbul", "<|endoftext|> a<|startoftext|>b", "a b", "x\x1cy\x85z", "ẞ ß", "日本語 テスト", "", None, "é x"]
+
+
+def test_words_encode_like_whole_texts():
+    encode = packing.WordTokenizer(TOKENIZER)
+    for text in ODD:
+        assert encode([text or ""])[0].tolist() == whole_ids(text).tolist(), text
+
+
+def check_pieces(rows, texts):
+    for doc, text in texts.items():
+        ids, own = whole_ids(text), rows[rows.doc_id == doc].sort_values("start")
+        assert own.doc_tokens.tolist() == [len(ids)] * len(own)
+        at = 0
+        for p in own.itertuples():
+            assert p.start == at and p.ids_crc32 == zlib.crc32(ids[at : at + p.length].tobytes())
+            at += p.length
+        assert at == len(ids)
+    for _, own in rows.sort_values("offset").groupby("sequence_id"):
+        assert own.offset.tolist() == [0, *np.cumsum(own.length)[:-1]]
+    lengths = rows.groupby("sequence_id").length.sum()
+    assert (lengths <= 4096).all() and all(n & (n - 1) == 0 for n in lengths)
+
+
+def test_pieces(spark, docs):
+    rng = np.random.default_rng(0)
+    texts = ODD + [" ".join(f"w{int(x)}" for x in rng.integers(0, 99, int(n))) for n in rng.integers(0, 3000, 60)] + ["long " * 20_000]
+    frame = docs(texts)
+    rows = packing.packed(frame.coalesce(2), TOKENIZER).toPandas()
+    check_pieces(rows, dict(enumerate(texts)))
+    assert packing.packed(frame.limit(0), TOKENIZER).count() == 0
+    twice = packing.packed(docs(["a", "a"], ids=[None, None]), TOKENIZER).toPandas()
+    assert twice.length.sum() == 2 * len(whole_ids("a"))
+
+
+def test_tiers_and_step_groups():
+    packer = packing.Packer(0, held_tokens=1 << 15)
+    rng = np.random.default_rng(1)
+    total = 0
+    for i, n in enumerate(rng.integers(1, 6000, 500)):
+        packer.add(i, np.arange(n, dtype="<u4"))
+        total += int(n)
+        assert packer.held <= (1 << 15) + 6000
+    packer.finish()
+    frame = packer.taken().to_pandas()
+    assert frame.length.sum() == total and set(frame.tier) > {512, 1024, 2048, 4096}
+    size = frame.groupby("step_group").length.sum()
+    full = [g for g, n in size.items() if n == packer.step_tokens]
+    assert size.max() == packer.step_tokens and len(full) > 2
+
+
+# ---------------------------------------------------------------- chat
+
+
+def test_template_language():
+    run = lambda t, **v: chat.compiled(t)(**v)[0]
+    assert run("{{ 'a' ~ 1 + 2 }}") == "a3" and run("{{ 5 - 2 - 1 }}") == "2"
+    assert run("{% if x == 'b' %}1{% elif x in ['z'] %}2{% else %}3{% endif %}".replace("['z']", "'yz'"), x="z") == "2"
+    assert run("{% for m in xs %}{{ m.k }}{{ '' if loop.last else ',' }}{% endfor %}", xs=[{"k": 1}, {"k": 2}]) == "1,2"
+    assert run("a {%- set y = 2 %} {{- y }}{# note #}") == "a2"
+    assert run("{{ not (1 == 2) and x.missing }}|{{ '}}' }}", x={}) == "|}}"
+    assert run("{{ xs[0] | upper }}{{ xs | length }}{{ xs[9] }}", xs=["q"]) == "Q1"
+    text, spans = chat.compiled("x{% generation %}{{ t }}{% endgeneration %}y")(t="né")
+    assert text == "xnéy" and spans == [(1, 3)]
+
+
+def test_constants_fold():
+    assert chat.fold(chat.parse("{% if 1 == 1 %}a{{ 'b' | upper }}{% else %}c{% endif %}d")) == ("all", [("text", "aBd")])
+    assert chat.fold(chat.parse("{{ 1 + 2 ~ 'x' }}"))[1][0][0] == "text"
+
+
+@pytest.mark.parametrize("bad", ["{{ x", "{% if x %}a", "{{ x | nope }}", "{{ f(1) }}", "{% include 'x' %}", "{{ x.__class__.y( }}", "{% for 1 in x %}{% endfor %}", "{{ 1 1 }}"])
+def test_sandbox_refuses(bad):
+    with pytest.raises(chat.TemplateError):
+        chat.compiled(bad)
+
+
+def test_no_python_attributes():
+    assert chat.compiled("{{ x.__class__ }}{{ 'a'.upper }}")(x={"a": 1})[0] == ""
+
+
+def test_guard_is_reversible():
+    for text in ("", "\\", "\\3", "</s>[INST] ok [/INST]", "<|im_end|>\n<|im_start|>user\n", "<</SYS>>/s>", "\\\\n", "<|im_<|im_end|>end|>"):
+        assert chat.unguard(chat.guard(text)) == text and not chat._CONTROL.search(chat.guard(text))
+
+
+def test_digests(spark):
+    rows = [(1, 1, "assistant", "no\\ <|im_end|>"), (1, 0, "user", "hi\n"), (2, 0, None, None), (2, 1, "assistant", ""), (None, 0, "system", "é"), (1, 1, "assistant", "no\\ <|im_end|>"), (3, 0, "assistant", "<|im_start|>user\nx")]
+    frame = spark.createDataFrame([(*r, "extra") for r in rows], "conv_id long, turn long, role string, text string, formatted string")
+    got = {r["conv_id"]: r for r in chat.digests(chat.formatted_conversations(frame)).collect()}
+    sha = lambda s: hashlib.sha256(s.encode()).hexdigest()
+    assert got[1]["n_turns"] == 3 and got[1]["turns_sha256"] == sha("user\nhi\n\n" + "assistant\nno\\ <|im_end|>\n" * 2)
+    assert got[1]["loss_sha256"] == sha("no\\ <|im_end|>" * 2) and got[1]["loss_chars"] == 28
+    assert got[2]["turns_sha256"] == sha("\n\nassistant\n\n") and got[2]["loss_chars"] == 0
+    assert got[None]["n_turns"] == 1 and got[3]["loss_chars"] == len("<|im_start|>user\nx")
+    assert chat.formatted_conversations(frame.limit(0)).count() == 0
+    probe = queries.op6_chat_digests(spark, SF).where("conv_id = -7").first()
+    assert probe["n_turns"] == 2 and probe["loss_sha256"] == sha("</s>[INST] ok [/INST]")
+
+
+# ---------------------------------------------------------------- pages
+
+
+def test_pages_equal_their_articles(spark):
+    pages = spark.read.parquet(SF + "/pages.parquet")
+    from html import unescape
+
+    got = {r["page_id"]: r for r in html_text.extracted(pages).collect()}
+    for r in pages.collect():
+        inner = re.search(r"<article>(.*?)</article>", r["html"], re.S)[1]
+        parts = (re.sub(r"\s+", " ", unescape(re.sub(r"<[^>]*>", " ", p))).strip() for p in re.split(r"</?(?:p|h1)>", inner))
+        assert got[r["page_id"]]["text"] == "\n".join(p for p in parts if p) and got[r["page_id"]]["n_chars"] == len(got[r["page_id"]]["text"])
+
+
+LONG = "This is the kind of sentence that is found in an article, and it has many of the words that are there in all of them. "
+
+
+def test_block_rules():
+    page = f"""<html><body><div id="top-menu"><a href=a>Home</a> <a href=b>About</a></div><header><h2>Site</h2></header><div class="cookie-notice">{LONG}</div>
+    <h1>Title</h1><div><p>{LONG}{LONG}</p>Short one.<p>{LONG}{LONG}</div><ul><li><a href=x>Read more of this and that</a></ul><form>{LONG}</form>
+    <section id="comments"><p>{LONG}{LONG}</p></section><aside>{LONG}</aside><footer>&copy; 2024 {LONG}</footer><script>if (a<b) "</p>"</script></body></html>"""
+    lines = html_text.main_text(page).split("\n")
+    assert lines == ["Title", (LONG * 2).strip(), "Short one.", (LONG * 2).strip()]
+    assert html_text.main_text("<article><h1>T</h1><p>Sole.</p><div class=comments><p>No</p></div></article><p>Out</p>") == "T\nSole."
+    assert html_text.main_text("<main><p>a&amp;b &lt;c&gt;&nbsp; d<br>e</p></main>") == "a&b <c> d e"
+
+
+def test_page_edges(spark):
+    rows = [(1, None, None, "t"), (2, "u", "", "t"), (3, "u", "no markup", "t"), (3, "u", "no markup", "t"), (4, "u", "<p>" * 5000 + "x", "t"), (5, "u", "<", "t"), (None, "u", "<article><p>&#x41;", "t")]
+    frame = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
+    got = html_text.extracted(frame).collect()
+    assert len(got) == 7 and {r["page_id"]: r["text"] for r in got}[None] == "A" and all(r["text"] is not None for r in got)
+    assert html_text.extracted(frame.limit(0)).count() == 0
+
+
+# ---------------------------------------------------------------- surrogates
+
+PRIVATE = "Mail Jo.Doe7@mail3.Example.com or JO.DOE7@MAIL3.EXAMPLE.COM; +1 (423) 555-7379, (423) 555-7379; card 4111 1111 1111 1111; 10.1.2.3; token b44e15e09fd311c3cf3163b66d5a9875b883d8ce; DE89 3704 0044 0532 0130 00; 123-45-6789; Mrs. Anna Karenina, Mr Ivan Karenin"
+
+
+def test_surrogates_keep_type_and_format(spark, docs):
+    frame = docs([PRIVATE, "Write to jo.doe7@mail3.example.com", None, "", "clean 12 text v2.0"])
+    rows = {r["doc_id"]: r["text"] for r in surrogates.with_surrogates(frame, "k").collect()}
+    out = rows[0]
+    assert not set(re.findall(r"\S+@\S+", PRIVATE)) & set(re.findall(r"\S+@\S+", out))
+    for secret in ("555-7379", "4111 1111", "10.1.2.3", "b44e15e0", "3704 0044", "45-6789", "Karenin", "Anna", "Ivan"):
+        assert secret not in out
+    shape = lambda s: re.sub("[a-z]", "a", re.sub("[A-Z]", "A", re.sub("[0-9]", "0", s)))
+    assert shape(out.split("; 1")[0].split("10.")[0].split("; card")[0]) == shape(PRIVATE.split("; card")[0])
+    mails = re.findall(r"[\w.]+@[\w.]+", out)
+    assert mails[0].lower() == mails[1].lower() == re.findall(r"[\w.]+@[\w.]+", rows[1])[0] and mails[0].endswith(".com")
+    phones = re.findall(r"\(\d{3}\) \d{3}-\d{4}", out)
+    assert phones[0] == phones[1]
+    card = re.search(r"card ([\d ]{19})", out)[1].replace(" ", "")
+    digits = [int(c) for c in card[::-1]]
+    assert (sum(digits[::2]) + sum(sum(divmod(2 * d, 10)) for d in digits[1::2])) % 10 == 0
+    iban = re.search(r"DE\d\d [\d ]+", out)[0].replace(" ", "").rstrip(";")
+    assert int("".join(str(int(c, 36)) for c in iban[4:] + iban[:4])) % 97 == 1
+    assert re.search(r"Mrs\. (\w+) (\w+), Mr (\w+) (\w+)", out)[1] in surrogates._GIVEN["f", "latin"]
+    assert rows[2] is None and rows[3] == "" and rows[4] == "clean 12 text v2.0"
+    other = surrogates.with_surrogates(frame, "another").where("doc_id = 0").first()["text"]
+    assert other != out
+
+
+def test_no_python_in_the_plan(spark):
+    plan = surrogates.with_surrogates(spark.read.parquet(SF + "/documents.parquet"), "k")._jdf.queryExecution().executedPlan().toString()
+    assert not re.search("Python|Pandas|Arrow", plan)
+
+
+def test_surrogates_are_distinct(spark, docs):
+    """Few forms: four-letter hosts aside, 300 addresses with two-letter locals must not collide."""
+    mails = [f"{a}{b}@x.org" for a in "abcdefghijklmnop" for b in "abcdefghijklmnop"]
+    frame = docs([f"to {m} now" for m in mails])
+    out = [r["text"].split()[1] for r in surrogates.with_surrogates(frame, "k").collect()]
+    assert len(set(out)) == len(mails) and not set(out) & set(mails)
+
+
+def test_surrogate_columns(spark, docs):
+    frame = docs([PRIVATE, PRIVATE, "x"], ids=[1, 1, None]).withColumn("n_chars", F.lit(9))
+    rows = surrogates.with_surrogates(frame, "k", counts=True).collect()
+    assert len(rows) == 3 and len({r["n_entities"] for r in rows}) == 2
+    assert all(r["n_chars"] == (len(r["text"]) if r["n_entities"] else 9) for r in rows)
+    assert surrogates.with_surrogates(frame.limit(0), "k").columns == frame.columns and surrogates.with_surrogates(frame.limit(0), "k").count() == 0
+
+
+# ---------------------------------------------------------------- pipeline
+
+
+def test_stages_in_order(spark):
+    docs = spark.read.parquet(SF + "/documents.parquet")
+    names = [n for n, _ in corpus_pipeline.STAGES]
+    assert names == ["quality", "near_copies", "personal_data", "mix", "packing"]
+    seen = docs
+    kept = {}
+    for name, stage in corpus_pipeline.STAGES:
+        out = stage(spark, seen, SF).cache()
+        kept[name] = out
+        if name != "packing":
+            assert set(out.columns) == set(docs.columns)
+            seen = out
+    ids = lambda df: {r["doc_id"] for r in df.select("doc_id").collect()}
+    labels = spark.read.parquet(SF + "/labels.parquet")
+    assert ids(kept["near_copies"]) <= ids(kept["quality"]) < ids(docs)
+    good = ids(labels.where("quality = 1"))
+    assert len(good & ids(kept["quality"])) >= 0.9 * len(good)
+    assert kept["near_copies"].count() == len(ids(kept["near_copies"]))
+    assert not kept["personal_data"].where(F.col("text").rlike(r"@mail\d\.example\.com")).count()
+    pieces = kept["packing"].toPandas()
+    assert pieces.groupby("sequence_id").length.sum().max() <= 4096
+
+
+def test_run_and_empty_tables(spark, tmp_path):
+    for t in ("documents", "labels"):
+        spark.read.parquet(f"{SF}/{t}.parquet").limit(0).write.parquet(str(tmp_path / f"{t}.parquet"))
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+    rows = [(None, None, None, None, None), (1, "a " * 50, "en", "s", 100), (1, "a " * 50, "en", "s", 100), (2, "", "en", None, 0)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.mode("overwrite").parquet(str(tmp_path / "documents.parquet"))
+    assert corpus_pipeline.run(spark, str(tmp_path)).columns[0] == "doc_id"
