@@ -52,7 +52,7 @@ def test_groups_equal_brute_force(spark):
     got = simhash.near_duplicate_groups(d).collect()
     assert {r["doc_id"]: r["component_id"] for r in got} == want
     assert {r["doc_id"]: r["fingerprint"] for r in got} == {i: f"{p:016x}" for i, p in prints.items()}
-    kept = simhash.deduplicated(d)
+    kept = simhash.deduplicated(d, similarity=None)
     assert kept.columns == d.columns and sorted(r["doc_id"] for r in kept.collect()) == sorted(set(want.values()))
 
 
@@ -95,10 +95,52 @@ def test_simhash_edges(spark, docs):
     assert got == {(5, False): 1, (1, False): 1, (3, True): 2, (2, True): 2, (None, False): 9, (9, False): 9}
     twice = frame.union(frame)
     assert simhash.near_duplicate_groups(twice).count() == 12
-    assert sorted(r["doc_id"] for r in simhash.deduplicated(twice).collect()) == [1, 2, 9]
+    assert sorted(r["doc_id"] for r in simhash.deduplicated(twice, similarity=None).collect()) == [1, 2, 9]
     assert simhash.near_duplicate_groups(frame.limit(0)).count() == 0 and simhash.deduplicated(frame.limit(0)).count() == 0
 
 
+def jaccard(a, b, n=5):
+    a, b = ({tuple(w[i : i + n]) for i in range(max(1, len(w) - n + 1))} for w in (a.lower().split(), b.lower().split()))
+    return len(a & b) / len(a | b)
+
+
+def test_similar_texts_are_grouped(spark, docs):
+    """Copies with some words changed, against exact similarities of the shingle sets: all clearly above the
+    threshold are together, nothing clearly below is, and one row of each group stays."""
+    rng = np.random.default_rng(3)
+    texts = []
+    for _ in range(60):
+        words = [f"w{int(x)}" for x in rng.integers(0, 5000, int(rng.integers(60, 400)))]
+        texts.append(" ".join(words))
+        for _ in range(int(rng.integers(0, 3))):
+            copy = list(words)
+            for at in rng.choice(len(copy), int(rng.integers(1, max(2, len(copy) // 30))), replace=False):
+                copy[at] = "changed"
+            texts.append(" ".join(copy))
+    texts += [texts[0].upper(), None, "", "one two", "One  two"]
+    group = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(docs(texts)).collect()}
+    sure = [(i, j) for i, j in combinations(range(len(texts)), 2) if texts[i] and texts[j] and jaccard(texts[i], texts[j]) >= 0.86]
+    assert len(sure) > 20 and all(group[i] == group[j] for i, j in sure)
+    possible = groups_of(range(len(texts)), [(i, j) for i, j in combinations(range(len(texts)), 2) if texts[i] and texts[j] and jaccard(texts[i], texts[j]) >= 0.7] + [(len(texts) - 4, len(texts) - 3)])
+    assert all(possible[i] == possible[group[i]] for i in group)
+    kept = sorted(r["doc_id"] for r in simhash.deduplicated(docs(texts)).collect())
+    assert kept == sorted(set(group.values()))
+    assert simhash.similar_groups(docs(texts).limit(0)).count() == 0
+
+
+def test_parts_find_all_that_meets():
+    rng = np.random.default_rng(0)
+    low_bits, values = 10, rng.integers(0, 1 << 16, 400).astype(np.uint16)
+    fps = rng.integers(0, 2**63, (400, simhash.WIDE_WORDS)).astype(np.uint64)
+    fps[200:] = fps[:200] ^ np.uint64(3)
+    values[200:300] = values[:100]
+    values[300:] = values[100:200] ^ np.uint16(4)
+    entries = np.zeros(400, simhash._ENTRY)
+    entries["value"], entries["id"], entries["fp"] = values, np.arange(400), fps
+    a, b = simhash.linked_part(entries, 16, low_bits)
+    assert groups_of(range(400), list(zip(a.tolist(), b.tolist(), strict=True))) == {i: i % 200 for i in range(400)}
+
+
 def test_components(spark):
     chain = [(i, i + 1) for i in range(200)] + [(1000, 1001), (1001, 1000), (7, 7), (2000, 1001)]
     star = [(5000, i) for i in range(5001, 5050)]
