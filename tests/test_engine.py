@@ -379,3 +379,33 @@ def test_workload_shapes(spark):
     assert by.error["er:0.1", "50"] > by.error["er:0.25", "50"] > by.error["er:0.5", "50"]
     assert by.p2p_k["er:0.1", "50"] < by.p2p_k["er:0.5", "50"]
     assert by.error["er:0.1", "5t+1,200"] < by.error["er:0.1", "50"]
+
+
+def test_sql_functions(spark):
+    from meshspan.functions import tablefunctions
+
+    tablefunctions.register(spark)
+    assert spark.sql("SELECT count(*) FROM topology_edges('ring', 20)").first()[0] == 20
+    assert spark.sql("SELECT sum(rounds) FROM schedule_rows(2D, 1D, 50, 200)").first()[0] == 9375
+    assert spark.sql("SELECT vec_dot(array(1D, 2D), array(3D, 4D)), vec_norm(array(3D, 4D))").first()[:] == (11.0, 5.0)
+
+
+def test_estimator(spark):
+    from pyspark.ml.functions import array_to_vector
+
+    from meshspan.plans.estimator import SubspaceEstimator
+
+    samples = features.embeddings(spark, SF, 6)
+    plain = SubspaceEstimator(2, topology=topology.complete(3), outer=50).fit(samples).transform(samples)
+    assert plain.select(F.size("code")).first()[0] == 2 and "label" in plain.columns
+    ml = samples.withColumn("features", array_to_vector("features"))
+    assert SubspaceEstimator(2, topology=topology.complete(3), outer=50).fit(ml).transform(ml).schema["code"].dataType.typeName() in ("vectorudt", "udt", "vector")
+
+
+def test_sampled_start_saves_steps(spark):
+    """A basis from a sample of the rows starts nearer to the answer than a random one."""
+    samples = shaped_nodes(spark, SF, n=5, d=12, r=3, delta=0.7)
+    warm = subspace.exact_subspace(samples.sampleBy("node", {k: 0.4 for k in range(5)}, 3), 3)[1]
+    runs = [subspace.rowsplit_subspace(samples, topology.complete(5), 3, Fixed(1), 40, weights="uniform", init=q, truth="exact").trace for q in (7, warm)]
+    steps = [metrics.iterations_to(t, [1e-6]).first()["inner_total"] for t in runs]
+    assert steps[1] < steps[0]
