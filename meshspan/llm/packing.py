@@ -27,7 +27,7 @@ LONG = 4096
 TIERS = (512, 1024, 2048, LONG)
 END_ID = 2
 _END = np.array([END_ID], "<u2").tobytes()
-_REMEMBERED = 1_000_000  # words, and runs, whose ids a worker remembers
+_WORDS, _RUNS_KEPT = 600_000, 800_000  # words and runs whose ids a worker remembers
 _KNOWN: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
 _PLAIN = regex.compile(r"[\x21-\x7E\u00C0-\u012F\u0131-\u024F]+")
 # Fixed value: the runs on which the tokenizer file's pre-tokenizer works.
@@ -96,9 +96,9 @@ class WordTokenizer:
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
         split = [t.encode("utf-8").split() for t in texts]
         words = self.words
-        if len(words) > _REMEMBERED:
+        if len(words) > _WORDS:
             words.clear()
-        if len(self.runs) > _REMEMBERED:
+        if len(self.runs) > _RUNS_KEPT:
             self.runs.clear()
         for w in set().union(*split).difference(words):
             words[w] = self._word(w)
