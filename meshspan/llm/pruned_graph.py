@@ -192,14 +192,15 @@ def _centres(classes: DataFrame, shard_rows: int, seed: int) -> dict[int, np.nda
 _PLACED = pa.schema([("label", pa.int64()), ("shard", pa.int32()), ("rep", pa.int64()), ("n", pa.int64()), ("x", pa.list_(pa.float64())), ("shards", pa.list_(pa.int32()))])
 
 
-def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_rows: int = 1024, overlap: int = 4, degree: int = 24, seed: int = 5) -> DataFrame:
+def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_rows: int = 1024, overlap: int = 4, degree: int = 24, seed: int = 5, largest: int = 8192) -> DataFrame:
     """Links among ``vectors(vec_id, embedding, label)`` of equal, non-null labels with cosine >= threshold.
 
     One row per input row: vec_id, n_links (rows linked to it directly), component_id (smallest vec_id
     reachable, itself included), kept (vec_id = component_id). Null labels, and vectors that are null,
     zero or hold null or non-finite components link with nothing; equal vectors link; vectors of other
     lengths than their label's are an error; repeated rows link as equal vectors; an empty table gives no
-    rows. ``overlap``: shards per vector; ``shard_rows``: aim for a shard before overlap.
+    rows. ``overlap``: shards per vector; ``shard_rows``: aim for a shard before overlap;
+    ``largest``: rows of a task, beyond which a dense shard is searched by pairs of its chunks.
     """
     spark = vectors.sparkSession
     x = F.transform(F.col("embedding").cast("array<double>"), lambda v: v + F.lit(0.0))
@@ -246,7 +247,14 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
         j = out[i, slot]
         return pa.table({"label": pa.array(np.full(2 * len(i), key[0].as_py()), pa.int64()), "rep": pa.array(np.concatenate((reps[i], reps[j])), pa.int64()), "other": pa.array(np.concatenate((reps[j], reps[i])), pa.int64())})
 
-    edges = placed.groupBy("label", "shard").applyInArrow(build, "label long, rep long, other long")
+    # A shard beyond its size is cut into chunks, and every two chunks are a task of their own.
+    sizes = placed.groupBy("label", "shard").agg(F.count("*").alias("n_shard")).where(F.col("n_shard") > largest)
+    sizes = stored(sizes.select("label", "shard", F.ceil(F.col("n_shard") / (largest // 2)).cast("int").alias("chunks")), "sizes")
+    cut = placed.join(sizes, ["label", "shard"], "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
+    cut = cut.withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    placed = cut.withColumn("low", F.least("chunk", "other")).withColumn("high", F.greatest("chunk", "other")).drop("other", "chunks")
+    task = ["label", "shard", "low", "high"]
+    edges = placed.groupBy(*task).applyInArrow(build, "label long, rep long, other long")
     adjacency = stored(edges.groupBy("label", "rep").agg(F.collect_set("other").alias("others")), "adjacency")
     ready = placed.join(adjacency, ["label", "rep"], "left")
 
@@ -262,6 +270,9 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
                 links[i, at[reps[at] == others]] = True
         links |= links.T
         a, b = shard_links(v, links, threshold)
+        chunk = np.asarray(group["chunk"])
+        due = (chunk[a] != chunk[b]) == (key[2].as_py() != key[3].as_py())  # chunk pairs count their own pairs
+        a, b = a[due], b[due]
         lists = group["shards"].to_pylist()
         member = np.zeros((len(reps), max([shard, *(s for own in lists for s in own)]) + 1), np.int8)
         for i, own in enumerate(lists):
@@ -271,7 +282,7 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
         root = forest(a[a < b], b[a < b], len(reps))
         return pa.table({"rep": pa.array(reps, pa.int64()), "links": pa.array(weight, pa.int64()), "root": pa.array(reps[root], pa.int64())})
 
-    found = stored(ready.groupBy("label", "shard").applyInArrow(search, "rep long, links long, root long"), "found")
+    found = stored(ready.groupBy(*task).applyInArrow(search, "rep long, links long, root long"), "found")
     parts = connected_components(found.select(F.col("rep").alias("src"), F.col("root").alias("dst")))
     counts = found.groupBy("rep").agg(F.sum("links").alias("links"))
     result = stored(

@@ -187,6 +187,8 @@ def test_vector_links_equal_brute_force(spark):
     want = groups_of([r[0] for r in rows], links)
     assert {i: r["component_id"] for i, r in got.items()} == want
     assert all(r["kept"] == (i == want[i]) for i, r in got.items())
+    cut = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in pruned_graph.near_duplicate_vectors(frame, shard_rows=60, largest=16).collect()}
+    assert cut == {i: (r["n_links"], r["component_id"]) for i, r in got.items()}
     assert pruned_graph.near_duplicate_vectors(frame.limit(0)).count() == 0
 
 
