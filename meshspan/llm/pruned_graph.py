@@ -192,7 +192,7 @@ def _centres(classes: DataFrame, shard_rows: int, seed: int) -> dict[int, np.nda
 _PLACED = pa.schema([("label", pa.int64()), ("shard", pa.int32()), ("rep", pa.int64()), ("n", pa.int64()), ("x", pa.list_(pa.float64())), ("shards", pa.list_(pa.int32()))])
 
 
-def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_rows: int = 1024, overlap: int = 4, degree: int = 24, seed: int = 5, largest: int = 8192) -> DataFrame:
+def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_rows: int = 256, overlap: int = 4, degree: int = 24, seed: int = 5, largest: int = 4096) -> DataFrame:
     """Links among ``vectors(vec_id, embedding, label)`` of equal, non-null labels with cosine >= threshold.
 
     One row per input row: vec_id, n_links (rows linked to it directly), component_id (smallest vec_id
