@@ -66,26 +66,29 @@ class Block:
     label: str = ""
 
 
-def _marks(tag: str, attributes: str) -> tuple[bool, bool, bool]:
-    """(apart, article, main) of an element."""
-    apart, article, main = tag in APART, tag == "article", tag == "main"
+def _marks(tag: str, attributes: str) -> tuple[bool, bool, bool, bool]:
+    """(apart by kind, apart by name, article, main) of an element. A layout's name may mention a sidebar
+    that is only a part of it: an article or main element inside takes its own way."""
+    apart, named, article, main = tag in APART, False, tag == "article", tag == "main"
     if attributes and tag not in ("html", "body"):
         own = {m[1].lower(): m[2] or m[3] or m[4] or "" for m in _ATTRIBUTE.finditer(attributes)}
         names = f"{own.get('class', '')} {own.get('id', '')}"
         role = own.get("role", "").lower()
         if role in ROLE_APART or "hidden" in own or own.get("aria-hidden") == "true" or re.search(r"display\s*:\s*none", own.get("style", ""), re.I):
             apart = True
-        if tag not in ("article", "main", "a", "span", "b", "i", "em", "strong") or "comment" in names.lower():
-            apart = apart or (names.strip() != "" and HINT_APART.search(names) is not None)
+        if "comment" in names.lower() or "replies" in names.lower():
+            apart = apart or HINT_APART.search(names) is not None
+        elif tag not in ("article", "main", "a", "span", "b", "i", "em", "strong"):
+            named = names.strip() != "" and HINT_APART.search(names) is not None
         if role in ("main", "article") or own.get("itemprop") == "articleBody" or (tag in ("div", "section") and HINT_MAIN.search(names)):
             main = True
-    return apart, article, main
+    return apart, named, article, main
 
 
 def blocks_of(page: str) -> list[Block]:
     """Text blocks of a page in order."""
     out: list[Block] = []
-    stack: list[tuple[str, bool, bool, bool, bool, bool]] = []  # tag, apart, article, main, link, heading
+    stack: list[tuple[str, bool, bool, bool, bool, bool, bool]] = []  # tag, apart, article, main, link, heading, named apart
     words: list[str] = []
     linked = 0
 
@@ -94,8 +97,8 @@ def blocks_of(page: str) -> list[Block]:
         text = _SPACE.sub(" ", "".join(words)).strip()
         words.clear()
         if text:
-            apart, article, main, _, heading = stack[-1][1:] if stack else (False,) * 5
-            out.append(Block(text, min(linked, len(text)), apart, article, main, heading))
+            apart, article, main, _, heading, named = stack[-1][1:] if stack else (False,) * 6
+            out.append(Block(text, min(linked, len(text)), apart or named, article, main, heading))
         linked = 0
 
     def say(raw: str):
@@ -143,11 +146,12 @@ def blocks_of(page: str) -> list[Block]:
                 close(ends)
         if tag in VOID:
             continue
-        apart, article, main = _marks(tag, m[4])
-        above = stack[-1] if stack else ("", False, False, False, False, False)
+        apart, named, article, main = _marks(tag, m[4])
+        above = stack[-1] if stack else ("", False, False, False, False, False, False)
+        named = named or (above[6] and tag not in ("article", "main"))
         if tag == "header" and not (above[2] or above[3]):
             apart = True
-        stack.append((tag, above[1] or apart, above[2] or article, above[3] or main, above[4] or tag == "a", above[5] or tag in ("h1", "h2", "h3", "h4", "h5", "h6")))
+        stack.append((tag, above[1] or apart, above[2] or article, above[3] or main, above[4] or tag == "a", above[5] or tag in ("h1", "h2", "h3", "h4", "h5", "h6"), named))
     say(page[at:])
     flush()
     return out

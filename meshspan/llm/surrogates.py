@@ -1,7 +1,7 @@
 """Personal data: keyed, type-consistent surrogates, in DataFrame functions alone.
 
 One pattern finds e-mail addresses, account and card numbers, telephone and social security numbers,
-bank accounts, IP addresses, secrets and titled names. An entity is its canonical form (case and
+bank accounts, network addresses, secrets and titled names. An entity is its canonical form (case and
 separators removed), so that its spellings share one surrogate, in every document. A surrogate is drawn
 from SHA-256 of the key, the type and the canonical form; it keeps the format: digits stay digits,
 letters stay letters of the same case and script, separators, country codes, top-level domains, card
@@ -31,15 +31,16 @@ PATTERNS = {
     "iban": r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])",
     "secret": r"(?<![\p{L}\p{N}])(?:(?=[0-9A-Fa-f]*\d)(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})|(?:AKIA|ASIA)[0-9A-Z]{16}|(?:gh[po]_|sk-|xox[bp]-)[A-Za-z0-9_-]{16,})(?![\p{L}\p{N}])",
     "card": r"(?<![\p{L}\p{N}.+-])\d(?:[ -]?\d){12,18}(?![\p{L}\p{N}])",
-    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4})(?!\d)",
+    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4})(?!\d)",
     "ssn": r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])",
+    "hex_address": r"(?<![\p{L}\p{N}:])(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?:[0-9A-Fa-f]{2}[:-]){5}[0-9A-Fa-f]{2})(?![\p{L}\p{N}:])",
     "ip": rf"(?<![\p{{L}}\p{{N}}.])(?:{_OCTET}\.){{3}}{_OCTET}(?![\p{{L}}\p{{N}}]|\.\d)",
     "name": rf"(?<![\p{{L}}\p{{N}}])(?:{_ANY_TITLE})\.? \p{{Lu}}[\p{{Ll}}'’-]+(?: \p{{Lu}}[\p{{Ll}}'’-]+)?",
 }
 ENTITY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: Documents that this does not match hold no entity (each type has an @, two digits in a row, a dot
-#: between digits, or a title).
-CHEAP = rf"@|\d\d|\d\.\d|(?:{_ANY_TITLE})\.? \p{{Lu}}"
+#: between digits, a colon between hexadecimal digits, or a title).
+CHEAP = rf"@|\d\d|\d\.\d|[0-9A-Fa-f]:[0-9A-Fa-f]|(?:{_ANY_TITLE})\.? \p{{Lu}}"
 
 # Alphabets by script and case, given names by gender, syllables of surnames.
 _ALPHABETS = (
@@ -102,7 +103,7 @@ def _swap(text: Column, hexes: Column, from_place: int = 0) -> Column:
 
 def _hex_swap(text: Column, hexes: Column) -> Column:
     upper = text.rlike("[A-F]")
-    swapped = F.array_join(F.transform(_chars(text), lambda c, i: _pick("0123456789abcdef", _byte(hexes, i))), "")
+    swapped = F.array_join(F.transform(_chars(text), lambda c, i: F.when(c.rlike("[:-]"), c).otherwise(_pick("0123456789abcdef", _byte(hexes, i)))), "")
     return F.when(upper, F.upper(swapped)).otherwise(swapped)
 
 
@@ -172,7 +173,7 @@ def _core(key: str, kind: Column, canonical: Column, attempt: Column) -> Column:
     iban = F.concat(country, _iban_check(country, rest), rest)
     ip = F.concat_ws(".", *[(F.pmod(_byte(own, F.lit(3 * i)), F.lit(223)) + 1).cast("string") for i in range(4)])
     prefix = F.regexp_extract(canonical, r"^(AKIA|ASIA|gh[po]_|sk-|xox[bp]-)", 1)
-    secret = F.when(canonical.rlike("^[0-9a-f]+$|^[0-9A-F]+$"), _hex_swap(canonical, own)).otherwise(
+    secret = F.when(canonical.rlike("^[0-9a-f:-]+$|^[0-9A-F:-]+$"), _hex_swap(canonical, own)).otherwise(
         F.concat(prefix, _swap(F.substr(canonical, F.length(prefix) + 1), own))
     )
     gender, name = F.substring_index(canonical, "|", 1), F.substring_index(canonical, "|", -1)
