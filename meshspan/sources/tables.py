@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -51,11 +53,30 @@ def scratch_dir(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+_STORED: list[str] = []
+
+
 def stored(df: DataFrame, name: str = "state") -> DataFrame:
-    """Write into the scratch folder and read back: cuts lineage and survives lost executors."""
-    path = f"{scratch_dir(df.sparkSession)}/meshspan-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    """Write into the scratch folder and read back: cuts lineage and survives lost executors, since the
+    files lie in shared storage. The files are removed when the driver's Python ends."""
+    path = f"{scratch_dir(df.sparkSession)}/meshspan-{uuid.uuid4().hex}"
+    if not _STORED:
+        atexit.register(_remove_stored)
+    _STORED.append(path)
+    df.write.parquet(f"{path}/{name}")
+    return df.sparkSession.read.schema(df.schema).parquet(f"{path}/{name}")
+
+
+def _remove_stored() -> None:
+    """Best effort: a session that is gone leaves its folder to whoever owns it."""
+    session = SparkSession.getActiveSession()
+    if session is None:
+        return
+    context = session.sparkContext
+    for path in _STORED:
+        with contextlib.suppress(Exception):
+            where = context._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(context._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def save_state(basis: DataFrame, t: int, path: str) -> None:
