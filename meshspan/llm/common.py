@@ -2,46 +2,16 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: White space of the word contracts: space and U+0009 to U+000D. Everything else is part of a word.
-WORD_PATTERN = r"[^\x20\x09-\x0D]+"
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """One input table of a data folder; works with any path that Spark's readers can open."""
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
+from meshspan.sources.tables import load_table as table
+from meshspan.sources.tables import scratch_dir, stored
 
-def scratch_dir(spark: SparkSession) -> str:
-    """Folder for intermediate tables that every executor sees.
+__all__ = ["WORD_PATTERN", "connected_components", "scratch_dir", "shuffle_partitions", "stored", "table"]
 
-    ``spark.checkpoint.dir`` of the session if set, else the context's checkpoint directory, else
-    (local master only) a temporary folder of this machine.
-    """
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    context = spark.sparkContext
-    if not root:
-        known = context._jsc.sc().getCheckpointDir()
-        root = known.get() if known.isDefined() else None
-    if not root:
-        if not context.master.startswith("local["):
-            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-        root = tempfile.mkdtemp(prefix="meshspan-")
-        context.setCheckpointDir(root)
-    return root.rstrip("/")
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as a Parquet table into the scratch folder and read it back: cuts lineage and
-    survives lost executors, since the files lie in shared storage."""
-    path = f"{scratch_dir(df.sparkSession)}/meshspan-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+#: White space of the word contracts: space and U+0009 to U+000D. Everything else is part of a word.
+WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
