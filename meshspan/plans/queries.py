@@ -550,6 +550,28 @@ def neighbour_products(spark, sf_dir):
     return e.join(other, F.col("sample_id") == F.col("a")).select("a", "b", r6(vec_dot(F.col("features"), F.col("y"))).alias("dot"))
 
 
+@query(f"SELECT lang, count(DISTINCT w) AS words FROM (SELECT lang, unnest(regexp_split_to_array(lower(coalesce(text, '')), '\\s+')) AS w FROM documents) WHERE w <> '' GROUP BY lang")
+def vocabulary(spark, sf_dir):
+    """Distinct tokens per language: how wide a hashed bag of words is worth being."""
+    d = load_table(spark, sf_dir, "documents").select("lang", F.explode(F.split(F.lower(F.coalesce("text", F.lit(""))), r"\s+")).alias("w")).where("w <> ''")
+    return d.distinct().groupBy("lang").agg(F.count("*").alias("words"))
+
+
+@query()
+def approximate_vocabulary(spark, sf_dir):
+    d = load_table(spark, sf_dir, "documents").select("lang", F.explode(F.split(F.lower(F.coalesce("text", F.lit(""))), r"\s+")).alias("w")).where("w <> ''")
+    return d.groupBy("lang").agg(F.approx_count_distinct("w", 0.02).alias("words"))
+
+
+@query()
+def sampled_start(spark, sf_dir):
+    """Warm start: row split begun from the subspace of a stratified sample of the rows."""
+    samples = shaped_nodes(spark, sf_dir, delta=0.7)
+    warm = subspace.exact_subspace(samples.sampleBy("node", {k: 0.2 for k in range(10)}, 3), 5)[1]
+    out = subspace.rowsplit_subspace(samples, _GRAPH, 5, Ramp(2), 60, init=warm, truth=np.eye(20)[:, :5])
+    return metrics.convergence(out.trace)
+
+
 for _name, _f in workloads.WORKLOADS.items():
     REGISTRY[_name] = (_f, None)
 

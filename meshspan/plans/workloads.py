@@ -235,7 +235,18 @@ def w14_downstream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("rank", "accuracy", "n")
 
 
+def w15_monte_carlo(spark: SparkSession, sf_dir: str, trials: int = 20, nodes: int = 20, per_node: int = 500, d: int = 20) -> DataFrame:
+    """Normal samples drawn anew for every trial (500 rows a node): mean and deviation of the error over trials.
+    All trials' moments come from one scan; a trial's truth is that of its own sample."""
+    values = features.spectrum(d, 5, 0.7)
+    drawn = features.gaussian(spark, trials * nodes, per_node, values, seed=11)
+    m = gathered(drawn, trials * nodes, d, "none").reshape(trials, nodes, d, d)
+    grid = [dict(method="row", data=str(k), setting=f"trial {k}", graph="er:0.25", nodes=nodes, rank=5, outer=200, rule=rule) for k in range(trials) for rule in ("t+1", "2t+1", "50")]
+    runs = run_grid(spark, "w15", {str(k): m[k] for k in range(trials)}, grid)
+    return runs.groupBy("rule").agg(F.avg("error").alias("mean"), F.stddev_samp("error").alias("sd"), F.avg("below_1e8").alias("below_1e8"), F.first("p2p_k").alias("p2p_k"), F.count("*").alias("trials"))
+
+
 WORKLOADS = {
     f.__name__: f
-    for f in (w1_round_rules, w2_connectivity, w3_ring, w4_star, w5_stragglers, w6_baselines, w7_tied, w8_columns, w9_embeddings, w10_documents, w11_wide_documents, w12_orders, w13_scaling, w14_downstream)
+    for f in (w1_round_rules, w2_connectivity, w3_ring, w4_star, w5_stragglers, w6_baselines, w7_tied, w8_columns, w9_embeddings, w10_documents, w11_wide_documents, w12_orders, w13_scaling, w14_downstream, w15_monte_carlo)
 }
