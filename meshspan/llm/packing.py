@@ -27,7 +27,7 @@ LONG = 4096
 TIERS = (512, 1024, 2048, LONG)
 END_ID = 2
 _END = np.array([END_ID], "<u2").tobytes()
-_WORDS, _RUNS_KEPT = 600_000, 800_000  # words and runs whose ids a worker remembers
+_WORDS, _RUNS_KEPT = 400_000, 700_000  # words and runs whose ids a worker remembers
 _KNOWN: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
 _PLAIN = regex.compile(r"[\x21-\x7E\u00C0-\u012F\u0131-\u024F]+")
 # Fixed value: the runs on which the tokenizer file's pre-tokenizer works.
@@ -226,9 +226,9 @@ def packed(docs: DataFrame, tokenizer_path: str, tiers: tuple[int, ...] = TIERS)
         packer, encode = Packer(TaskContext.get().partitionId() << 33, tiers), WordTokenizer(tokenizer_path)
         for batch in batches:
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
-            for at in range(0, len(ids), 512):
-                part = [texts[i].as_py() or "" for i in range(at, min(at + 512, len(ids)))]
-                for doc, tokens in zip(ids[at : at + 512], encode(part), strict=True):
+            for at in range(0, len(ids), 128):
+                part = [texts[i].as_py() or "" for i in range(at, min(at + 128, len(ids)))]
+                for doc, tokens in zip(ids[at : at + 128], encode(part), strict=True):
                     packer.add(doc, tokens)
                 if len(packer.rows["doc_id"]) > 20_000:
                     yield packer.taken()

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_REMEMBERED = 500_000
+_REMEMBERED = 300_000  # words whose scores a task remembers
 
 
 @dataclasses.dataclass(frozen=True)
@@ -137,7 +137,7 @@ class Model:
         means = np.array([sum(map(get, words)) / len(words) if words else 0.0 for words in split])
         return (1 / (1 + np.exp(-np.clip(means + self.bias, -50, 50)))).tolist()
 
-    def batch_scores(self, texts: pa.Array, known: dict[bytes, float], step: int = 512) -> list[float]:
+    def batch_scores(self, texts: pa.Array, known: dict[bytes, float], step: int = 128) -> list[float]:
         out: list[float] = []
         for at in range(0, len(texts), step):
             out += self.text_scores([texts[i].as_py() for i in range(at, min(at + step, len(texts)))], known)
