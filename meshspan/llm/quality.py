@@ -169,8 +169,14 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) ->
             )
 
     rows = sample.select(F.col("doc_id").cast("long").alias("doc_id"), "quality", "text").mapInArrow(digest, "doc_id long, quality int, ids binary, weights binary").toArrow()
-    order = sorted(range(rows.num_rows), key=lambda i: (rows["doc_id"][i].as_py(), rows["ids"][i].as_py()))
-    bags = [(np.frombuffer(rows["ids"][i].as_py(), "<i4"), np.frombuffer(rows["weights"][i].as_py(), "<f4")) for i in order]
+    ids, weights = rows["ids"], rows["weights"]  # read in place: the sample is held once
+    order = sorted(range(rows.num_rows), key=lambda i: (rows["doc_id"][i].as_py(), zlib.crc32(ids[i].as_buffer())))
+
+    def in_place(column: pa.ChunkedArray, i: int, kind: str) -> np.ndarray:
+        body = column[i].as_buffer()
+        return np.frombuffer(body, kind) if body.size else np.zeros(0, kind)
+
+    bags = [(in_place(ids, i, "<i4"), in_place(weights, i, "<f4")) for i in order]
     return Model(*train(bags, np.array([rows["quality"][i].as_py() for i in order], int), settings), settings)
 
 
