@@ -38,9 +38,13 @@ PATTERNS = {
     "name": rf"(?<![\p{{L}}\p{{N}}])(?:{_ANY_TITLE})\.? \p{{Lu}}[\p{{Ll}}'’-]+(?: \p{{Lu}}[\p{{Ll}}'’-]+)?",
 }
 ENTITY = "|".join(f"(?:{p})" for p in PATTERNS.values())
-#: Documents that this does not match hold no entity (each type has an @, two digits in a row, a dot
-#: between digits, a colon between hexadecimal digits, or a title).
-CHEAP = rf"@|\d\d|\d\.\d|[0-9A-Fa-f]:[0-9A-Fa-f]|(?:{_ANY_TITLE})\.? \p{{Lu}}"
+#: Documents that this does not match hold no entity: each type has an @, two digits in a row, digits parted
+#: by a dot, space or hyphen, a colon between hexadecimal digits, three pairs of them with hyphens, 32 of
+#: them in a row, the prefix of a key, or a title. Wider than ENTITY, never narrower.
+CHEAP = (
+    rf"@|\d[\d. -]\d|\d\d|[0-9A-Fa-f]:[0-9A-Fa-f]|(?:[0-9A-Fa-f]{{2}}-){{3}}|[0-9A-Fa-f]{{32}}|AKIA|ASIA|gh[po]_|sk-|xox[bp]-|"
+    rf"(?:{_ANY_TITLE})\.? \p{{Lu}}"
+)
 
 # Alphabets by script and case, given names by gender, syllables of surnames.
 _ALPHABETS = (
