@@ -24,18 +24,27 @@ from meshspan.llm.common import stored
 
 _TITLES = {"m": "Mr|Herr|Señor|Sr|Don", "f": "Mrs|Ms|Miss|Mme|Mlle|Frau|Señora|Sra|Doña", "n": "Dr|Prof"}
 _ANY_TITLE = "|".join(_TITLES.values())
+#: Titles in a row, before a name.
+_TITLED = rf"(?:(?:{_ANY_TITLE})\.? ){{1,4}}"
+# Small words inside names.
+_PARTICLES = "van|von|de|del|della|di|da|dos|du"
+_PARTICLE_AFTER = "der|den|la|las|los|le"
+#: A word of a name: capitals, letters and digits with apostrophes and hyphens inside, or initials. A
+#: possessive ending stays outside. Possessive quantifiers: no stack grows with the text.
+_NAME_WORD = r"(?:(?:\p{Lu}\.[ -]?(?=\p{Lu}))*+\p{Lu}(?:[\p{L}\p{M}\p{N}]|['’](?!s(?![\p{L}\p{N}]))(?=\p{L})|[-‐‑](?=\p{L}))*+(?:(?<=[\p{Z}.‐‑-]\p{Lu})\.)?+)"
+_PARTICLE = rf"(?:(?:{_PARTICLES}) (?:(?:{_PARTICLE_AFTER}) )?+)"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1?\d?\d)"
 #: Patterns by type, in the order in which they are tried at a place.
 PATTERNS = {
     "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)*\.\p{L}{2,24}",
     "iban": r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])",
-    "secret": r"(?<![\p{L}\p{N}])(?:(?=[0-9A-Fa-f]*\d)(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})|(?:AKIA|ASIA)[0-9A-Z]{16}|(?:gh[po]_|sk-|xox[bp]-)[A-Za-z0-9_-]{16,})(?![\p{L}\p{N}])",
+    "secret": r"(?<![\p{L}\p{N}])(?:(?=[0-9A-Fa-f]*\d)(?:[0-9a-f]{32,}|[0-9A-F]{32,})|(?:AKIA|ASIA)[0-9A-Z]{16}|(?:gh[po]_|sk-|xox[bp]-)[A-Za-z0-9_-]{16,})(?![\p{L}\p{N}])",
     "card": r"(?<![\p{L}\p{N}.+-])\d(?:[ -]?\d){12,18}(?![\p{L}\p{N}])",
     "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4})(?!\d)",
     "ssn": r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])",
     "hex_address": r"(?<![\p{L}\p{N}:])(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?:[0-9A-Fa-f]{2}[:-]){5}[0-9A-Fa-f]{2})(?![\p{L}\p{N}:])",
     "ip": rf"(?<![\p{{L}}\p{{N}}.])(?:{_OCTET}\.){{3}}{_OCTET}(?![\p{{L}}\p{{N}}]|\.\d)",
-    "name": rf"(?<![\p{{L}}\p{{N}}])(?:{_ANY_TITLE})\.? \p{{Lu}}[\p{{Ll}}'’-]+(?: \p{{Lu}}[\p{{Ll}}'’-]+)?",
+    "name": rf"(?<![\p{{L}}\p{{N}}])(?=[MHSDFP]){_TITLED}{_PARTICLE}?{_NAME_WORD}(?: {_PARTICLE}?(?!(?:{_ANY_TITLE})\.? \p{{Lu}}){_NAME_WORD})*+(?![\p{{L}}\p{{M}}\p{{N}}])",
 }
 ENTITY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: Documents that this does not match hold no entity: each type has an @, two digits in a row, digits parted
@@ -43,7 +52,7 @@ ENTITY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: them in a row, the prefix of a key, or a title. Wider than ENTITY, never narrower.
 CHEAP = (
     rf"@|\d[\d. -]\d|\d\d|[0-9A-Fa-f]:[0-9A-Fa-f]|(?:[0-9A-Fa-f]{{2}}-){{3}}|[0-9A-Fa-f]{{32}}|AKIA|ASIA|gh[po]_|sk-|xox[bp]-|"
-    rf"(?:{_ANY_TITLE})\.? \p{{Lu}}"
+    rf"(?:{_ANY_TITLE})\.? (?:\p{{Lu}}|(?:{_PARTICLES}) )"
 )
 
 # Alphabets by script and case, given names by gender, syllables of surnames.
@@ -71,6 +80,11 @@ _SYLLABLES = {
 _HASHES = 4  # of 32 bytes each; longer entities use them again
 
 
+def _bound(value: Column, use) -> Column:
+    """``use(value)`` with the value computed once, not once for each element that ``use`` goes through."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
 def _hash(key: str, kind: Column, what: Column, attempt: Column) -> Column:
     parts = [F.sha2(F.concat_ws("\x1f", F.lit(key), kind, what, attempt.cast("string"), F.lit(str(i))), 256) for i in range(_HASHES)]
     return F.concat(*parts)
@@ -141,7 +155,7 @@ def _kind(surface: Column) -> Column:
 def _canonical(kind: Column, surface: Column) -> Column:
     digits = F.regexp_replace(surface, r"\D", "")
     national = F.regexp_replace(F.regexp_replace(surface, r"^\+\d{1,3}(?=[ .-]?\()|^\+1|^\+\d{1,3}(?=[ .-])", ""), r"\D", "")
-    name = F.lower(F.regexp_replace(surface, rf"^(?:{_ANY_TITLE})\.? ", ""))
+    name = F.lower(F.regexp_replace(surface, rf"^{_TITLED}", ""))
     return (
         F.when(kind == "email", F.lower(surface))
         .when(kind.isin("card", "ssn"), digits)
@@ -177,19 +191,27 @@ def _core(key: str, kind: Column, canonical: Column, attempt: Column) -> Column:
     iban = F.concat(country, _iban_check(country, rest), rest)
     ip = F.concat_ws(".", *[(F.pmod(_byte(own, F.lit(3 * i)), F.lit(223)) + 1).cast("string") for i in range(4)])
     prefix = F.regexp_extract(canonical, r"^(AKIA|ASIA|gh[po]_|sk-|xox[bp]-)", 1)
-    secret = F.when(canonical.rlike("^[0-9a-f:-]+$|^[0-9A-F:-]+$"), _hex_swap(canonical, own)).otherwise(
-        F.concat(prefix, _swap(F.substr(canonical, F.length(prefix) + 1), own))
+    secret = F.when(canonical.rlike("^[0-9a-f:-]+$|^[0-9A-F:-]+$"), _bound(own, lambda h: _hex_swap(canonical, h))).otherwise(
+        F.concat(prefix, _bound(own, lambda h: _swap(F.substr(canonical, F.length(prefix) + 1), h)))
     )
     gender, name = F.substring_index(canonical, "|", 1), F.substring_index(canonical, "|", -1)
     script = F.when(name.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
-    given, surname = F.substring_index(name, " ", 1), F.substring_index(name, " ", -1)
-    family = _hash(key, F.lit("surname"), surname, attempt)
-    first = _hash(key, F.lit("given"), given, attempt)
+    # small words go, initials stay initials, but for the last word, which is a surname as all others but the first
+    small = f"^(?:{_PARTICLES}|{_PARTICLE_AFTER})$"
+    words = _bound(F.split(name, " "), lambda all_: F.filter(all_, lambda w, i: ~w.rlike(small) | (i == F.size(all_) - 1)))
+    first = _hash(key, F.lit("given"), F.element_at(words, 1), attempt)
     sex = F.when(gender == "n", F.when(F.pmod(_byte(first, F.lit(40)), F.lit(2)) == 0, "m").otherwise("f")).otherwise(gender)
     picked = reduce(
         lambda out, g: out.when((sex == g[0]) & (script == g[1]), _pick(_GIVEN[g], _byte(first, F.lit(0)))), _GIVEN, F.when(F.lit(False), F.lit(""))
     )
-    person = F.concat_ws(" ", F.when(name.contains(" "), picked), _syllable_name(family, script, 10))
+
+    def renamed(word: Column, i: Column, n: Column) -> Column:
+        family = _hash(key, F.lit("surname"), word, attempt)
+        initials = word.rlike(r"^(?:\p{L}\.-?)*\p{L}\.?$") & (i < n - 1)
+        other = F.when((i == 0) & (n > 1), picked).otherwise(_syllable_name(family, script, 10))
+        return F.when(initials, F.upper(_swap(word, family))).otherwise(other)
+
+    person = _bound(words, lambda all_: F.array_join(F.transform(all_, lambda w, i: renamed(w, i, F.size(all_))), " "))
     return (
         F.when(kind == "email", email).when(kind == "card", card).when(kind == "phone", phone).when(kind == "ssn", ssn)
         .when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "name", F.concat_ws("|", gender, person)).otherwise(secret)
@@ -206,7 +228,7 @@ def _rendered(kind: Column, surface: Column, core: Column) -> Column:
         )
 
     code = F.regexp_extract(surface, r"^(\+\d{1,3}(?=[ .-]?\()|\+1|\+\d{1,3}(?=[ .-]))?", 1)
-    title = F.regexp_extract(surface, rf"^((?:{_ANY_TITLE})\.? )", 1)
+    title = F.regexp_extract(surface, rf"^({_TITLED})", 1)
     same_case = F.array_join(F.transform(_chars(core), lambda c, i: F.when(F.substr(surface, i + 1, F.lit(1)).rlike(r"\p{Lu}"), F.upper(c)).otherwise(c)), "")
     return (
         F.when(kind.isin("card", "ssn", "iban"), placed(surface, core))

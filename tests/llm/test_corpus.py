@@ -261,6 +261,26 @@ def test_each_type_alone_is_replaced(spark, docs):
         assert r["n_entities"] == 1 and ALONE[r["doc_id"]] not in r["text"] and re.fullmatch("see .+ there", r["text"]), ALONE[r["doc_id"]]
 
 
+WHOLE = ["Mr McDonald", "Mr O'Brien", "Mr Jean-Luc Picard", "Dr. María García López", "Mr J. Smith", "Mr J.R.R. Tolkien", "Dr. Ludwig van der Berg", "Herr Prof. Dr. Anna-Lena Weiß", "Frau von Bülow", "Mr John F. Kennedy", "Dr Иван Петров Сидоров"]
+
+
+def test_names_and_secrets_are_replaced_whole(spark, docs):
+    secrets = ["a1" * 100, "0F" * 3000]
+    texts = [f"with {n}, who" for n in WHOLE] + [f"key {s} end" for s in secrets] + ["Mr McDonald's hat. The end", "Mr Ian Roe Mrs Ann Roe", "Mr A" + " B" * 5_000, "Mr Smith. The dog"]
+    rows = {r["doc_id"]: (r["text"], r["n_entities"]) for r in surrogates.with_surrogates(docs(texts), "k", counts=True).collect()}
+    for i, name in enumerate(WHOLE):
+        out, n = rows[i]
+        assert n == 1 and re.fullmatch(r"with (?:(?:Mr|Herr|Frau|Prof|Dr)\.? )+(?:(?:[A-Z]\.)+ |[A-ZА-Я][a-zа-я]+ )*[A-ZА-Я][a-zа-я]+, who", out), (name, out)
+        assert not set(re.findall(r"\w{3,}", name)) - {"Herr", "Prof", "Frau"} & set(re.findall(r"\w{3,}", out)), (name, out)
+    at = len(WHOLE)
+    for i, s in enumerate(secrets):
+        out, n = rows[at + i]
+        assert n == 1 and len(out) == len(texts[at + i]) and s[:8] not in out
+    whose, pair, many, end = (rows[at + 2 + i] for i in range(4))
+    assert whose[1] == 1 and whose[0] == re.sub("McDonald", rows[0][0].split()[2][:-1], texts[at + 2])
+    assert pair[1] == 2 and many[1] == 1 and re.fullmatch(r"Mr [A-Z][a-z]+\. The dog", end[0]) and "Smith" not in end[0]
+
+
 def test_no_python_in_the_plan(spark):
     plan = surrogates.with_surrogates(spark.read.parquet(SF + "/documents.parquet"), "k")._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
