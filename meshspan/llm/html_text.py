@@ -48,6 +48,7 @@ _TOKEN = re.compile(
 )
 _ATTRIBUTE = re.compile(r"([a-zA-Z_:][-\w:.]*)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 _SPACE = re.compile(r"\s+")
+_SENTENCE = re.compile(r"[^\W\d_]{2}[.!?…;»”\"')]*[.!?…](?:\s|$|[»”\"')])|[。！？।؟۔]")
 _WORD = re.compile(r"[^\W\d_]+")
 
 SHORT, LONG = 70, 200  # code points
@@ -157,6 +158,12 @@ def blocks_of(page: str) -> list[Block]:
     return out
 
 
+def _prose(block: Block) -> bool:
+    """Whether a block without listed function words reads like sentences: hardly any links, and a sign that
+    ends a sentence. Its language may be one of those that the list lacks."""
+    return block.link_chars <= 0.1 * len(block.text) and "©" not in block.text and _SENTENCE.search(block.text) is not None
+
+
 def _alone(block: Block, inside: bool, has_inside: bool) -> str:
     """Pass one: good, bad, near (good if a neighbour is) or short (undecided)."""
     n = len(block.text)
@@ -172,7 +179,21 @@ def _alone(block: Block, inside: bool, has_inside: bool) -> str:
         return "good" if n >= LONG or inside else "near"
     if inside:
         return "near"
-    return "near" if density >= SPARSE else "bad"
+    return "near" if density >= SPARSE or _prose(block) else "bad"
+
+
+def _runs(blocks: list[Block], first: list[str]) -> set[int]:
+    """Near blocks of the runs, short blocks between them included, that are long enough together."""
+    out: set[int] = set()
+    run: list[int] = []
+    for i, label in enumerate([*first, "bad"]):
+        if label in ("near", "short"):
+            run.append(i)
+            continue
+        if sum(len(blocks[j].text) for j in run if not blocks[j].heading) >= LONG:
+            out |= {j for j in run if first[j] == "near"}
+        run = []
+    return out
 
 
 def labelled(page: str) -> list[Block]:
@@ -188,6 +209,9 @@ def labelled(page: str) -> list[Block]:
             after = next((x for x in first[i + 1 :] if x in ("good", "bad")), "")
             if inside[i] or "good" in (before, after):
                 good.add(i)
+    good |= _runs(blocks, first)
+    if not good and "good" not in first:  # nothing better on the page
+        good = {i for i, label in enumerate(first) if label == "near"}
     second = ["good" if i in good else "bad" if x == "near" else x for i, x in enumerate(first)]
     for i, block in enumerate(blocks):
         block.label = second[i]

@@ -203,6 +203,17 @@ def test_block_rules():
     assert html_text.main_text("<main><p>a&amp;b &lt;c&gt;&nbsp; d<br>e</p></main>") == "a&b <c> d e"
 
 
+SPARSE = "Prices rose sharply last year, while wages stayed behind; several towns closed schools, libraries and swimming pools to save money on heating. "
+POLISH = "Wczoraj wieczorem nad jeziorem zebrali się mieszkańcy, żeby obejrzeć pokaz sztucznych ogni i posłuchać orkiestry. "
+
+
+@pytest.mark.parametrize("text, times", [(LONG, 10), (LONG, 1), (SPARSE, 1), (SPARSE * 4, 1), (POLISH, 10), (POLISH * 4, 1)])
+def test_pages_that_name_no_article_keep_their_text(text, times):
+    want = [text.strip()] * times
+    page = "<html><body><div><a href=a>Home</a> <a href=b>About us</a></div>" + f"<p>{text}</p>" * times + "<p><a href=c>" + text + "</a></p><div class=footer>" + LONG * 3 + "</div></body></html>"
+    assert html_text.main_text(page).split("\n") == want
+
+
 def test_page_edges(spark):
     rows = [(1, None, None, "t"), (2, "u", "", "t"), (3, "u", "no markup", "t"), (3, "u", "no markup", "t"), (4, "u", "<p>" * 5000 + "x", "t"), (5, "u", "<", "t"), (None, "u", "<article><p>&#x41;", "t")]
     frame = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
