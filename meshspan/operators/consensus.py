@@ -40,7 +40,7 @@ def run_fused(values: DataFrame, power: np.ndarray, scale: np.ndarray | None = N
         z = np.asarray(group["z"].combine_chunks().flatten(), float).reshape(len(node), -1)
         rows, at = np.unique(i, return_inverse=True)
         cube = np.zeros((len(w), len(rows), z.shape[1]))
-        cube[node, at] = z
+        np.add.at(cube, (node, at), z)
         out = np.tensordot(w.T, cube, 1)
         if s is not None:
             out *= s[:, None, None]

@@ -1,8 +1,8 @@
 """Second moments: the one pass over the rows, after which everything is independent of their number.
 
-Partial sums are made per task and node in numpy (one d x d block per node a task has, never a row per
-entry), then merged per node and block of rows. The mean is folded in afterwards by a rank-one
-correction, so centring costs no second scan.
+Partial sums are made per task and node in numpy (blocks of a d x d matrix, flushed at a byte budget, never a row
+per entry), then added per node and block. The mean is folded in afterwards by a rank-one correction, so
+centring costs no second scan.
 """
 
 from __future__ import annotations
@@ -14,42 +14,43 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from meshspan.operators.nodes import PIECE_BYTES, added, dimension, raw_pieces, vectors_of
+from meshspan.sources.tables import stored
+
 SCATTER = "node int, i int, n long, total double, row array<double>"
+DENSE_ROWS = int((PIECE_BYTES / 8) ** 0.5)  # features whose matrix is one block
 _ROWS = pa.schema([("node", pa.int32()), ("i", pa.int32()), ("n", pa.int64()), ("total", pa.float64()), ("row", pa.list_(pa.float64()))])
 
 
-def _matrix(column: pa.Array) -> np.ndarray:
-    flat = np.asarray(column.flatten(), np.float64)
-    return flat.reshape(len(column), -1)
-
-
-def local_scatter(samples: DataFrame) -> DataFrame:
+def local_scatter(samples: DataFrame, d: int | None = None) -> DataFrame:
     """Raw moments of every node from ``samples(node, features)``: a row per node and feature i with the
     node's rows n, the feature's sum (total), and row i of the sum of outer products."""
-    def partial(batches):
-        sums: dict[int, list] = {}
+    d = dimension(samples) if d is None else d
+
+    def rows(batches):
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            x, node = _matrix(batch.column("features")), np.asarray(batch.column("node"))
-            for k in np.unique(node):
-                own = x[node == k]
-                s = sums.setdefault(int(k), [0, np.zeros(x.shape[1]), np.zeros((x.shape[1], x.shape[1]))])
-                s[0] += len(own)
-                s[1] += own.sum(0)
-                s[2] += own.T @ own
-        for k, (n, total, block) in sums.items():
-            d = len(total)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([k] * d, pa.int32()), pa.array(range(d), pa.int32()), pa.array([n] * d, pa.int64()), pa.array(total), pa.array(list(block), pa.list_(pa.float64()))], schema=_ROWS
-            )
-
-    def merge(key: tuple, group: pa.Table) -> pa.Table:
-        rows = _matrix(group["row"].combine_chunks()).sum(0)
-        return pa.table({"node": [key[0].as_py()], "i": [key[1].as_py()], "n": [int(np.asarray(group["n"]).sum())], "total": [float(np.asarray(group["total"]).sum())], "row": [rows]}, schema=_ROWS)
-
-    parts = samples.select(F.col("node").cast("int").alias("node"), F.col("features").cast("array<double>").alias("features")).mapInArrow(partial, SCATTER)
-    return parts.groupBy("node", "i").applyInArrow(merge, SCATTER)
+            for node, low, k, body in zip(*(batch.column(c).to_pylist() for c in ("node", "low", "k", "body")), strict=True):
+                flat = pa.array(np.frombuffer(body))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (k + 1) * d, d), pa.int32()), flat)
+                yield pa.RecordBatch.from_arrays([pa.array([node] * k, pa.int32()), pa.array(range(low, low + k), pa.int32()), lists], ["node", "i", "row"])
+
+    def sums(batches):
+        for batch in batches:
+            for node, n, total in zip(*(batch.column(c).to_pylist() for c in ("node", "n", "total")), strict=True):
+                if total is not None:
+                    yield pa.RecordBatch.from_arrays([pa.array([node] * d, pa.int32()), pa.array(range(d), pa.int32()), pa.array([n] * d, pa.int64()), pa.array(np.frombuffer(total))], ["node", "i", "n", "total"])
+
+    blocks = added(raw_pieces(samples, d, keep=False).repartition("node", "low").sortWithinPartitions("node", "low"), d)
+    if d <= DENSE_ROWS:  # one block per node holds its sums too
+        def both(batches):
+            for batch in batches:
+                for node, k, n, total, body in zip(*(batch.column(c).to_pylist() for c in ("node", "k", "n", "total", "body")), strict=True):
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (k + 1) * d, d), pa.int32()), pa.array(np.frombuffer(body)))
+                    yield pa.RecordBatch.from_arrays([pa.array([node] * d, pa.int32()), pa.array(range(d), pa.int32()), pa.array([n] * d, pa.int64()), pa.array(np.frombuffer(total)), lists], schema=_ROWS)
+
+        return blocks.mapInArrow(both, SCATTER)
+    blocks = stored(blocks, "scatter")
+    return blocks.mapInArrow(sums, "node int, i int, n long, total double").join(blocks.mapInArrow(rows, "node int, i int, row array<double>"), ["node", "i"]).select("node", "i", "n", "total", "row")
 
 
 def narrow_scatter(samples: DataFrame, d: int) -> DataFrame:
@@ -86,13 +87,13 @@ class Moments:
 
 def global_moments(samples: DataFrame) -> Moments:
     """Moments of all rows. A d x d matrix reaches the driver: d is checked."""
+    d = dimension(samples)
+    if d > 5792:
+        raise ValueError("over 5,792 features: keep the scatter distributed")
     one = samples.select(F.lit(0).alias("node"), "features")
-    rows = local_scatter(one).orderBy("i").toArrow()
-    if not rows.num_rows:
-        raise ValueError("no samples")
-    if rows.num_rows > 8192:
-        raise ValueError("over 8,192 features: keep the scatter distributed")
-    return Moments(rows["n"][0].as_py(), np.asarray(rows["total"]), _matrix(rows["row"].combine_chunks()))
+    blocks = added(raw_pieces(one, d, keep=False).repartition("node", "low").sortWithinPartitions("node", "low"), d).select("low", "n", "total", "body").toArrow().sort_by("low")
+    n, total = blocks["n"][0].as_py(), np.frombuffer(blocks["total"][0].as_py())
+    return Moments(n, total, np.concatenate([np.frombuffer(b) for b in blocks["body"].to_pylist()]).reshape(d, d))
 
 
 def stacked(scatter, center: str = "exact", normalizer: str = "n", local_scale: str = "sum") -> tuple[np.ndarray, np.ndarray]:

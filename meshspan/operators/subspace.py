@@ -1,18 +1,25 @@
 """Subspace methods over DataFrames.
 
-Where the work happens is chosen by size. After one scan that builds node moments (or cross moments), a
-*resident* run ships them to a single executor task that runs the whole iteration: right while they fit a
-task (budget below). A *fused* run keeps everything distributed: node products by node, all averaging
-rounds of a step as one product with a power of the mixing matrix by blocks of features, then node QR: two
-shuffles of N*d*r numbers per step. A *literal* run takes every round as a join; it exists to prove the
-others. Column split has *cross* (cross moments, then independent of the rows), *streamed* (two products
-per row and step, one scan each) and *literal* (scores of every sample and node, averaged by joins).
+After one scan that turns samples into pieces of node moments (:mod:`meshspan.operators.nodes`), a method runs
+in one of these modes; all of them give the same bases, traces, stops and costs:
+
+* *resident*: one executor task holds all pieces and runs every step; right while they fit its budget.
+* *fused*: the pieces stay distributed and are laid out once. A step is one job without a shuffle: the node
+  bases go out as a broadcast, products of N*d*r numbers come back, and the driver applies the power of the mixing
+  matrix and the QR. N*d*r, which does not grow with the rows, is checked.
+* *spread*: bases beyond that check live in tables too: a join on the node with pieces that are bucketed by node,
+  a shuffle by blocks of features for the averaging, one by node for the QR.
+* *literal*: the same with every averaging round as a join; it exists to prove the others.
+
+Column split has *cross* (moments of all rows, as resident or fused), *streamed* (products straight from the samples,
+one scan per step, averaged inside each row) and *literal* (scores of every sample and node, averaged by joins).
+Its basis is d x r in all, and stays with the driver.
 """
 
 from __future__ import annotations
 
 import dataclasses
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pandas as pd
@@ -20,23 +27,30 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from meshspan.functions.linalg import Powers, anchor_scale, angle_error, factor_of, leading, positive_qr, random_basis
+from meshspan.functions.linalg import Powers, anchor_scale, angle_error, leading, positive_qr, random_basis
+from meshspan.functions.vectors import vec_dot
 from meshspan.operators import consensus, loops, moments
+from meshspan.operators.nodes import PieceTable, SampleNodes, SpreadNodes, dimension, node_pieces
 from meshspan.operators.topology import Topology
 from meshspan.plans.schedules import Fixed, Schedule, rounds
 from meshspan.plans.stopping import Step, Stop
-from meshspan.sources.tables import stored
+from meshspan.sources.tables import released, stored, stored_by
 
 RESIDENT_BYTES = 256 << 20
+BASIS_BYTES = 128 << 20  # of all nodes' bases, broadcast and gathered in a step
 BASIS = "node int, i int, q array<double>"
 TRACE = "method string, t int, inner_total long, node int, error double, objective double, disagreement double"
 _BOTH = "kind string, method string, t int, inner_total long, node int, i int, q array<double>, error double, objective double, disagreement double"
+_BOTH_ARROW = pa.schema([
+    ("kind", pa.string()), ("method", pa.string()), ("t", pa.int32()), ("inner_total", pa.int64()), ("node", pa.int32()), ("i", pa.int32()), ("q", pa.list_(pa.float64())),
+    ("error", pa.float64()), ("objective", pa.float64()), ("disagreement", pa.float64()),
+])
 
 
 @dataclasses.dataclass
 class SubspaceResult:
-    """``basis``: (node, i, q); ``trace``: one row per step and node; ``cost``: messages per node, if the
-    method sends any."""
+    """``basis``: (node, i, q); ``trace``: one row per step and node; ``cost``: messages per node of the steps
+    that ran, if the method sends any; ``meta`` has the number of steps and rounds that ran."""
 
     basis: DataFrame
     trace: DataFrame
@@ -55,68 +69,137 @@ class SubspaceResult:
         return values, q @ turn
 
 
-Truth = np.ndarray | int | None
+Truth = np.ndarray | str | None
 
 
-def _truth(m: np.ndarray, truth: Truth, r: int) -> np.ndarray | None:
-    """A basis, ``"exact"`` (eigenvectors of the sum) or nothing."""
+class HeldBases:
+    """Node bases in a stored table (node, q: d x r numbers), read by groups of nodes that fit the budget."""
+
+    def __init__(self, df: DataFrame, n: int, d: int, r: int):
+        self.df, self.n, self.d, self.r = df, n, d, r
+
+    def groups(self) -> Iterator[np.ndarray]:
+        per = max(1, BASIS_BYTES // (8 * self.d * self.r))
+        for low in range(0, self.n, per):
+            rows = self.df.where(F.col("node").between(low, low + per - 1)).toArrow().sort_by("node")
+            yield np.frombuffer(b"".join(rows["q"].to_pylist())).reshape(-1, self.d, self.r)
+
+    def table(self) -> DataFrame:
+        d, r = self.d, self.r
+
+        def rows(batches):
+            for batch in batches:
+                for node, q in zip(batch.column("node").to_pylist(), batch.column("q").to_pylist(), strict=True):
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (d + 1) * r, r), pa.int32()), pa.array(np.frombuffer(q)))
+                    yield pa.RecordBatch.from_arrays([pa.array([node] * d, pa.int32()), pa.array(range(d), pa.int32()), lists], ["node", "i", "q"])
+
+        return self.df.mapInArrow(rows, BASIS)
+
+
+def _groups(q) -> Iterator[np.ndarray]:
+    if isinstance(q, HeldBases):
+        yield from q.groups()
+    else:
+        yield q
+
+
+def _figures(q, m, truth: np.ndarray | None, objective: bool) -> tuple[np.ndarray, np.ndarray, float, np.ndarray]:
+    """Errors, lost variances and largest distance from the mean basis, and the first node's basis."""
+    error, kept, total, n, first = [], [], 0.0, 0, None
+    for own in _groups(q):
+        first = own[0] if first is None else first
+        error.append(angle_error(own, truth) if truth is not None else np.full(len(own), np.nan))
+        kept.append(m.kept(own) if objective else np.full(len(own), np.nan))
+        total, n = total + own.sum(0), n + len(own)
+    off = max(float(np.sqrt(((own - total / n) ** 2).sum((1, 2))).max()) for own in _groups(q))
+    return np.concatenate(error), m.trace - np.concatenate(kept), off, first
+
+
+def _walked(steps: Iterator, m, truth: Truth, r: int, method: str, stop: Stop | None, every: int, degree: float) -> tuple[list[tuple], int, int, object]:
+    """Run a loop to its end or stop: rows of the trace (every ``every`` steps and the last), the step and rounds
+    it ended at, and the bases it ended with."""
     if isinstance(truth, str):
-        return leading(m.sum(0), r)[1]
-    return truth
+        truth = m.leading(r)[1]
+    rows, before, t, inner, q, done = [], None, -1, 0, None, -1
 
+    def look(objective: bool) -> tuple:
+        return _figures(q, m, truth, objective)
+
+    def note(found: tuple) -> None:
+        error, lost, off, _ = found
+        rows.extend((method, t, inner, k, float(error[k]), float(lost[k]), off) for k in range(len(error)))
 
-def _traced(steps: loops.Steps, m: np.ndarray, truth: np.ndarray | None, method: str, stop: Stop | None, every: int, degree: float) -> pd.DataFrame:
-    """Run a loop to its end or stop; trace every ``every`` steps; basis at the end."""
-    total, rows, q, t, inner = m.sum(0) / len(m), [], None, -1, 0
-    before = None
     for t, (inner, q) in enumerate(steps):
-        look = t % every == 0 or stop is not None
-        if look:
-            error = angle_error(q, truth) if truth is not None else np.full(len(q), np.nan)
-            off = float(np.sqrt(((q - q.mean(0)) ** 2).sum((1, 2))).max())
-            kept = np.einsum("nir,ij,njr->n", q, total, q)
-            if t % every == 0:
-                rows += [("trace", method, t, inner, k, -1, None, float(error[k]), float(np.trace(total) - kept[k]), off) for k in range(len(q))]
-            if stop is not None:
-                change = float(angle_error(before[0], q[0])) if before is not None else np.inf
-                mq = total @ q[0]
-                step = Step(t, inner, change, float(np.linalg.norm(mq - q[0] @ (q[0].T @ mq))), off, float(np.nanmax(error)) if truth is not None else np.inf, degree * inner)
-                before = q
-                if stop(step):
-                    break
-    if t % every:
-        error = angle_error(q, truth) if truth is not None else np.full(len(q), np.nan)
-        off = float(np.sqrt(((q - q.mean(0)) ** 2).sum((1, 2))).max())
-        kept = np.einsum("nir,ij,njr->n", q, total, q)
-        rows += [("trace", method, t, inner, k, -1, None, float(error[k]), float(np.trace(total) - kept[k]), off) for k in range(len(q))]
-    for k in range(len(q)):
-        rows += [("basis", method, t, inner, k, i, q[k, i].tolist(), np.nan, np.nan, np.nan) for i in range(q.shape[1])]
-    return pd.DataFrame(rows, columns=[c.split()[0] for c in _BOTH.split(", ")])
-
-
-def resident(scatter: DataFrame, make: Callable[[np.ndarray], loops.Steps], r: int, method: str, truth: Truth = None, stop: Stop | None = None, every: int = 1, degree: float = 0.0, n: int | None = None, **scaling) -> DataFrame:
-    """Run a loop over node matrices in one executor task; rows of trace and basis in one table.
-
-    The scatter is n-free: N*d*d numbers, checked against the budget before it is gathered.
-    """
-    size = scatter.select(F.size("row").alias("d")).agg(F.count("*"), F.max("d")).first()
-    if (size[0] or 0) * (size[1] or 0) * 8 > RESIDENT_BYTES:
-        raise ValueError("node moments exceed a task's budget: use mode='fused'")
-    if n is not None and size[0] and size[0] < n * size[1]:
-        scatter = moments.with_all_nodes(scatter, n, size[1])
+        due = t % every == 0
+        if due or stop is not None:
+            found = look(due)
+            if due:
+                note(found)
+                done = t
+        if stop is not None:
+            error, _, off, first = found
+            change = float(angle_error(before, first)) if before is not None else np.inf
+            mq = m.mean_apply(first)
+            before = first
+            if stop(Step(t, inner, change, float(np.linalg.norm(mq - first @ (first.T @ mq))), off, float(np.nanmax(error)) if truth is not None else np.inf, degree * inner)):
+                break
+    if t != done and q is not None:
+        note(look(True))
+    return rows, t, inner, q
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        _, m = moments.stacked(frame, **scaling)
-        return _traced(make(m), m, _truth(m, truth, r), method, stop, every, degree)
 
-    return scatter.withColumn("_all", F.lit(0)).groupBy("_all").applyInPandas(run, _BOTH)
+def _basis_table(q: np.ndarray) -> pa.Table:
+    n, d, r = q.shape
+    lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (n * d + 1) * r, r), pa.int32()), pa.array(np.ascontiguousarray(q).ravel()))
+    return pa.table({"node": pa.array(np.repeat(np.arange(n), d), pa.int32()), "i": pa.array(np.tile(np.arange(d), n), pa.int32()), "q": lists})
 
 
-def _split(both: DataFrame, cost: DataFrame | None, meta: dict) -> SubspaceResult:
-    both = stored(both, "result")
+def _resident(table: PieceTable, make: Callable, r: int, method: str, truth: Truth, stop: Stop | None, every: int, degree: float) -> tuple[DataFrame, DataFrame, int, int]:
+    """All steps in one executor task."""
+    df, bare = table.df, dataclasses.replace(table, df=None)
+
+    def run(batches):
+        from meshspan.operators.nodes import LocalNodes
+
+        m = LocalNodes.from_batches(bare, batches)
+        rows, t, inner, q = _walked(make(m), m, truth, r, method, stop, every, degree)
+        if rows:
+            columns = list(zip(*rows, strict=True))
+            k = len(rows)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(["trace"] * k), pa.array(columns[0]), pa.array(columns[1], pa.int32()), pa.array(columns[2], pa.int64()), pa.array(columns[3], pa.int32()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.list_(pa.float64()))]
+                + [pa.array(c, pa.float64()) for c in columns[4:]], schema=_BOTH_ARROW,
+            )
+        if q is not None:
+            own = _basis_table(np.asarray(q)).combine_chunks()
+            k = own.num_rows
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(["basis"] * k), pa.array([method] * k), pa.array([t] * k, pa.int32()), pa.array([inner] * k, pa.int64()), *[own[c].combine_chunks() for c in ("node", "i", "q")], *[pa.nulls(k, pa.float64())] * 3],
+                schema=_BOTH_ARROW,
+            )
+
+    both = stored(df.coalesce(1).mapInArrow(run, _BOTH), "result")
     basis = both.where("kind = 'basis'").select("node", "i", "q")
     trace = both.where("kind = 'trace'").select("method", "t", "inner_total", "node", "error", "objective", "disagreement")
-    return SubspaceResult(basis, trace, cost, meta)
+    last = both.where("kind = 'basis'").select("t", "inner_total").limit(1).collect()
+    return basis, trace, (last[0]["t"] if last else -1), (last[0]["inner_total"] if last else 0)
+
+
+def _driven(spark, m, steps: Iterator, r: int, method: str, truth: Truth, stop: Stop | None, every: int, degree: float) -> tuple[DataFrame, DataFrame, int, int]:
+    """Steps driven from here: products are jobs."""
+    rows, t, inner, q = _walked(steps, m, truth, r, method, stop, every, degree)
+    trace = spark.createDataFrame(rows, TRACE)
+    if isinstance(q, HeldBases):
+        return q.table(), trace, t, inner
+    return stored(spark.createDataFrame(_basis_table(np.asarray(q))), "basis"), trace, t, inner
+
+
+def _ran(out: tuple[DataFrame, DataFrame, int, int], topology: Topology | None, meta: dict) -> SubspaceResult:
+    from meshspan.operators.cost import p2p_cost
+
+    basis, trace, t, inner = out
+    cost = p2p_cost(basis.sparkSession, topology, [inner]) if topology is not None else None
+    return SubspaceResult(basis, trace, cost, meta | {"steps": t + 1, "rounds": inner})
 
 
 def _start(init, d: int, r: int) -> np.ndarray:
@@ -130,11 +213,35 @@ def _start(init, d: int, r: int) -> np.ndarray:
     return q
 
 
-def _dimension(samples: DataFrame) -> int:
-    row = samples.select(F.size("features").alias("d")).limit(1).collect()
-    if not row:
-        raise ValueError("no samples")
-    return row[0]["d"]
+def _placed(table: PieceTable, mode: str, r: int) -> str:
+    """The mode that the sizes ask for, and a check of the one that is asked for."""
+    n, d = table.n, table.d
+    dense = bool((table.rows > d).any())
+    fits = (n * d * d * 8 if dense else table.bytes) <= RESIDENT_BYTES
+    bases = n * d * r * 8 <= BASIS_BYTES
+    if mode == "auto":
+        return "resident" if fits and bases else "fused" if bases else "spread"
+    if mode == "resident" and not fits:
+        raise ValueError("node moments exceed a task's budget: use mode='fused'")
+    if mode == "fused" and not bases:
+        raise ValueError("the nodes' bases exceed the budget: use mode='spread'")
+    if mode not in ("resident", "fused", "spread", "literal"):
+        raise ValueError(f"unknown mode {mode!r}")
+    return mode
+
+
+def run_method(table: PieceTable, make: Callable, r: int, method: str, mode: str = "auto", truth: Truth = None, stop: Stop | None = None, every: int = 1, degree: float = 0.0) -> tuple[DataFrame, DataFrame, int, int]:
+    """Any loop of :mod:`meshspan.operators.loops` on a piece table, resident or fused: (basis, trace, last step,
+    rounds)."""
+    mode = _placed(table, mode, r)
+    if mode == "resident":
+        return _resident(table, make, r, method, truth, stop, every, degree)
+    if mode != "fused":
+        raise ValueError(f"{method} runs resident or fused")
+    m = SpreadNodes(table)
+    out = _driven(table.df.sparkSession, m, make(m), r, method, truth, stop, every, degree)
+    released(m.df)
+    return out
 
 
 # ---------------------------------------------------------------- row split
@@ -147,24 +254,47 @@ def rowsplit_subspace(
     """Leading subspace from ``samples(node, features)`` split by rows over a network.
 
     ``init``: a seed, ``"axes"``, or a matrix (a warm start); all nodes share it. ``truth``: a basis, or
-    ``"exact"``, to trace errors. ``mode``: auto, resident, fused or literal (rounds as joins).
+    ``"exact"``, to trace errors. ``mode``: auto, resident, fused, spread or literal (rounds as joins): the same
+    result by different plans. ``center``: exact, consensus (the mean by averaging rounds of the first
+    step's number) or none.
     """
-    d = _dimension(samples)
+    d = dimension(samples)
     q0, w = _start(init, d, r), topology.weights(weights)
     plan = rounds(schedule, outer)
-    meta = {"method": f"row[{schedule.name}]", "mode": mode, "topology": topology.kind, "rounds": sum(plan), "d": d, "r": r}
-    if mode == "auto":
-        mode = "resident" if topology.n * d * d * 8 <= RESIDENT_BYTES else "fused"
-    scatter = moments.local_scatter(samples)
-    from meshspan.operators.cost import p2p_cost
+    if center == "consensus":
+        samples, center = consensus_centred(samples, topology, w, max(plan, default=0), rescale, d), "none"
+    table = node_pieces(samples, topology.n, d, center=center, local_scale=local_scale)
+    mode, method = _placed(table, mode, r), f"row[{schedule.name}]"
+    meta = {"method": method, "mode": mode, "topology": topology.kind, "d": d, "r": r}
+    degree = topology.mean_degree()
+    if mode in ("resident", "fused"):
+        return _ran(run_method(table, lambda m: loops.row_split(m, w, plan, q0, rescale), r, method, mode, truth, stop, every, degree), topology, meta)
+    m = SpreadNodes(table)
+    return _ran(_driven(samples.sparkSession, m, _spread_steps(table, w, plan, q0, rescale, mode == "literal"), r, method, truth, stop, every, degree), topology, meta)
+
+
+def consensus_centred(samples: DataFrame, topology: Topology, w: np.ndarray, mixing_rounds: int, rescale: str, d: int) -> DataFrame:
+    """Every node's samples about its own estimate of the mean of all rows: counts and sums are averaged by the
+    network, and their ratio is what a node subtracts. Counts and sums are N x (d + 1) numbers."""
+
+    def partial(batches):
+        from meshspan.operators.nodes import vectors_of
+
+        held: dict[int, np.ndarray] = {}
+        for batch in batches:
+            if batch.num_rows:
+                x, node = vectors_of(batch.column("features"), d), np.asarray(batch.column("node"))
+                for k in np.unique(node):
+                    own = x[node == k]
+                    held[int(k)] = held.get(int(k), np.zeros(d + 1)) + np.concatenate((own.sum(0), [len(own)]))
+        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array(range(len(held)), pa.int32()), pa.array(list(held.values()), pa.list_(pa.float64()))], ["node", "i", "z"])
 
-    cost = p2p_cost(samples.sparkSession, topology, plan)
-    if mode == "resident":
-        both = resident(scatter, lambda m: loops.row_split(m, w, plan, q0, rescale), r, meta["method"], truth, stop, every, topology.mean_degree(), topology.n, center=center, local_scale=local_scale)
-        return _split(both, cost, meta)
-    if center == "exact":
-        scatter = centred(scatter)
-    return _fused(moments.with_all_nodes(stored(scatter, "scatter"), topology.n, d), topology, w, plan, q0, mode, rescale, truth, every, stop, meta, cost)
+    parts = samples.select(F.col("node").cast("int").alias("node"), F.col("features").cast("array<double>").alias("features")).mapInArrow(partial, consensus.VALUES)
+    wide = parts.select("node", F.posexplode("z").alias("k", "v")).groupBy("node", "k").agg(F.sum("v").alias("v"))
+    sums = wide.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "v"))), lambda s: s["v"]).alias("z")).select("node", F.lit(0).alias("i"), "z")
+    agreed = stored(consensus.consensus_sum(sums, w, mixing_rounds, rescale), "means")
+    mean = agreed.select(F.col("node").alias("_at"), F.transform(F.slice("z", 1, d), lambda v: v / F.element_at("z", d + 1)).alias("_mean"))
+    return samples.join(F.broadcast(mean), F.col("node") == F.col("_at")).withColumn("features", F.zip_with(F.col("features").cast("array<double>"), "_mean", lambda a, b: a - b)).drop("_at", "_mean")
 
 
 def centred(scatter: DataFrame) -> DataFrame:
@@ -178,58 +308,102 @@ def centred(scatter: DataFrame) -> DataFrame:
     return joined.select("node", "i", "n", "total", row.alias("row"))
 
 
-def _fused(scatter, topology, w, plan, q0, mode, rescale, truth, every, stop, meta, cost) -> SubspaceResult:
-    spark, d, r = scatter.sparkSession, *q0.shape
-    powers = Powers(w)
-    if isinstance(truth, str):
-        total = scatter.groupBy("i").applyInPandas(lambda f: pd.DataFrame({"i": [f.i.iloc[0]], "row": [np.sum(np.stack(f.row), 0)]}), "i int, row array<double>").toPandas().sort_values("i")
-        truth = leading(np.stack(total.row.to_list()), r)[1]
-    start = spark.sparkContext.broadcast(q0)
-    bases = spark.range(topology.n).select(F.col("id").cast("int").alias("node")).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(d - 1))))
-    basis = bases.groupBy("node").applyInPandas(lambda f: pd.DataFrame({"node": f.node, "i": f.i, "q": list(start.value[f.i.to_numpy()])}), BASIS)
-    trace, inner, t = [], 0, -1
-    edges = None
-    if mode == "literal":
-        at = np.argwhere(w > 0)
-        edges = spark.createDataFrame([(int(i), int(j), float(w[i, j])) for i, j in at], "src int, dst int, w double")
-
-    def product(left: pa.Table, right: pa.Table) -> pa.Table:
-        left, right = left.sort_by("i"), right.sort_by("i")
-        m = np.asarray(left["row"].combine_chunks().flatten()).reshape(left.num_rows, -1)
-        q = np.asarray(right["q"].combine_chunks().flatten()).reshape(right.num_rows, -1)
-        return pa.table({"node": left["node"].cast(pa.int32()), "i": left["i"].cast(pa.int32()), "z": list(m @ q)}, schema=pa.schema([("node", pa.int32()), ("i", pa.int32()), ("z", pa.list_(pa.float64()))]))
-
-    def orthonormal(group: pa.Table) -> pa.Table:
+def spread_product(pieces: DataFrame, bases: DataFrame, table: PieceTable, r: int) -> DataFrame:
+    """(node, i, z): every node's product with its basis, from ``pieces`` bucketed by node and bases (node, q)."""
+    spark, d = pieces.sparkSession, table.d
+    shared = spark.sparkContext.broadcast((table.mean, table.factors))
+
+    def run(batches):
+        held: dict[int, np.ndarray] = {}
+        mean, factors = shared.value
+        for batch in batches:
+            for node, low, k, n, total, body, q in zip(*(batch.column(c).to_pylist() for c in ("node", "low", "k", "n", "total", "body", "q")), strict=True):
+                own, block = np.frombuffer(q).reshape(d, r), np.frombuffer(body).reshape(k, d)
+                z = held.setdefault(node, np.zeros((d, r)))
+                if low < 0:
+                    z += factors[node] * (block.T @ (block @ own))
+                else:
+                    z[low : low + k] += factors[node] * (block @ own)
+                if total is not None:
+                    sums, along = np.frombuffer(total), mean @ own
+                    z -= factors[node] * (np.outer(sums, along) + np.outer(mean, sums @ own - n * along))
+        for node, z in held.items():
+            yield pa.RecordBatch.from_arrays([pa.array([node] * d, pa.int32()), pa.array(range(d), pa.int32()), pa.array(list(z), pa.list_(pa.float64()))], ["node", "i", "z"])
+
+    joined = bases.hint("merge").join(pieces, "node", "left")  # nodes without rows have a product of zero
+    some = joined.where("body is not null").select("node", "low", "k", "n", "total", "body", "q").mapInArrow(run, consensus.VALUES)
+    empty = [int(i) for i in np.flatnonzero(table.rows == 0)]
+    if not empty:
+        return some
+    zero = spark.createDataFrame([(i,) for i in empty], "node int").withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(d - 1)))).withColumn("z", F.array_repeat(F.lit(0.0), r))
+    return some.union(zero)
+
+
+def _spread_steps(table: PieceTable, w: np.ndarray, plan: Sequence[int], q0: np.ndarray, rescale: str, literal: bool) -> Iterator[tuple[int, HeldBases]]:
+    spark, (d, r), n = table.df.sparkSession, q0.shape, table.n
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), min(n, 4096))
+    pieces, powers, inner = stored_by(table.df, "node", buckets), Powers(w), 0
+    at = np.argwhere(w > 0)
+    edges = spark.createDataFrame([(int(i), int(j), float(w[i, j])) for i, j in at], "src int, dst int, w double")
+    first = spark.sparkContext.broadcast(q0.tobytes())
+
+    def begun(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array([first.value] * batch.num_rows, pa.binary())], ["node", "q"])
+
+    def orthonormal(key: tuple, group: pa.Table) -> pa.Table:
         group = group.sort_by("i")
         q, _ = positive_qr(np.asarray(group["z"].combine_chunks().flatten()).reshape(group.num_rows, -1))
-        return pa.table({"node": group["node"].cast(pa.int32()), "i": group["i"].cast(pa.int32()), "q": list(q)}, schema=pa.schema([("node", pa.int32()), ("i", pa.int32()), ("q", pa.list_(pa.float64()))]))
+        return pa.table({"node": key, "q": pa.array([q.tobytes()], pa.binary())})
 
+    basis = stored(spark.range(n).select(F.col("id").cast("int").alias("node")).mapInArrow(begun, "node int, q binary"), "basis")
     for t, k in enumerate(plan):
         inner += k
-        power = powers[k]
-        scale = anchor_scale(power, rescale)
-        z = scatter.groupBy("node").cogroup(basis.groupBy("node")).applyInArrow(product, consensus.VALUES)
-        if mode == "literal":
+        scale = anchor_scale(powers[k], rescale)
+        z = spread_product(pieces, basis, table, r)
+        if literal:
             factors = spark.createDataFrame([(i, float(s)) for i, s in enumerate(scale)], "node int, s double")
             z = consensus.run_rounds(z, edges, k).join(F.broadcast(factors), "node").select("node", "i", F.transform("z", lambda v: v * F.col("s")).alias("z"))
         else:
-            z = consensus.run_fused(z, power, scale)
-        basis = stored(z.groupBy("node").applyInArrow(orthonormal, BASIS), f"basis{t}")
-        if truth is not None and (t % every == 0 or t == len(plan) - 1):
-            from meshspan.operators.metrics import subspace_error, truth_table
-
-            rows = subspace_error(basis, truth_table(spark, truth)).collect()  # one number per node
-            trace += [(meta["method"], t, inner, x["node"], x["error"], float("nan"), float("nan")) for x in rows]
-            if stop is not None and stop(Step(t, inner, error=max(x["error"] for x in rows), sends=topology.mean_degree() * inner)):
-                break
-    return SubspaceResult(basis, spark.createDataFrame(trace, TRACE), cost, meta | {"mode": mode})
+            z = consensus.run_fused(z, powers[k], scale)
+        now = stored(z.groupBy("node").applyInArrow(orthonormal, "node int, q binary"), f"basis{t}")
+        released(basis)
+        basis = now
+        yield inner, HeldBases(basis, n, d, r)
 
 
 # ---------------------------------------------------------------- column split
 
 
-def _cross(samples: DataFrame, center: bool) -> DataFrame:
-    return moments.local_scatter(samples.select(F.lit(0).alias("node"), "features"))
+def _whole(samples: DataFrame, d: int, center: str) -> PieceTable:
+    """Moments of all rows as one node's."""
+    return node_pieces(samples.select(F.lit(0).alias("node"), "features"), 1, d, center=center)
+
+
+class LiteralColumns(SampleNodes):
+    """Scores as rows (sample, node), averaged by as many joins with the weights as the plan's next step says,
+    then multiplied back."""
+
+    def __init__(self, samples: DataFrame, d: int, center: str, w: np.ndarray, plan: Sequence[int]):
+        super().__init__(samples, d, center)
+        self.w, self.plan = w, iter(plan)
+
+    def column_product(self, blocks, power, q, rescale):
+        spark, r, k = self.samples.sparkSession, q.shape[1], next(self.plan)
+        mean = spark.createDataFrame([(self.mean.tolist(),)], "mean array<double>")
+        samples = self.samples.crossJoin(F.broadcast(mean)).select("sample_id", F.zip_with("features", "mean", lambda a, b: a - b).alias("features"))
+        rows = [(n, [int(i) for i in b], [q[b, j].tolist() for j in range(r)]) for n, b in enumerate(blocks)]
+        parts = spark.createDataFrame(rows, "node int, columns array<int>, q array<array<double>>")
+        at = np.argwhere(self.w > 0)
+        edges = spark.createDataFrame([(int(i), int(j), float(self.w[i, j])) for i, j in at], "src int, dst int, w double")
+        x = F.transform("columns", lambda c: F.element_at("features", c + 1))
+        z = samples.crossJoin(F.broadcast(parts)).withColumn("x", x).select(F.col("node"), F.col("sample_id").alias("i"), F.transform("q", lambda column: vec_dot(column, F.col("x"))).alias("z"))
+        mixed = consensus.run_rounds(z, edges, k)
+        scale = spark.createDataFrame([(n, float(s)) for n, s in enumerate(anchor_scale(power, rescale))], "node int, s double")
+        back = mixed.join(samples.withColumnRenamed("sample_id", "i"), "i").join(F.broadcast(parts.select("node", "columns")), "node").join(F.broadcast(scale), "node")
+        flat = back.select(F.posexplode("columns").alias("p", "feature"), "features", "z", "s").select("feature", (F.element_at("features", F.col("feature") + 1) * F.col("s")).alias("x"), "z")
+        sums = flat.groupBy("feature").agg(*[F.sum(F.col("x") * F.element_at("z", j + 1)).alias(f"v{j}") for j in range(r)]).orderBy("feature").toPandas()
+        return sums[[f"v{j}" for j in range(r)]].to_numpy() / (self.rows * len(blocks))
 
 
 def colsplit_subspace(
@@ -241,10 +415,11 @@ def colsplit_subspace(
 
     ``blocks``: the features of each node. The basis has one row per feature, with the node that holds it.
     ``qr``: gram or mgs; ``push_rounds``: averaging rounds of the distributed QR (None: the exact sum).
+    ``mode``: auto, cross, streamed or literal; streamed and literal take a truth only as a basis.
     """
     if len(blocks) != topology.n:
         raise ValueError("one block of columns per node")
-    d = _dimension(samples)
+    d = dimension(samples)
     if not np.array_equal(np.sort(np.concatenate(blocks)), np.arange(d)):
         raise ValueError("the blocks must hold every feature once")
     q0, w, plan = _start(init, d, r), topology.weights(weights), rounds(schedule, outer)
@@ -252,81 +427,21 @@ def colsplit_subspace(
     for k, b in enumerate(blocks):
         owner[b] = k
     if mode == "auto":
-        mode = "cross" if d <= 20_000 and d * d * 8 <= RESIDENT_BYTES else "streamed"
-    meta = {"method": f"column[{schedule.name}]", "mode": mode, "topology": topology.kind, "rounds": sum(plan), "d": d, "r": r}
-    from meshspan.operators.cost import p2p_cost
-
-    spark = samples.sparkSession
-    cost = p2p_cost(spark, topology, plan)
-    nodes = spark.createDataFrame([(int(i), int(n)) for i, n in enumerate(owner)], "i int, holder int")
-    if mode == "cross":
-        both = resident(_cross(samples, True), lambda m: loops.column_split(m[0], blocks, w, plan, q0, qr, push_rounds, rescale), r, meta["method"], truth, stop, every, topology.mean_degree(), center=center)
-        out = _split(both, cost, meta)
-        out.basis = out.basis.join(F.broadcast(nodes), "i").select(F.col("holder").alias("node"), "i", "q")
-        return out
-    powers = Powers(w)
-    if center == "exact":
-        from meshspan.sources.features import linear_map
-
-        m = moments.global_moments(samples) if d <= 8192 else None
-        if m is None:
-            raise ValueError("centre the samples before streaming over 8,192 features")
-        samples = linear_map(samples, np.eye(d), m.mean) if d <= 64 else samples.withColumn("features", F.zip_with("features", F.array(*[F.lit(float(v)) for v in m.mean]), lambda a, b: a - b))
-    samples = stored(samples.select("sample_id", "features"), "columns")
-    n = samples.count()
-    q, trace, inner = q0, [], 0
-    if isinstance(truth, str):
-        truth = leading(moments.global_moments(samples).scatter, r)[1]
-    for t, k in enumerate(plan):
-        inner += k
-        share = powers[k].T * anchor_scale(powers[k], rescale)[:, None]
-        v = (_streamed if mode == "streamed" else _literal)(samples, blocks, q, share, w, k, powers[k], rescale, d) / (n * topology.n)
-        agree = None if push_rounds is None else powers[push_rounds]
-        q = loops.gram_qr(v, blocks, agree) if qr == "gram" else loops.modified_gram_schmidt(v, blocks, agree)
-        if truth is not None and (t % every == 0 or t == len(plan) - 1):
-            trace.append((meta["method"], t, inner, 0, float(angle_error(q, truth)), float("nan"), float("nan")))
-    basis = spark.createDataFrame([(int(owner[i]), i, q[i].tolist()) for i in range(d)], BASIS)
-    return SubspaceResult(basis, spark.createDataFrame(trace, TRACE), cost, meta)
+        mode = "cross" if d * d * 8 <= RESIDENT_BYTES else "streamed"
+    method, degree, spark = f"column[{schedule.name}]", topology.mean_degree(), samples.sparkSession
 
+    def make(c):
+        return loops.column_split(c, blocks, w, plan, q0, qr, push_rounds, rescale)
 
-def _streamed(samples, blocks, q, share, w, k, power, rescale, d) -> np.ndarray:
-    """One scan: every row holds all nodes' columns, so their scores are averaged inside the row; d x r
-    partial sums per task leave the scan and are added by feature."""
-    shared = samples.sparkSession.sparkContext.broadcast((blocks, q, share))
-
-    def run(batches):
-        blocks, q, share = shared.value
-        out = np.zeros(q.shape)
-        for batch in batches:
-            if batch.num_rows:
-                x = np.asarray(batch.column("features").flatten(), float).reshape(batch.num_rows, -1)
-                scores = np.stack([x[:, b] @ q[b] for b in blocks])
-                for b, s in zip(blocks, share, strict=True):
-                    out[b] += x[:, b].T @ np.tensordot(s, scores, 1)
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(out)), pa.int32()), pa.array(list(out), pa.list_(pa.float64()))], ["i", "v"])
-
-    r = q.shape[1]
-    parts = samples.select("features").mapInArrow(run, "i int, v array<double>")
-    sums = parts.groupBy("i").agg(*[F.sum(F.element_at("v", j + 1)).alias(f"v{j}") for j in range(r)]).orderBy("i").toPandas()
-    return sums[[f"v{j}" for j in range(r)]].to_numpy()
-
-
-def _literal(samples, blocks, q, share, w, k, power, rescale, d) -> np.ndarray:
-    """Scores as rows (sample, node), averaged by k joins with the weights, then multiplied back."""
-    spark, r = samples.sparkSession, q.shape[1]
-    rows = [(n, [int(i) for i in b], [q[b, j].tolist() for j in range(r)]) for n, b in enumerate(blocks)]
-    parts = spark.createDataFrame(rows, "node int, columns array<int>, q array<array<double>>")
-    at = np.argwhere(w > 0)
-    edges = spark.createDataFrame([(int(i), int(j), float(w[i, j])) for i, j in at], "src int, dst int, w double")
-    x = F.transform("columns", lambda c: F.element_at("features", c + 1))
-    dot = F.transform("q", lambda column: F.aggregate(F.zip_with(column, F.col("x"), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v))
-    z = samples.crossJoin(F.broadcast(parts)).withColumn("x", x).select(F.col("node"), F.col("sample_id").alias("i"), dot.alias("z"))
-    mixed = consensus.run_rounds(z, edges, k)
-    scale = spark.createDataFrame([(n, float(s)) for n, s in enumerate(anchor_scale(power, rescale))], "node int, s double")
-    back = mixed.join(samples.withColumnRenamed("sample_id", "i"), "i").join(F.broadcast(parts.select("node", "columns")), "node").join(F.broadcast(scale), "node")
-    flat = back.select(F.posexplode("columns").alias("p", "feature"), "features", "z", "s").select("feature", (F.element_at("features", F.col("feature") + 1) * F.col("s")).alias("x"), "z")
-    sums = flat.groupBy("feature").agg(*[F.sum(F.col("x") * F.element_at("z", j + 1)).alias(f"v{j}") for j in range(r)]).orderBy("feature").toPandas()
-    return sums[[f"v{j}" for j in range(r)]].to_numpy()
+    if mode == "cross":
+        out = run_method(_whole(samples, d, center), make, r, method, "auto", truth, stop, every, degree)
+    else:
+        c = SampleNodes(samples, d, center) if mode == "streamed" else LiteralColumns(samples, d, center, w, plan)
+        out = _driven(spark, c, make(c), r, method, truth, stop, every, degree)
+        released(c.samples)
+    nodes = spark.createDataFrame([(int(i), int(n)) for i, n in enumerate(owner)], "i int, holder int")
+    basis = out[0].join(F.broadcast(nodes), "i").select(F.col("holder").alias("node"), "i", "q")
+    return _ran((basis, *out[1:]), topology, {"method": method, "mode": mode, "topology": topology.kind, "d": d, "r": r})
 
 
 # ---------------------------------------------------------------- what they are compared with
@@ -334,41 +449,49 @@ def _literal(samples, blocks, q, share, w, k, power, rescale, d) -> np.ndarray:
 BASELINES = ("central", "central_sequential", "sequential", "hebbian", "projected_gradient", "tracking", "fast_tracking")
 
 
-def baseline(samples: DataFrame, name: str, r: int, topology: Topology | None = None, schedule: Schedule = Fixed(50), outer: int = 200, init: int | str | np.ndarray = 7, step: float = 0.1, rounds_per_step: int = 3, truth: Truth = None, every: int = 1, weights: str = "local_degree", stop: Stop | None = None) -> SubspaceResult:
-    """One of :data:`BASELINES` on row-split samples. Sequential methods share ``outer`` steps among the
-    vectors; step sizes are for a covariance whose largest eigenvalue is about one."""
-    d = _dimension(samples)
-    q0 = _start(init, d, r)
-    w = topology.weights(weights) if topology else np.ones((1, 1))
-    plan, per = rounds(schedule, outer), max(1, outer // r)
-    makes: dict[str, Callable[[np.ndarray], loops.Steps]] = {
-        "central": lambda m: loops.central(m / len(m), outer, q0),
-        "central_sequential": lambda m: loops.central_sequential(m / len(m), per, q0),
+def baseline_loop(name: str, w: np.ndarray, plan: Sequence[int], outer: int, q0: np.ndarray, step: float = 0.1, rounds_per_step: int = 3) -> Callable:
+    """The loop of one of :data:`BASELINES` as a function of node moments. Sequential methods share ``outer`` steps
+    among the vectors."""
+    per = max(1, outer // q0.shape[1])
+    return {
+        "central": lambda m: loops.central(m, outer, q0),
+        "central_sequential": lambda m: loops.central_sequential(m, per, q0),
         "sequential": lambda m: loops.sequential(m, w, plan, per, q0),
         "hebbian": lambda m: loops.hebbian(m, w, outer, q0, step),
         "projected_gradient": lambda m: loops.projected_gradient(m, w, outer, q0, step),
         "tracking": lambda m: loops.tracking(m, w, outer, q0, rounds_per_step),
         "fast_tracking": lambda m: loops.tracking(m, w, outer, q0, rounds_per_step, fast=True),
-    }
-    n = topology.n if topology and not name.startswith("central") else None
-    both = resident(moments.local_scatter(samples), makes[name], r, name, truth, stop, every, topology.mean_degree() if topology else 0.0, n)
-    return _split(both, None, {"method": name, "d": d, "r": r})
+    }[name]
+
+
+def baseline(samples: DataFrame, name: str, r: int, topology: Topology | None = None, schedule: Schedule = Fixed(50), outer: int = 200, init: int | str | np.ndarray = 7, step: float = 0.1, rounds_per_step: int = 3, truth: Truth = None, every: int = 1, weights: str = "local_degree", stop: Stop | None = None, mode: str = "auto") -> SubspaceResult:
+    """One of :data:`BASELINES` on row-split samples; step sizes are for a covariance whose largest eigenvalue is
+    about one."""
+    d, spark = dimension(samples), samples.sparkSession
+    q0, alone = _start(init, d, r), name.startswith("central")
+    w = topology.weights(weights) if topology else np.ones((1, 1))
+    if alone or topology is None:
+        samples = samples.select(F.lit(0).alias("node"), "features")
+    table = node_pieces(samples, 1 if alone or topology is None else topology.n, d)
+    make = baseline_loop(name, w, rounds(schedule, outer), outer, q0, step, rounds_per_step)
+    out = run_method(table, make, r, name, mode, truth, stop, every, topology.mean_degree() if topology and not alone else 0.0)
+    return _ran(out, None if alone else topology, {"method": name, "d": d, "r": r})
 
 
-def colsplit_sequential(samples: DataFrame, blocks: Sequence[np.ndarray], topology: Topology, r: int, schedule: Schedule = Fixed(50), outer: int = 200, init: int | str | np.ndarray = 7, truth: Truth = None, every: int = 1) -> SubspaceResult:
-    d = _dimension(samples)
+def colsplit_sequential(samples: DataFrame, blocks: Sequence[np.ndarray], topology: Topology, r: int, schedule: Schedule = Fixed(50), outer: int = 200, init: int | str | np.ndarray = 7, truth: Truth = None, every: int = 1, stop: Stop | None = None, push_rounds: int | None = 50) -> SubspaceResult:
+    d = dimension(samples)
     q0, w, plan = _start(init, d, r), topology.weights(), rounds(schedule, outer)
-    both = resident(_cross(samples, True), lambda m: loops.column_sequential(m[0], blocks, w, plan, max(1, outer // r), q0), r, "column_sequential", truth, None, every)
-    return _split(both, None, {"method": "column_sequential", "d": d, "r": r})
+    out = run_method(_whole(samples, d, "exact"), lambda c: loops.column_sequential(c, blocks, w, plan, max(1, outer // r), q0, push_rounds), r, "column_sequential", "auto", truth, stop, every, topology.mean_degree())
+    return _ran(out, topology, {"method": "column_sequential", "d": d, "r": r})
 
 
-def blocksplit_subspace(samples: DataFrame, blocks: Sequence[np.ndarray], rows: Topology, columns: Topology, r: int, schedule: Schedule = Fixed(50), outer: int = 100, init: int | str | np.ndarray = 7, truth: Truth = None, every: int = 1) -> SubspaceResult:
+def blocksplit_subspace(samples: DataFrame, blocks: Sequence[np.ndarray], rows: Topology, columns: Topology, r: int, schedule: Schedule = Fixed(50), outer: int = 100, init: int | str | np.ndarray = 7, truth: Truth = None, every: int = 1, mode: str = "auto", stop: Stop | None = None) -> SubspaceResult:
     """Rows split over one network (``samples.node``) and columns over another."""
-    d = _dimension(samples)
+    d = dimension(samples)
     q0, plan = _start(init, d, r), rounds(schedule, outer)
     wr, wc = rows.weights(), columns.weights()
-    both = resident(moments.local_scatter(samples), lambda m: loops.block_split(m, blocks, wr, wc, plan, q0), r, "block", truth, None, every, 0.0, rows.n)
-    return _split(both, None, {"method": "block", "d": d, "r": r})
+    out = run_method(node_pieces(samples, rows.n, d), lambda m: loops.block_split(m, blocks, wr, wc, plan, q0), r, "block", mode, truth, stop, every, rows.mean_degree())
+    return _ran(out, rows, {"method": "block", "d": d, "r": r})
 
 
 def exact_subspace(samples: DataFrame, r: int) -> tuple[np.ndarray, np.ndarray]:

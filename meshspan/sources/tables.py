@@ -38,6 +38,19 @@ def write_bucketed(df: DataFrame, name: str, buckets: int, key: str = "node") ->
     df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
 
 
+def stored_by(df: DataFrame, key: str, buckets: int) -> DataFrame:
+    """Like :func:`stored`, as a table bucketed by a key: grouping by it or joining on it moves no row."""
+    path = f"{scratch_dir(df.sparkSession)}/meshspan-{uuid.uuid4().hex}"
+    name = f"meshspan_{uuid.uuid4().hex}"
+    if not _STORED:
+        atexit.register(_remove_stored)
+    _STORED.append(path)
+    df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", f"{path}/{name}").saveAsTable(name)
+    out = df.sparkSession.table(name)
+    out.stored_at = path
+    return out
+
+
 def scratch_dir(spark: SparkSession) -> str:
     """Shared folder for intermediate tables: spark.checkpoint.dir of the session, else the context's
     checkpoint directory, else (local master only) a temporary folder."""
@@ -64,19 +77,31 @@ def stored(df: DataFrame, name: str = "state") -> DataFrame:
         atexit.register(_remove_stored)
     _STORED.append(path)
     df.write.parquet(f"{path}/{name}")
-    return df.sparkSession.read.schema(df.schema).parquet(f"{path}/{name}")
+    out = df.sparkSession.read.schema(df.schema).parquet(f"{path}/{name}")
+    out.stored_at = path
+    return out
+
+
+def _remove(session: SparkSession, path: str) -> None:
+    context = session.sparkContext
+    with contextlib.suppress(Exception):
+        where = context._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(context._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def released(df: DataFrame) -> None:
+    """Delete the files of a table that :func:`stored` returned, once nothing reads it any more."""
+    path = getattr(df, "stored_at", None)
+    if path in _STORED:
+        _STORED.remove(path)
+        _remove(df.sparkSession, path)
 
 
 def _remove_stored() -> None:
     """Best effort: a session that is gone leaves its folder to whoever owns it."""
     session = SparkSession.getActiveSession()
-    if session is None:
-        return
-    context = session.sparkContext
-    for path in _STORED:
-        with contextlib.suppress(Exception):
-            where = context._jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(context._jsc.hadoopConfiguration()).delete(where, True)
+    for path in _STORED if session is not None else ():
+        _remove(session, path)
 
 
 def save_state(basis: DataFrame, t: int, path: str) -> None:
