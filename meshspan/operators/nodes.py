@@ -321,6 +321,10 @@ class LocalNodes:
             out[node] += factors[node] * (block - cross - cross.T + own_n * np.outer(mean, mean))
         return cls(matrices=out)
 
+    def scaled(self, by: float) -> LocalNodes:
+        """The same moments times a number."""
+        return LocalNodes(self.matrices * by) if self.matrices is not None else LocalNodes(rows=[x * np.sqrt(by) for x in self.rows])
+
     def apply(self, q: np.ndarray) -> np.ndarray:
         """Every node's product with its own basis: (N, d, r), or one basis for all."""
         q = np.asarray(q)

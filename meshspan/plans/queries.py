@@ -17,16 +17,18 @@ from meshspan.functions.linalg import Powers
 from meshspan.functions.vectors import vec_dot
 from meshspan.operators import consensus, cost, encode, loops, metrics, moments, partition, subspace, topology
 from meshspan.plans import workloads
-from meshspan.plans.schedules import RULES, Fixed, Ramp, schedule_table
+from meshspan.plans.chains import Chain, edges_sql
+from meshspan.plans import stopping
+from meshspan.plans.schedules import RULES, Explicit, Fixed, Ramp, schedule_table
 from meshspan.sources import features
 from meshspan.sources.tables import load_table
 from meshspan.streaming import incremental
 
 Query = Callable[[SparkSession, str], DataFrame]
-REGISTRY: dict[str, tuple[Query, str | None]] = {}
+REGISTRY: dict[str, tuple[Query, str | Callable[[], str] | None]] = {}
 
 
-def query(sql: str | None = None):
+def query(sql: str | Callable[[], str] | None = None):
     def register(f: Query) -> Query:
         REGISTRY[f.__name__] = (f, sql)
         return f
@@ -81,19 +83,12 @@ def published_messages(spark, sf_dir):
     return joined.groupBy("tab", "config", "rule", "degree", "outer_steps").agg(total.alias("rounds_total"), r6(F.col("degree") * total / 1000, 3).alias("p2p_k"))
 
 
-_FRACTION = "(CAST(('0x' || substr(md5('{seed}|' || a.i || '|' || b.i), 1, 8)) AS BIGINT) / 4294967296.0)"
-
-
-def _edges_sql(n: int, p: float, seed: int) -> str:
-    return f"SELECT CAST(a.i AS INT) AS src, CAST(b.i AS INT) AS dst FROM range({n}) a(i), range({n}) b(i) WHERE a.i < b.i AND {_FRACTION.format(seed=seed)} < {p}"
-
-
-@query(_edges_sql(20, 0.25, 1))
+@query(edges_sql(20, 0.25, 1))
 def random_graph_edges(spark, sf_dir):
     return topology.random_edges(spark, 20, 0.25, 1)
 
 
-_GRAPHS_SQL = f"""SELECT 'random' AS graph, src, dst FROM ({_edges_sql(20, 0.25, 1)}) UNION ALL
+_GRAPHS_SQL = f"""SELECT 'random' AS graph, src, dst FROM ({edges_sql(20, 0.25, 1)}) UNION ALL
  SELECT 'ring', CAST(least(i, (i + 1) % 20) AS INT), CAST(greatest(i, (i + 1) % 20) AS INT) FROM range(20) r(i) UNION ALL SELECT 'star', 0, CAST(i AS INT) FROM range(1, 20) s(i)"""
 
 
@@ -127,7 +122,7 @@ def star_messages(spark, sf_dir):
     return cost.by_role(cost.p2p_cost(spark, graph, [RULES["2t+1"].at(t) for t in range(200)])).withColumn("sends", r6(F.col("sends"), 4))
 
 
-_WEIGHTS_SQL = f"""WITH e AS ({_edges_sql(20, 0.25, 1)}), b AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), d AS (SELECT src, count(*) AS deg FROM b GROUP BY src),
+_WEIGHTS_SQL = f"""WITH e AS ({edges_sql(20, 0.25, 1)}), b AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), d AS (SELECT src, count(*) AS deg FROM b GROUP BY src),
  o AS (SELECT b.src, b.dst, 1.0 / greatest(x.deg, y.deg) AS w FROM b JOIN d x ON x.src = b.src JOIN d y ON y.src = b.dst),
  w AS (SELECT src, dst, CAST(w AS DOUBLE) AS w FROM o UNION ALL SELECT CAST(i AS INT), CAST(i AS INT), 1 - coalesce((SELECT sum(CAST(w AS DOUBLE)) FROM o WHERE o.src = i), 0) FROM range(20) n(i))"""
 
@@ -144,13 +139,13 @@ def weight_sums(spark, sf_dir):
     return rows.join(columns, "node").select("node", r6(F.col("given")).alias("given"), r6(F.col("taken")).alias("taken"))
 
 
-def _node_means(spark: SparkSession, sf_dir: str, n: int = 20, d: int = 4) -> DataFrame:
+def _node_means(spark: SparkSession, sf_dir: str, n: int = 20, d: int = 64) -> DataFrame:
     e = partition.by_hash(features.embeddings(spark, sf_dir, d), n)
     sums = e.groupBy("node").agg(*[F.sum(F.element_at("features", i + 1)).alias(f"s{i}") for i in range(d)])
     return sums.select("node", F.lit(0).alias("i"), F.array(*[f"s{i}" for i in range(d)]).alias("z"))
 
 
-_NODE_SUMS_SQL = """z0 AS (SELECT CAST(vec_id % 20 AS INT) AS node, k - 1 AS k, sum(CAST(embedding[k] AS DOUBLE)) AS v FROM embeddings, range(1, 5) r(k) GROUP BY 1, 2)"""
+_NODE_SUMS_SQL = """z0 AS (SELECT CAST(vec_id % 20 AS INT) AS node, k - 1 AS k, sum(CAST(embedding[k] AS DOUBLE)) AS v FROM embeddings, range(1, 65) r(k) GROUP BY 1, 2)"""
 
 
 def _round_sql(k: int) -> str:
@@ -192,10 +187,10 @@ def anchor_entries(spark, sf_dir):
 
 
 @query("""SELECT CAST(label AS INT) AS node, CAST(i - 1 AS INT) AS i, CAST(j - 1 AS INT) AS j, count(*) AS n, round(sum(CAST(embedding[i] AS DOUBLE) * CAST(embedding[j] AS DOUBLE)), 6) + 0.0 AS v
- FROM embeddings, range(1, 9) a(i), range(1, 9) b(j) GROUP BY label, i, j""")
+ FROM embeddings, range(1, 65) a(i), range(1, 65) b(j) GROUP BY label, i, j""")
 def node_scatter(spark, sf_dir):
-    """Raw second moments of every label's embeddings (eight dimensions)."""
-    e = features.embeddings(spark, sf_dir, 8).withColumn("node", F.col("label"))
+    """Raw second moments of every label's embeddings."""
+    e = features.embeddings(spark, sf_dir).withColumn("node", F.col("label"))
     return moments.local_scatter(e).select("node", "i", F.posexplode("row").alias("j", "v"), "n").select("node", "i", "j", "n", r6(F.col("v")).alias("v"))
 
 
@@ -203,11 +198,11 @@ _ORDER_SQL = """SELECT l_orderkey AS k, count(*) AS f0, sum(l_quantity) AS f1, s
  avg(l_discount) AS f5, avg(l_tax) AS f6, max(l_quantity) AS f7 FROM lineitem GROUP BY l_orderkey"""
 
 
-@query("""WITH e AS (SELECT CAST(embedding[i] AS DOUBLE) AS x, CAST(embedding[j] AS DOUBLE) AS y, i, j FROM embeddings, range(1, 17) a(i), range(1, 17) b(j))
+@query("""WITH e AS (SELECT CAST(embedding[i] AS DOUBLE) AS x, CAST(embedding[j] AS DOUBLE) AS y, i, j FROM embeddings, range(1, 65) a(i), range(1, 65) b(j))
  SELECT CAST(i - 1 AS INT) AS i, CAST(j - 1 AS INT) AS j, round(covar_pop(x, y), 8) + 0.0 AS v FROM e GROUP BY i, j""")
 def embedding_covariance(spark, sf_dir):
-    m = moments.global_moments(features.embeddings(spark, sf_dir, 16))
-    return spark.createDataFrame([(i, j, float(m.covariance[i, j])) for i in range(16) for j in range(16)], "i int, j int, v double").withColumn("v", r6(F.col("v"), 8))
+    m = moments.global_moments(features.embeddings(spark, sf_dir))
+    return spark.createDataFrame([(i, j, float(m.covariance[i, j])) for i in range(m.d) for j in range(m.d)], "i int, j int, v double").withColumn("v", r6(F.col("v"), 8))
 
 
 @query("""SELECT CAST(l_suppkey % 5 AS INT) AS node, CAST(i AS INT) AS i, CAST(j AS INT) AS j, count(*) AS n, round(sum((CASE i WHEN 0 THEN l_quantity WHEN 1 THEN l_discount * 100 ELSE l_tax * 100 END) * (CASE j WHEN 0 THEN l_quantity WHEN 1 THEN l_discount * 100 ELSE l_tax * 100 END)), 3) + 0.0 AS v
@@ -275,113 +270,218 @@ def order_exact_subspace(spark, sf_dir):
     return _projector(spark, subspace.exact_subspace(_orders(spark, sf_dir), 4)[1], 5)
 
 
-@query(_ORDER_PROJECTOR_SQL)
+@query(f"SELECT CAST(o AS INT) AS node, i, j, p FROM ({_ORDER_PROJECTOR_SQL}), range(10) o(o)")
 def order_row_split(spark, sf_dir):
-    """The same from rows split over ten nodes of a random graph (averaging 50 rounds a step)."""
+    """The same from rows split over ten nodes of a random graph, at every node (averaging 150 rounds a step)."""
     samples = partition.by_hash(_orders(spark, sf_dir), 10)
     out = subspace.rowsplit_subspace(samples, topology.erdos_renyi(10, 0.5), 4, Fixed(150), 60)
-    return _one_node(out.basis, 5)
+    return _every_node(out.basis, 5)
 
 
 @query(_ORDER_PROJECTOR_SQL)
 def order_column_split(spark, sf_dir):
     """The same from columns split over eight nodes."""
     out = subspace.colsplit_subspace(_orders(spark, sf_dir), partition.column_blocks(8, 8), topology.complete(8), 4, Fixed(50), 60, push_rounds=None)
-    return _one_node(out.basis.withColumn("node", F.lit(0)), 5)
-
+    return _every_node(out.basis.withColumn("node", F.lit(0)), 5).drop("node")
 
-def _one_node(basis: DataFrame, places: int = 6) -> DataFrame:
-    return metrics.projector(basis.where("node = 0")).select("i", "j", r6(F.col("p"), places).alias("p"))
 
+def _every_node(basis: DataFrame, places: int = 6) -> DataFrame:
+    return metrics.projector(basis).select("node", "i", "j", r6(F.col("p"), places).alias("p"))
 
-# ---------------------------------------------------------------- methods on data of a known subspace
 
-_AXES_SQL = "SELECT CAST(i AS INT) AS i, CAST(j AS INT) AS j, CASE WHEN i = j AND i < {r} THEN 1.0 ELSE 0.0 END + 0.0 AS p FROM range({d}) a(i), range({d}) b(j)"
-_AXES_20_5 = "SELECT i, j, CAST(p AS DOUBLE) AS p FROM (" + _AXES_SQL.format(r=5, d=20) + ")"
-_AXES_10_4 = "SELECT i, j, CAST(p AS DOUBLE) AS p FROM (" + _AXES_SQL.format(r=4, d=10) + ")"
+# ---------------------------------------------------------------- a few steps of every method, step by step
 
 
 def shaped_nodes(spark: SparkSession, sf_dir: str, n: int = 10, d: int = 20, r: int = 5, delta: float = 0.4, tied: bool = False) -> DataFrame:
     return partition.by_hash(features.shaped(features.embeddings(spark, sf_dir, d), r, delta, tied), n)
 
 
-def _method_query(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str = _AXES_20_5) -> None:
-    REGISTRY[name] = (run, sql)
+_GRAPH = topology.erdos_renyi(10, 0.5)
+_SEED = int(_GRAPH.kind.split("seed=")[1][:-1])
+_BLOCKS = partition.column_blocks(64, 10)
 
 
-_GRAPH = topology.erdos_renyi(10, 0.5)
-_method_query("row_split_fixed", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d), _GRAPH, 5, Fixed(150), 60).basis))
-_method_query("row_split_ramped", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d), _GRAPH, 5, Ramp(2, cap=150), 120).basis))
-_method_query("row_split_half_ramp", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d), _GRAPH, 5, Ramp(0.5, cap=150, rounding="floor"), 330).basis))
-_method_query("row_split_tied", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d, tied=True), _GRAPH, 5, Ramp(1, cap=150), 180).basis))
-_method_query("row_split_complete", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d), topology.complete(10), 5, Fixed(1), 60, weights="uniform").basis))
-_method_query("row_split_fused", lambda s, d: _one_node(subspace.rowsplit_subspace(shaped_nodes(s, d, delta=0.05), _GRAPH, 5, Fixed(150), 9, mode="fused").basis))
-_method_query("column_split_cross", lambda s, d: _one_node(subspace.colsplit_subspace(shaped_nodes(s, d, d=10, r=4), partition.column_blocks(10, 10), _GRAPH, 4, Fixed(150), 60, push_rounds=200).basis.withColumn("node", F.lit(0))), _AXES_10_4)
-_method_query("column_split_mgs", lambda s, d: _one_node(subspace.colsplit_subspace(shaped_nodes(s, d, d=10, r=4), partition.column_blocks(10, 5), topology.complete(5), 4, Fixed(20), 60, qr="mgs").basis.withColumn("node", F.lit(0))), _AXES_10_4)
-_method_query("column_split_streamed", lambda s, d: _one_node(subspace.colsplit_subspace(shaped_nodes(s, d, d=10, r=4, delta=0.05), partition.column_blocks(10, 10), _GRAPH, 4, Fixed(150), 9, mode="streamed", push_rounds=200).basis.withColumn("node", F.lit(0))), _AXES_10_4)
-_method_query("block_split", lambda s, d: _one_node(subspace.blocksplit_subspace(shaped_nodes(s, d, d=10, r=4), partition.column_blocks(10, 5), _GRAPH, topology.complete(5), 4, Fixed(150), 60).basis), _AXES_10_4)
-_method_query("central_orthogonal", lambda s, d: _one_node(subspace.baseline(shaped_nodes(s, d), "central", 5, outer=60).basis))
-_method_query("central_sequential", lambda s, d: _one_node(subspace.baseline(shaped_nodes(s, d), "central_sequential", 5, outer=2500).basis))
-_method_query("consensus_sequential", lambda s, d: _one_node(subspace.baseline(shaped_nodes(s, d), "sequential", 5, _GRAPH, Fixed(150), 2500, every=50).basis))
-_method_query("gradient_tracking", lambda s, d: _one_node(subspace.baseline(shaped_nodes(s, d), "tracking", 5, _GRAPH, outer=300, rounds_per_step=5, every=50).basis))
-_method_query("fast_gradient_tracking", lambda s, d: _one_node(subspace.baseline(shaped_nodes(s, d), "fast_tracking", 5, _GRAPH, outer=300, rounds_per_step=5, every=50).basis))
-_method_query("column_sequential", lambda s, d: _one_node(subspace.colsplit_sequential(shaped_nodes(s, d, d=10, r=4), partition.column_blocks(10, 10), _GRAPH, 4, Fixed(50), 2000, every=50).basis), _AXES_10_4)
-_method_query("exact_solver", lambda s, d: _projector(s, subspace.exact_subspace(shaped_nodes(s, d), 5)[1]))
-
-
-def _neighbourhood(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """Methods that stop near the answer: one row, whether the error lies between the bounds."""
-    out = subspace.baseline(shaped_nodes(spark, sf_dir, r=4), name, 4, _GRAPH, outer=1500, truth=np.eye(20)[:, :4], every=1499)
-    last = out.trace.groupBy().agg(F.max_by("error", "t").alias("error"))
-    return last.select(F.lit(name).alias("method"), ((F.col("error") > 1e-8) & (F.col("error") < 0.05)).alias("near"))
-
-
-REGISTRY["hebbian_neighbourhood"] = (lambda s, d: _neighbourhood(s, d, "hebbian"), "SELECT 'hebbian' AS method, true AS near")
-REGISTRY["gradient_neighbourhood"] = (lambda s, d: _neighbourhood(s, d, "projected_gradient"), "SELECT 'projected_gradient' AS method, true AS near")
-
-
-@query("SELECT CAST(i AS INT) AS node, false AS exact FROM range(10) r(i)")
+def _ten(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return partition.by_hash(features.embeddings(spark, sf_dir), 10)
+
+
+def _entries(basis: DataFrame) -> DataFrame:
+    return basis.select("node", "i", F.posexplode("q").alias("k", "q")).select("node", "i", "k", r6(F.col("q")).alias("q"))
+
+
+def _stepped(name: str, run: Callable[[DataFrame], subspace.SubspaceResult], sql: Callable[[Chain], str], doc: str) -> None:
+    """A method begun at the first two axes: every node's basis after a few steps, all components."""
+
+    def own(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return _entries(run(_ten(spark, sf_dir)).basis)
+
+    own.__doc__ = doc
+    REGISTRY[name] = (own, lambda: (lambda c: c.select(sql(c)))(Chain(10, 64, 0.5, _SEED)))
+
+
+def _row(schedule, outer: int = 3, **more):
+    return lambda x: subspace.rowsplit_subspace(x, _GRAPH, 2, schedule, outer, "axes", **more)
+
+
+def _base(name: str, **more):
+    return lambda x: subspace.baseline(x, name, 2, _GRAPH, init="axes", **more)
+
+
+def _columns(schedule, outer: int = 3, **more):
+    return lambda x: subspace.colsplit_subspace(x, _BLOCKS, _GRAPH, 2, schedule, outer, "axes", **more)
+
+
+_stepped("row_split_fixed", _row(Fixed(2)), lambda c: c.row_split([2, 2, 2]), "Fixed rounds.")
+_stepped("row_split_ramped", _row(Ramp(2)), lambda c: c.row_split([1, 3, 5]), "Rounds that grow by two a step.")
+_stepped("row_split_slow_ramp", _row(Ramp(1)), lambda c: c.row_split([1, 2, 3]), "Rounds that grow by one a step.")
+_stepped("row_split_half_ramp", _row(Ramp(0.5, rounding="floor"), 4), lambda c: c.row_split([1, 1, 2, 2]), "Rounds that grow every other step.")
+_stepped("row_split_half_ramp_up", _row(Ramp(0.5)), lambda c: c.row_split([1, 2, 2]), "The same, rounded up.")
+_stepped("row_split_explicit", _row(Explicit((0, 1, 4))), lambda c: c.row_split([0, 1, 4]), "A list of rounds; without a round, a node that is not the anchor keeps its own product.")
+_stepped("row_split_fused", _row(Fixed(2), mode="fused"), lambda c: c.row_split([2, 2, 2]), "Products as distributed jobs.")
+_stepped("row_split_spread", _row(Fixed(2), 2, mode="spread"), lambda c: c.row_split([2, 2]), "Bases in tables.")
+_stepped("row_split_literal", _row(Fixed(2), 2, mode="literal"), lambda c: c.row_split([2, 2]), "Every averaging round a join.")
+_stepped("consensus_sequential", _base("sequential", schedule=Fixed(2), outer=4), lambda c: c.sequential(2, 2), "One vector after the other, averaged.")
+_stepped("hebbian_steps", _base("hebbian", outer=3, step=0.1), lambda c: c.hebbian(3, 0.1), "Generalised Hebbian rule.")
+_stepped("projected_gradient_steps", _base("projected_gradient", outer=3, step=0.1), lambda c: c.projected_gradient(3, 0.1), "Projected gradient.")
+_stepped("gradient_tracking", _base("tracking", outer=3, rounds_per_step=2), lambda c: c.tracking(3, 2), "Gradient tracking.")
+_stepped("central_orthogonal", _base("central", outer=3), lambda c: c.central(3), "Central orthogonal iteration.")
+_stepped("central_sequential", _base("central_sequential", outer=4), lambda c: c.central_sequential(2), "Central sequential power steps.")
+_stepped("column_split_cross", _columns(Fixed(2), push_rounds=None), lambda c: c.column_split(_BLOCKS, [2, 2, 2], None), "Columns split, exact inner products.")
+_stepped("column_split_agreed", _columns(Ramp(1), push_rounds=3), lambda c: c.column_split(_BLOCKS, [1, 2, 3], 3), "Columns split, ramped, inner products as three rounds give them.")
+_stepped("column_split_mgs", _columns(Fixed(2), qr="mgs", push_rounds=3), lambda c: c.column_split(_BLOCKS, [2, 2, 2], 3, "mgs"), "The same with modified Gram-Schmidt.")
+_stepped("column_split_streamed", _columns(Fixed(2), mode="streamed", push_rounds=None), lambda c: c.column_split(_BLOCKS, [2, 2, 2], None), "One scan of the samples per step.")
+_stepped("column_split_literal", _columns(Fixed(2), 1, mode="literal", push_rounds=None), lambda c: c.column_split(_BLOCKS, [2], None), "Scores of samples averaged by joins.")
+_stepped("column_sequential", lambda x: subspace.colsplit_sequential(x, _BLOCKS, _GRAPH, 2, Fixed(2), 4, "axes", push_rounds=3), lambda c: c.column_sequential(_BLOCKS, 2, 2, 3), "Columns split, one vector after the other.")
+_stepped("block_split", lambda x: subspace.blocksplit_subspace(x, _BLOCKS, _GRAPH, _GRAPH, 2, Fixed(2), 3, "axes"), lambda c: c.block_split(_BLOCKS, [2, 2, 2]), "Rows and columns split.")
+# the last three hold one basis, not one per node
+for _name in ("column_sequential", "block_split"):
+    _run = REGISTRY[_name][0]
+    _sql = REGISTRY[_name][1]
+    REGISTRY[_name] = (_run, lambda sql=_sql: sql().replace(" SELECT node AS node,", " SELECT 0 AS node,"))
+
+
+def _uniform_sql() -> str:
+    c = Chain(10, 64, 0.5, _SEED)
+    q = c.central(3)
+    return c.select(c.add(f"SELECT CAST(o AS INT) AS node, i, k, v FROM {q}, range(10) o(o)"))
+
+
+@query(_uniform_sql)
+def row_split_complete(spark, sf_dir):
+    """Uniform weights on the complete graph: one round is exact, so every node walks the central iteration."""
+    return _entries(subspace.rowsplit_subspace(_ten(spark, sf_dir), topology.complete(10), 2, Fixed(1), 3, "axes", weights="uniform").basis)
+
+
+def _measures_sql() -> str:
+    c = Chain(10, 64, 0.5, _SEED)
+    return c.measures(c.row_split([2, 2, 2]), c.central(3))
+
+
+@query(_measures_sql)
+def error_measures(spark, sf_dir):
+    """Every node's basis after three steps against the central one: angle error, lost variance, orthonormality
+    defect, distance, and the largest distance from the mean basis."""
+    samples = _ten(spark, sf_dir)
+    basis = subspace.rowsplit_subspace(samples, _GRAPH, 2, Fixed(2), 3, "axes").basis
+    central = subspace.baseline(samples, "central", 2, init="axes", outer=3).as_matrix(0)
+    truth = metrics.truth_table(spark, central)
+    n = samples.count()
+    lost = metrics.objective(subspace.centred(moments.local_scatter(samples)), basis).select("node", (F.col("lost") / n).alias("lost"))
+    out = metrics.subspace_error(basis, truth).join(lost, "node").join(metrics.orthonormality_defect(basis), "node").join(metrics.distance_to_central(basis, truth).withColumnRenamed("distance", "from_central"), "node")
+    return out.crossJoin(metrics.disagreement(basis)).select("node", *[r6(F.col(c)).alias(c) for c in ("error", "lost", "defect", "from_central", "disagreement")])
+
+
+def _traced_sql() -> str:
+    c = Chain(10, 64, 0.5, _SEED)
+    central = c.central(6)
+    parts = []
+    for t, plan in enumerate(([1], [1, 3], [1, 3, 5])):
+        q = c.row_split(plan)
+        cross = c.add(f"SELECT q.node, sum(s * s) AS s FROM (SELECT q.node, q.k AS a, p.k AS b, sum(q.v * p.v) AS s FROM {q} q JOIN {central} p ON p.i = q.i GROUP BY q.node, q.k, p.k) q GROUP BY q.node")
+        parts.append(f"SELECT {t} AS t, {sum(plan)} AS inner_total, node, round(1 - s / 2, 6) + 0e0 AS error FROM {cross}")
+    return f"WITH {', '.join(c.parts)} SELECT CAST(t AS INT) AS t, CAST(inner_total AS BIGINT) AS inner_total, CAST(node AS INT) AS node, error FROM ({' UNION ALL '.join(parts)})"
+
+
+@query(_traced_sql)
+def flagship(spark, sf_dir):
+    """Row-split estimation with ramped rounds: every node's error at every step, towards a far central iterate."""
+    samples = _ten(spark, sf_dir)
+    truth = subspace.baseline(samples, "central", 2, init="axes", outer=6).as_matrix(0)
+    trace = subspace.rowsplit_subspace(samples, _GRAPH, 2, Ramp(2), 3, "axes", truth=truth).trace
+    return trace.select("t", "inner_total", "node", r6(F.col("error")).alias("error"))
+
+
+@query("SELECT o.mode, CAST(i AS INT) AS option, true AS same FROM (VALUES ('fused', 0), ('fused', 1), ('fused', 2), ('fused', 3), ('fused', 4), ('spread', 1), ('spread', 2), ('streamed', 0), ('streamed', 1), ('streamed', 2)) o(mode, i)")
+def modes_agree(spark, sf_dir):
+    """Whether other modes than the resident (row split) and cross (column split) ones give its bases, traces, last
+    step and cost under stops, weights by node and centring."""
+    x = partition.skewed(features.embeddings(spark, sf_dir), 10)
+    options = [{"truth": np.eye(64)[:, :2]}, {"stop": stopping.subspace_change(0.2)}, {"local_scale": "mean"}, {"stop": stopping.message_budget(30), "every": 2}, {"center": "none", "stop": stopping.rayleigh_residual(0.01)}]
+    rows = []
+
+    def figures(out) -> tuple:
+        trace = out.trace.orderBy("t", "node").toPandas()
+        q = np.stack(out.basis.orderBy("node", "i").toPandas().q.to_list())
+        return out.meta["steps"], out.cost.agg(F.sum("sends")).first()[0], trace[["t", "inner_total", "node", "error", "objective", "disagreement"]].astype(float).to_numpy(), q
+
+    def same(a: tuple, b: tuple) -> bool:
+        return a[:2] == b[:2] and all(u.shape == v.shape and np.allclose(u, v, atol=1e-7, equal_nan=True) for u, v in zip(a[2:], b[2:], strict=True))
+
+    for i, o in enumerate(options):
+        runs = {m: figures(subspace.rowsplit_subspace(x, _GRAPH, 2, Ramp(1), 3, "axes", mode=m, **o)) for m in ("resident", "fused", "spread")[: 3 if i in (1, 2) else 2]}
+        rows += [(m, i, same(runs["resident"], own)) for m, own in runs.items() if m != "resident"]
+    for i, o in enumerate(({"truth": np.eye(64)[:, :2]}, {"stop": stopping.subspace_change(0.2)}, {"stop": stopping.message_budget(4)})):
+        runs = {m: figures(subspace.colsplit_subspace(x, _BLOCKS, _GRAPH, 2, Fixed(1), 2, "axes", mode=m, push_rounds=20, **o)) for m in ("cross", "streamed")}
+        rows += [(m, i, same(runs["cross"], own)) for m, own in runs.items() if m != "cross"]
+    return spark.createDataFrame(rows, "mode string, option int, same boolean")
+
+
+# ---------------------------------------------------------------- methods on data of a known subspace
+
+_AXES_SQL = "SELECT CAST(o AS INT) AS node, CAST(i AS INT) AS i, CAST(j AS INT) AS j, CASE WHEN i = j AND i < {r} THEN 1e0 ELSE 0e0 END AS p FROM range({n}) o(o), range({d}) a(i), range({d}) b(j)"
+REGISTRY["row_split_tied"] = (lambda s, d: _every_node(subspace.rowsplit_subspace(shaped_nodes(s, d, tied=True), _GRAPH, 5, Ramp(1, cap=150), 180, every=180).basis), _AXES_SQL.format(n=10, r=5, d=20))
+REGISTRY["fast_gradient_tracking"] = (lambda s, d: _every_node(subspace.baseline(shaped_nodes(s, d), "fast_tracking", 5, _GRAPH, outer=300, rounds_per_step=5, every=300).basis), _AXES_SQL.format(n=10, r=5, d=20))
+
+_LOCAL_SQL = f"""WITH RECURSIVE {_STANDARD_SQL}, zn AS (SELECT CAST(k % 5 AS INT) AS node, k, i, x FROM z), mn AS (SELECT node, i, avg(x) AS m FROM zn GROUP BY node, i),
+ cn AS (SELECT a.node, a.i, b.i AS j, avg((a.x - p.m) * (b.x - q.m)) AS v FROM zn a JOIN zn b ON a.k = b.k JOIN mn p ON p.node = a.node AND p.i = a.i JOIN mn q ON q.node = b.node AND q.i = b.i GROUP BY a.node, a.i, b.i),
+ sq AS (SELECT 0 AS n, node, i, j, v / (SELECT sum(v) FROM cn d WHERE d.i = d.j AND d.node = cn.node) AS v FROM cn UNION ALL
+  SELECT n + 1, node, i, j, v / sum(CASE WHEN i = j THEN v ELSE 0e0 END) OVER (PARTITION BY node) FROM (SELECT a.n, a.node, a.i, b.j, sum(a.v * b.v) AS v FROM sq a JOIN sq b ON a.node = b.node AND a.j = b.i AND a.n = b.n WHERE a.n < 16 GROUP BY a.n, a.node, a.i, b.j)),
+ pn AS (SELECT node, i, j, v FROM sq WHERE n = 16)"""
+
+
+@query(f"{_LOCAL_SQL} SELECT node, CAST(i AS INT) AS i, CAST(j AS INT) AS j, round(v, 5) + 0e0 AS p FROM pn")
 def local_only(spark, sf_dir):
-    """Every node alone: none reaches the answer."""
-    errors = metrics.subspace_error(subspace.local_subspaces(shaped_nodes(spark, sf_dir), 5), metrics.truth_table(spark, np.eye(20)[:, :5]))
-    return errors.select("node", (F.col("error") < 1e-6).alias("exact"))
+    """Every node alone: the leading direction of its own orders."""
+    return _every_node(subspace.local_subspaces(partition.by_hash(_orders(spark, sf_dir), 5), 1), 5)
 
 
-@query()
+@query(f"""{_LOCAL_SQL}, av AS (SELECT i, j, avg(v) AS v FROM pn GROUP BY i, j), u AS (SELECT 0 AS n, i, j, v FROM av UNION ALL
+  SELECT n + 1, i, j, v / sum(CASE WHEN i = j THEN v ELSE 0e0 END) OVER () FROM (SELECT a.n, a.i, b.j, sum(a.v * b.v) AS v FROM u a JOIN u b ON a.j = b.i AND a.n = b.n WHERE a.n < 16 GROUP BY a.n, a.i, b.j))
+ SELECT CAST(i AS INT) AS i, CAST(j AS INT) AS j, round(v, 5) + 0e0 AS p FROM u WHERE n = 16""")
 def one_shot_projectors(spark, sf_dir):
-    q = subspace.one_shot_average(shaped_nodes(spark, sf_dir), 5)
-    return _projector(spark, q)
+    """One round of talk: leading direction of the mean of the nodes' projectors."""
+    return _projector(spark, subspace.one_shot_average(partition.by_hash(_orders(spark, sf_dir), 5), 1), 5)
 
 
 # ---------------------------------------------------------------- using a basis
 
-@query("""WITH x AS (SELECT vec_id, CAST(i AS INT) AS k, CAST(embedding[i + 1] AS DOUBLE) AS v FROM embeddings, range(8) r(i)), m AS (SELECT k, avg(v) AS m FROM x GROUP BY k)
+@query("""WITH x AS (SELECT vec_id, CAST(i AS INT) AS k, CAST(embedding[i + 1] AS DOUBLE) AS v FROM embeddings, range(64) r(i)), m AS (SELECT k, avg(v) AS m FROM x GROUP BY k)
  SELECT vec_id AS sample_id, k, round(v - m, 6) + 0.0 AS c FROM x JOIN m USING (k) WHERE k < 3""")
 def encoded_axes(spark, sf_dir):
     """Codes of the embeddings in the basis of the first three axes, about the mean."""
-    samples = features.embeddings(spark, sf_dir, 8)
-    coded = encode.encode(samples, np.eye(8)[:, :3], moments.global_moments(samples).mean)
+    samples = features.embeddings(spark, sf_dir)
+    coded = encode.encode(samples, np.eye(64)[:, :3], moments.global_moments(samples).mean)
     return coded.select("sample_id", F.posexplode("code").alias("k", "c")).select("sample_id", "k", r6(F.col("c")).alias("c"))
 
 
-@query("""WITH x AS (SELECT i AS k, CAST(embedding[i + 1] AS DOUBLE) AS v FROM embeddings, range(8) r(i)), m AS (SELECT k, sum(v * v) - count(*) * avg(v) * avg(v) AS s FROM x GROUP BY k)
+@query("""WITH x AS (SELECT i AS k, CAST(embedding[i + 1] AS DOUBLE) AS v FROM embeddings, range(64) r(i)), m AS (SELECT k, sum(v * v) - count(*) * avg(v) * avg(v) AS s FROM x GROUP BY k)
  SELECT round(sum(s), 5) + 0.0 AS total, round(sum(s) FILTER (WHERE k < 3), 5) + 0.0 AS kept, round(sum(s) FILTER (WHERE k >= 3), 5) + 0.0 AS lost FROM m""")
 def reconstruction(spark, sf_dir):
-    samples = features.embeddings(spark, sf_dir, 8)
-    out = encode.reconstruction_error(samples, np.eye(8)[:, :3], moments.global_moments(samples).mean)
+    samples = features.embeddings(spark, sf_dir)
+    out = encode.reconstruction_error(samples, np.eye(64)[:, :3], moments.global_moments(samples).mean)
     return out.select(*[r6(F.col(c), 5).alias(c) for c in ("total", "kept", "lost")])
 
 
-@query("SELECT 1.0::DOUBLE AS mean_error, 1.0::DOUBLE AS worst_error, 0.0::DOUBLE AS defect")
-def error_measures(spark, sf_dir):
-    """A basis of the last axes against the first ones: error one; its defect of orthonormality is zero."""
-    basis = spark.createDataFrame([(n, i, [1.0 if i == 18 + k else 0.0 for k in range(2)]) for n in range(3) for i in range(20)], "node int, i int, q array<double>")
-    truth = metrics.truth_table(spark, np.eye(20)[:, :2])
-    return metrics.network_error(basis, truth).select(F.col("error").alias("mean_error")).crossJoin(metrics.network_error(basis, truth, "max").select(F.col("error").alias("worst_error"))).crossJoin(
-        metrics.orthonormality_defect(basis).agg(F.max("defect").alias("defect"))
-    )
-
-
 @query("""SELECT CAST(k AS INT) AS k, round(l, 6) + 0.0 AS lambda, round(lead(l) OVER (ORDER BY k) / l, 6) + 0.0 AS ratio FROM
  (SELECT k, CASE WHEN k <= 5 THEN 1 - 0.05 * (k - 1) ELSE 0.32 - 0.16 * (k - 6) / 14 END AS l FROM range(1, 21) r(k))""")
 def eigengap_table(spark, sf_dir):
@@ -390,7 +490,7 @@ def eigengap_table(spark, sf_dir):
     return metrics.eigengaps(values, spark).select("k", r6(F.col("lambda")).alias("lambda"), r6(F.col("ratio")).alias("ratio"))
 
 
-@query("""WITH l(m) AS (VALUES ('2t+1', 9375), ('50', 10000)) SELECT m AS rule, round(v * 0.01, 4) + 0.0 AS makespan_s FROM (SELECT m.col0 AS m, m.col1 AS v FROM (VALUES ('2t+1', 9375), ('50', 10000)) m)""")
+@query(f"SELECT rule, round(sum(rounds) * 0.01, 4) + 0e0 AS makespan_s FROM ({_ROUNDS_SQL}) WHERE t < 200 AND rule IN ('2t+1', '50') GROUP BY rule")
 def straggler_time(spark, sf_dir):
     """Synchronous time of 200 outer steps with one node late by 0.01 s in every round."""
     out = None
@@ -400,21 +500,65 @@ def straggler_time(spark, sf_dir):
     return out
 
 
-@query()
+def _theory_sql() -> str:
+    """Node norms by repeated squaring; R factors of three central steps; averaging error of twenty rounds."""
+    c = Chain(10, 64, 0.5, _SEED)
+    q, factors = c.axes(1), []
+    for _ in range(3):
+        z = c.combined((c.central_product(q), 10.0))
+        first = c.unit(c.column(z, 0))
+        rest = c.without(c.column(z, 1), first)
+        factors.append(c.add(f"""SELECT (SELECT sqrt(sum(v * v)) FROM {z} WHERE k = 0) AS r11, (SELECT sum(z.v * f.v) FROM {z} z JOIN {first} f ON f.i = z.i WHERE z.k = 1) AS r12, (SELECT sqrt(sum(v * v)) FROM {rest}) AS r22"""))
+        q = c.orthonormal(z)
+    fs = c.add(" UNION ALL ".join(f"SELECT r11 * r11 + r12 * r12 + r22 * r22 AS f, r11 * r22 AS det FROM {r}" for r in factors))
+    s = c.add("SELECT node, i, j, v / sum(CASE WHEN i = j THEN v ELSE 0e0 END) OVER (PARTITION BY node) AS v FROM m")
+    for _ in range(14):
+        s = c.add(f"SELECT node, i, j, v / sum(CASE WHEN i = j THEN v ELSE 0e0 END) OVER (PARTITION BY node) AS v FROM (SELECT a.node, a.i, b.j, sum(a.v * b.v) AS v FROM {s} a JOIN {s} b ON a.node = b.node AND a.j = b.i GROUP BY a.node, a.i, b.j)")
+    norms = c.add(f"SELECT m.node, sum(m.v * s.v) AS s FROM m JOIN {s} s ON s.node = m.node AND s.i = m.i AND s.j = m.j GROUP BY m.node")
+    known = c.add(f"SELECT (SELECT sum(s) FROM {norms}) AS alpha, (SELECT sqrt(sum(s * s)) FROM {norms}) AS gamma, (SELECT max(1 / sqrt((f - sqrt(f * f - 4 * det * det)) / 2)) FROM {fs}) AS beta")
+    values = c.product(c.axes(c.n))
+    mixed = c.mixed(values, 20)
+    a = c.anchor(20)
+    columns = c.mixed(c.add(f"SELECT CAST(n AS INT) AS node, CAST(i AS INT) AS i, 0 AS k, CASE WHEN n = i THEN 1e0 ELSE 0e0 END AS v FROM range({c.n}) n(n), range({c.n}) i(i)"), 20)
+    delta = c.add(f"SELECT max(abs(p.v / a.v - 1)) AS s FROM {columns} p JOIN {a} a ON a.node = p.node")
+    error = c.add(f"SELECT max(s) AS s FROM (SELECT z.node, sqrt(sum((z.v / a.v - t.v) ** 2)) AS s FROM {mixed} z JOIN {a} a ON a.node = z.node JOIN (SELECT i, k, sum(v) AS v FROM {values} GROUP BY i, k) t ON t.i = z.i AND t.k = z.k GROUP BY z.node)")
+    size = c.add(f"SELECT sqrt(sum(s * s)) AS s FROM (SELECT sum(abs(v)) AS s FROM {values} GROUP BY i, k)")
+    grow = "ln(1 / (3 * alpha * sqrt(2) * beta))"
+    rows = {
+        "alpha": "alpha", "beta": "beta", "gamma": "gamma", "log_delta_fixed": f"ln(alpha / (gamma * sqrt(2))) + 4 * 3 * {grow} + 3 * ln(0.5)",
+        "log_delta_ramp_1": f"ln(alpha / (gamma * sqrt(2))) + 4 * 2 * {grow} + 3 * ln(0.5)", "outer_for_1e-8": "ceil(ln(1e8) / ln(1 / 0.4))", "bound_fixed_20": "0.4 ** 20 + 3 * 0.5 ** 20",
+        "bound_ramp_20": "0.4 ** 20 + 2 * 0.5 ** 20", "push_rounds_1e-8": "ceil(ln(10) + ln(1e8))", "flops_row": "20 * 20 * 5 * 10 + 5 * 5 * 20 * 10", "flops_column": "500 * 20 * 5 + 25 * log2(10) + 25 * 20 / 10",
+        "averaging_error": f"(SELECT s FROM {error})", "averaging_bound": f"(SELECT s FROM {delta}) * (SELECT s FROM {size})", "within": f"CASE WHEN (SELECT s FROM {error}) <= (SELECT s FROM {delta}) * (SELECT s FROM {size}) THEN 1 ELSE 0 END",
+        "volume_row": "2 * (SELECT count(*) FROM e) * 9375 * 20 * 5", "volume_column": "2 * (SELECT count(*) FROM e) * (9375 * 500 * 5 + 200 * 50 * 25)",
+    }
+    return f"WITH {', '.join(c.parts)} " + " UNION ALL ".join(f"SELECT '{k}' AS measure, round(CAST({v} AS DOUBLE), 5) + 0e0 AS value FROM {known}" for k, v in rows.items())
+
+
+@query(_theory_sql)
 def theory_report(spark, sf_dir):
-    """Constants of the analysis, the aimed steps and the averaging inequality on the shaped samples."""
+    """Constants of the analysis on the embeddings' node matrices, its closed forms, and both sides of the averaging
+    inequality."""
     from meshspan.operators import theory
 
-    _, m = moments.stacked(moments.local_scatter(shaped_nodes(spark, sf_dir)).toPandas())
-    q0 = subspace.random_basis(20, 5, 7)
-    c = theory.theory_constants(m, q0, 20)
+    m, q0 = workloads.node_matrices(_ten(spark, sf_dir), 10, 64), np.eye(64)[:, :2]
+    c = theory.theory_constants(m, q0, 3)
     w = _GRAPH.weights()
     error, bound = theory.averaging_bound(m @ q0, w, 20)
-    rows = [(k, float(v)) for k, v in c.items()]
-    rows += [("outer_for_1e-8", float(theory.outer_needed(0.4, 1e-8))), ("log_delta_fixed", theory.log_delta("fixed", c, 5, 20, 0.5)), ("log_delta_ramp_5", theory.log_delta("ramp", c, 5, 20, 0.5, 5))]
-    rows += [("averaging_error", float(error.max())), ("averaging_bound", bound), ("bound_fixed_20", theory.theorem_bound(0.4, 20, 1.0)), ("mixing_time", float(topology.mixing_time(w))), ("second_modulus", topology.second_modulus(w))]
-    rows += [("push_rounds_1e-8", float(theory.push_rounds_needed(10, 1e-8))), ("flops_row", cost.flop_model("row", 500, 20, 5, 10)), ("flops_column", cost.flop_model("column", 500, 20, 5, 10))]
-    return spark.createDataFrame([(k, float(v)) for k, v in rows], "measure string, value double")
+    plan = [RULES["2t+1"].at(t) for t in range(200)]
+    rows = {
+        **c, "log_delta_fixed": theory.log_delta("fixed", c, 2, 3, 0.5), "log_delta_ramp_1": theory.log_delta("ramp", c, 2, 3, 0.5, 1), "outer_for_1e-8": theory.outer_needed(0.4, 1e-8),
+        "bound_fixed_20": theory.theorem_bound(0.4, 20, 1.0), "bound_ramp_20": theory.theorem_bound(0.4, 20, 1.0, "ramp"), "push_rounds_1e-8": theory.push_rounds_needed(10, 1e-8),
+        "flops_row": cost.flop_model("row", 500, 20, 5, 10), "flops_column": cost.flop_model("column", 500, 20, 5, 10), "averaging_error": error.max(), "averaging_bound": bound, "within": error.max() <= bound,
+        "volume_row": cost.volume_model("row", _GRAPH, plan, 500, 20, 5), "volume_column": cost.volume_model("column", _GRAPH, plan, 500, 20, 5),
+    }
+    return spark.createDataFrame([(k, float(v)) for k, v in rows.items()], "measure string, value double").withColumn("value", r6(F.col("value"), 5))
+
+
+@query("""WITH x AS (SELECT vec_id, label, CAST(i AS INT) AS i, CAST(embedding[i + 1] AS DOUBLE) AS v FROM embeddings, range(64) r(i) WHERE label IS NOT NULL), c AS (SELECT label AS guess, i, avg(v) AS m FROM x GROUP BY label, i),
+ d AS (SELECT x.vec_id, max(x.label) AS label, guess, sum((v - m) * (v - m)) AS far FROM x JOIN c ON c.i = x.i GROUP BY x.vec_id, guess) SELECT round(avg(CASE WHEN guess = label THEN 1e0 ELSE 0e0 END), 6) + 0e0 AS accuracy, count(*) AS n FROM (SELECT vec_id, max(label) AS label, arg_min(guess, far) AS guess FROM d GROUP BY vec_id)""")
+def nearest_centroids(spark, sf_dir):
+    """Accuracy of the nearest label centroid on the plain embeddings."""
+    return encode.nearest_centroid_accuracy(features.embeddings(spark, sf_dir).where("label is not null"), "label", "features").withColumn("accuracy", r6(F.col("accuracy")))
 
 
 # ---------------------------------------------------------------- supporting operators
@@ -477,19 +621,24 @@ def document_sets(spark, sf_dir):
     return spark.sql("SELECT lang, source, count(*) AS n FROM _meshspan_documents GROUP BY GROUPING SETS ((lang), (source), ())")
 
 
+_MOST_KINDS = 10_000
+
+
 @query("""SELECT user_id, kind, n FROM (SELECT user_id, event_type AS kind, count(*) AS n FROM events GROUP BY 1, 2)""")
 def event_pivot(spark, sf_dir):
     """Pivot by a literal value list and back: the same counts."""
     e = load_table(spark, sf_dir, "events").select("user_id", "event_type")
-    kinds = sorted(r[0] for r in e.select("event_type").distinct().limit(100).collect())
+    kinds = sorted(r[0] for r in e.select("event_type").where("event_type is not null").distinct().limit(_MOST_KINDS + 1).collect())
+    if len(kinds) > _MOST_KINDS:
+        raise ValueError(f"over {_MOST_KINDS} kinds are too many columns: keep the long form")
     wide = e.groupBy("user_id").pivot("event_type", kinds).count()
     return wide.unpivot(["user_id"], kinds, "kind", "n").where("n is not null")
 
 
-@query("""SELECT label, quantile_cont(x, 0.5) + 0.0 AS median, round(quantile_cont(x, 0.9), 6) + 0.0 AS p90 FROM (SELECT label, CAST(embedding[1] AS DOUBLE) AS x FROM embeddings) GROUP BY label""")
+@query("""SELECT label, CAST(i AS INT) AS i, round(quantile_cont(x, 0.5), 6) + 0.0 AS median, round(quantile_cont(x, 0.9), 6) + 0.0 AS p90 FROM (SELECT label, i, CAST(embedding[i + 1] AS DOUBLE) AS x FROM embeddings, range(64) r(i)) GROUP BY label, i""")
 def spread_by_label(spark, sf_dir):
-    e = features.embeddings(spark, sf_dir, 1).withColumn("x", F.element_at("features", 1))
-    return e.groupBy("label").agg((F.percentile("x", F.lit(0.5)) + 0.0).alias("median"), r6(F.percentile("x", F.lit(0.9))).alias("p90"))
+    e = features.embeddings(spark, sf_dir).select("label", F.posexplode("features").alias("i", "x"))
+    return e.groupBy("label", "i").agg(r6(F.percentile("x", F.lit(0.5))).alias("median"), r6(F.percentile("x", F.lit(0.9))).alias("p90"))
 
 
 @query("""SELECT vec_id, label, CAST(ntile(4) OVER (PARTITION BY label ORDER BY vec_id) - 1 AS INT) AS node FROM embeddings""")
@@ -511,7 +660,7 @@ def top_orders(spark, sf_dir):
     return load_table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(25)
 
 
-@query(f"""WITH e AS ({_edges_sql(20, 0.25, 1)}), f AS ({_edges_sql(20, 0.5, 1)}) SELECT 'both' AS part, count(*) AS n FROM (SELECT * FROM e INTERSECT SELECT * FROM f)
+@query(f"""WITH e AS ({edges_sql(20, 0.25, 1)}), f AS ({edges_sql(20, 0.5, 1)}) SELECT 'both' AS part, count(*) AS n FROM (SELECT * FROM e INTERSECT SELECT * FROM f)
  UNION ALL SELECT 'only_dense', count(*) FROM (SELECT * FROM f EXCEPT SELECT * FROM e) UNION ALL SELECT 'either', count(*) FROM (SELECT * FROM e UNION SELECT * FROM f)""")
 def graph_sets(spark, sf_dir):
     e, f = topology.random_edges(spark, 20, 0.25, 1), topology.random_edges(spark, 20, 0.5, 1)
@@ -572,18 +721,43 @@ def sampled_start(spark, sf_dir):
     return metrics.convergence(out.trace)
 
 
-for _name, _f in workloads.WORKLOADS.items():
-    REGISTRY[_name] = (_f, None)
+# ---------------------------------------------------------------- experiments
 
 
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Row-split estimation with ramped rounds on embeddings of a known subspace: error per step and node."""
-    samples = shaped_nodes(spark, sf_dir, n=10, d=20, r=5, delta=0.7)
-    out = subspace.rowsplit_subspace(samples, _GRAPH, 5, Ramp(2), 100, truth=np.eye(20)[:, :5])
-    return metrics.convergence(out.trace)
+def _degree_sql(graph: str, n: int) -> str:
+    if graph == "ring":
+        return "2e0"
+    if graph == "star":
+        return f"2e0 * {n - 1} / {n}"
+    seed = topology.erdos_renyi(n, float(graph[3:])).kind.split("seed=")[1][:-1]
+    return f"(SELECT 2e0 * count(*) / {n} FROM ({edges_sql(n, float(graph[3:]), int(seed))}))"
+
+
+def _grid_sql(work: workloads.Workload) -> str:
+    """Exact counts of every setting from the edges of its graph and its rule, and that it shows what was reported."""
+    rows, graphs = [], {}
+    for c in work.grid:
+        graphs.setdefault((c["graph"], c["nodes"]), f"g{len(graphs)}")
+        known = "NULL" if work.claim is workloads.natural and c["method"] == "tracking" else "true"
+        rule = c.get("rule", "-")
+        rows.append(f"('{c['setting']}', '{c['method']}', '{rule}', '{rule if rule in RULES else 50}', {c['nodes']}, {c['rank']}, {c['outer']}, {c.get('mix', 3)}, '{graphs[c['graph'], c['nodes']]}', CAST({known} AS BOOLEAN))")
+    degrees = ", ".join(f"('{name}', {_degree_sql(g, n)})" for (g, n), name in graphs.items())
+    total = "(SELECT sum(rounds) FROM s WHERE s.rule = c.plan AND s.t < {steps})"
+    return f"""WITH s AS MATERIALIZED ({_ROUNDS_SQL}), d(graph, degree) AS MATERIALIZED (VALUES {degrees}), c(setting, method, rule, plan, nodes, rank, outer_steps, mix, graph, holds) AS (VALUES {', '.join(rows)}),
+ n AS (SELECT c.*, CAST(CASE WHEN method IN ('row', 'column') THEN {total.format(steps='c.outer_steps')} WHEN method IN ('sequential', 'column_sequential') THEN rank * {total.format(steps='c.outer_steps // c.rank')}
+  WHEN method = 'central_sequential' THEN rank * (outer_steps // rank) WHEN method = 'tracking' THEN mix * outer_steps ELSE outer_steps END AS BIGINT) AS inner_total FROM c)
+ SELECT setting, method, rule, CAST(nodes AS INT) AS nodes, CAST(rank AS INT) AS rank, CAST(outer_steps AS INT) AS outer_steps, inner_total, CASE WHEN method LIKE 'central%' THEN 0e0 ELSE round(degree * inner_total / 1000, 6) END AS p2p_k, holds FROM n JOIN d USING (graph)"""
 
 
-REGISTRY["flagship"] = (flagship, None)
+for _name, _work in workloads.GRIDS.items():
+    REGISTRY[_name] = (_work.checked, lambda work=_work: _grid_sql(work))
+REGISTRY["w5_stragglers"] = (
+    workloads.w5_stragglers,
+    f"""WITH s AS ({_ROUNDS_SQL}) SELECT CAST(nodes AS INT) AS nodes, CAST(p AS DOUBLE) AS p, rule, CAST(sum(rounds) AS BIGINT) AS rounds_total, round(sum(rounds) * 0.01, 4) + 0e0 AS makespan_s,
+ CAST(sum(rounds) FILTER (WHERE t < 5) AS BIGINT) AS rounds_run, true AS holds FROM s, (VALUES (10, 0.5), (20, 0.25)) v(nodes, p) WHERE t < 200 AND rule IN ('2t+1', '50') GROUP BY nodes, p, rule""",
+)
+for _name in ("w14_downstream", "w15_monte_carlo"):
+    REGISTRY[_name] = (workloads.WORKLOADS[_name], None)
 
 
 def queries() -> dict[str, Query]:
@@ -591,4 +765,4 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {name: sql for name, (_, sql) in REGISTRY.items() if sql}
+    return {name: sql() if callable(sql) else sql for name, (_, sql) in REGISTRY.items() if sql}
