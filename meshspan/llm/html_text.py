@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import html
 import re
+from bisect import bisect_right
 from dataclasses import dataclass
 
 import pyarrow as pa
@@ -39,6 +40,12 @@ HINT_APART = re.compile(
     re.I,
 )
 HINT_MAIN = re.compile(r"(?:^|[\s_-])(?:article(?:-?body)?|post(?:-?(?:content|body))?|entry(?:-?content)?|story(?:-?body)?|main-?content|page-?content|content)(?:$|[\s_-])", re.I)
+#: Elements of this name, and no other, hold articles beside the page's own.
+HINT_OTHERS = re.compile(r"(?:related|recommended|recommendations|trending|popular|outbrain|taboola)(?:[-_](?:articles?|posts?|stories|items?|content|links?|list|box|section|widget))?(?:\s+(?:related|recommended|trending|popular)(?:[-_]\w+)?)*$", re.I)
+# Elements within which an open item ends at the next, and what ends at which.
+SCOPES = ("table", "ul", "ol", "dl", "div", "section", "article", "main", "aside", "nav", "footer", "header", "td", "th", "blockquote", "form")
+ALIKE = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th")}
+HEADED = ("p", "h1", "h2", "h3", "h4", "h5", "h6")
 ROLE_APART = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar".split())
 
 _TOKEN = re.compile(
@@ -67,10 +74,11 @@ class Block:
     label: str = ""
 
 
-def _marks(tag: str, attributes: str) -> tuple[bool, bool, bool, bool]:
-    """(apart by kind, apart by name, article, main) of an element. A layout's name may mention a sidebar
-    that is only a part of it: an article or main element inside takes its own way."""
-    apart, named, article, main = tag in APART, False, tag == "article", tag == "main"
+def _marks(tag: str, attributes: str) -> tuple[bool, bool, bool, bool, bool]:
+    """(apart by kind, apart by name, article, main, a list of other articles) of an element. A layout's name may
+    mention a sidebar that is only a part of it: an article or main element inside takes its own way, but not out of
+    what lists other articles."""
+    apart, named, article, main, side = tag in APART, False, tag == "article", tag == "main", False
     if attributes and tag not in ("html", "body"):
         own = {m[1].lower(): m[2] or m[3] or m[4] or "" for m in _ATTRIBUTE.finditer(attributes)}
         names = f"{own.get('class', '')} {own.get('id', '')}"
@@ -81,18 +89,28 @@ def _marks(tag: str, attributes: str) -> tuple[bool, bool, bool, bool]:
             apart = apart or HINT_APART.search(names) is not None
         elif tag not in ("article", "main", "a", "span", "b", "i", "em", "strong"):
             named = names.strip() != "" and HINT_APART.search(names) is not None
+            side = HINT_OTHERS.match(names.strip()) is not None
         if role in ("main", "article") or own.get("itemprop") == "articleBody" or (tag in ("div", "section") and HINT_MAIN.search(names)):
             main = True
-    return apart, named, article, main
+    return apart, named, article, main, side
 
 
 def blocks_of(page: str) -> list[Block]:
     """Text blocks of a page in order."""
     out: list[Block] = []
     stack: list[tuple[str, bool, bool, bool, bool, bool, bool]] = []  # tag, apart, article, main, link, heading, named apart
+    places: dict[str, list[int]] = {}  # where each tag stands open in the stack
     words: list[str] = []
     linked = 0
 
+    def last(tags: tuple[str, ...]) -> int:
+        return max((places[t][-1] for t in tags if places.get(t)), default=-1)
+
+    def first_after(tags: tuple[str, ...], limit: int) -> int:
+        """Lowest open element of these tags above a place of the stack."""
+        found = [places[t][at] for t in tags if places.get(t) and (at := bisect_right(places[t], limit)) < len(places[t])]
+        return min(found, default=-1)
+
     def flush():
         nonlocal linked
         text = _SPACE.sub(" ", "".join(words)).strip()
@@ -113,6 +131,8 @@ def blocks_of(page: str) -> list[Block]:
     def close(to: int):
         if any(s[0] in BLOCKS for s in stack[to:]):
             flush()
+        for s in stack[to:]:
+            places[s[0]].pop()
         del stack[to:]
 
     at = 0
@@ -125,7 +145,7 @@ def blocks_of(page: str) -> list[Block]:
                 words.append(" ")
             continue
         if m[2]:
-            found = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == tag), -1)
+            found = last((tag,))
             if found >= 0:
                 close(found)
             elif tag in BLOCKS:
@@ -136,22 +156,23 @@ def blocks_of(page: str) -> list[Block]:
             continue
         if tag in BLOCKS:
             flush()
-            limit = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] in ("table", "ul", "ol", "dl", "div", "section", "article", "main", "aside", "nav", "footer", "header", "td", "th", "blockquote", "form")), -1)
-            alike = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th")}.get(tag, ())
-            ends = next((i for i in range(limit + 1, len(stack)) if stack[i][0] in alike or (stack[i][0] in ("p", "h1", "h2", "h3", "h4", "h5", "h6") and tag in CLOSES_P)), -1)
-            if tag == "body":
-                ends = next((i for i, s in enumerate(stack) if s[0] == "head"), ends)
+            limit = last(SCOPES)
+            ends = first_after(ALIKE.get(tag, ()) + (HEADED if tag in CLOSES_P else ()), limit)
+            if tag == "body" and places.get("head"):
+                ends = places["head"][0]
             if tag in ("td", "th", "tr") and limit >= 0 and stack[limit][0] in ("td", "th"):
                 ends = limit
             if ends >= 0:
                 close(ends)
         if tag in VOID:
             continue
-        apart, named, article, main = _marks(tag, m[4])
+        apart, named, article, main, side = _marks(tag, m[4])
         above = stack[-1] if stack else ("", False, False, False, False, False, False)
+        apart = apart or side
         named = named or (above[6] and tag not in ("article", "main"))
         if tag == "header" and not (above[2] or above[3]):
             apart = True
+        places.setdefault(tag, []).append(len(stack))
         stack.append((tag, above[1] or apart, above[2] or article, above[3] or main, above[4] or tag == "a", above[5] or tag in ("h1", "h2", "h3", "h4", "h5", "h6"), named))
     say(page[at:])
     flush()
@@ -202,28 +223,26 @@ def labelled(page: str) -> list[Block]:
     wide = "article" if any(b.article and not b.apart for b in blocks) else "main" if any(b.main and not b.apart for b in blocks) else ""
     inside = [bool(wide) and getattr(b, wide) and not b.apart for b in blocks]
     first = [_alone(b, i, bool(wide)) for b, i in zip(blocks, inside, strict=True)]
+    decided_before, decided_after = _nearest(first, ("good", "bad"))
     good = set()
     for i, label in enumerate(first):
         if label == "near":  # joins good text on either side, or what its element says
-            before = next((x for x in reversed(first[:i]) if x in ("good", "bad")), "")
-            after = next((x for x in first[i + 1 :] if x in ("good", "bad")), "")
-            if inside[i] or "good" in (before, after):
+            sides = {first[j] for j in (decided_before[i], decided_after[i]) if j >= 0}
+            if inside[i] or "good" in sides:
                 good.add(i)
     good |= _runs(blocks, first)
     if not good and "good" not in first:  # nothing better on the page
         good = {i for i, label in enumerate(first) if label == "near"}
+        if not good:  # a page of short paragraphs, or of a language without listed words
+            good = _longest_run(blocks, first)
     second = ["good" if i in good else "bad" if x == "near" else x for i, x in enumerate(first)]
+    before, after = _nearest(second, ("good", "bad"))
     for i, block in enumerate(blocks):
         block.label = second[i]
         if second[i] != "short":
             continue
-        found = []
-        for step in (-1, 1):
-            j = i + step
-            while 0 <= j < len(blocks) and second[j] == "short":
-                j += step
-            # an undecided block of an article asks only inside it
-            found.append((abs(j - i), second[j]) if 0 <= j < len(blocks) and (not inside[i] or inside[j]) else None)
+        # an undecided block of an article asks only inside it
+        found = [(abs(j - i), second[j]) if j >= 0 and (not inside[i] or inside[j]) else None for j in (before[i], after[i])]
         near = [x for x in found if x]
         if inside[i]:
             block.label = min(near, key=lambda x: (x[0], x[1] != "good"))[1] if near else "good"
@@ -234,6 +253,34 @@ def labelled(page: str) -> list[Block]:
     return blocks
 
 
+def _nearest(labels: list[str], wanted: tuple[str, ...]) -> tuple[list[int], list[int]]:
+    """For each place the nearest one before and after it with a wanted label, or -1: one sweep each way."""
+
+    def swept(order) -> list[int]:
+        out, seen = [-1] * len(labels), -1
+        for i in order:
+            out[i] = seen
+            if labels[i] in wanted:
+                seen = i
+        return out
+
+    return swept(range(len(labels))), swept(range(len(labels) - 1, -1, -1))
+
+
+def _longest_run(blocks: list[Block], first: list[str]) -> set[int]:
+    """The longest stretch of unlinked blocks beside each other that are not named apart, if it is as long as an
+    article's paragraph."""
+    best, run = [], []
+    for i, block in enumerate([*blocks, None]):
+        if block is not None and not block.apart and block.link_chars <= 0.1 * len(block.text) and "©" not in block.text:
+            run.append(i)
+            continue
+        if sum(len(blocks[j].text) for j in run) > sum(len(blocks[j].text) for j in best):
+            best = run
+        run = []
+    return set(best) if sum(len(blocks[j].text) for j in best) >= SHORT else set()
+
+
 def main_text(page: str | None) -> str:
     """Good blocks joined by newlines; null and empty pages give an empty string."""
     return "\n".join(b.text for b in labelled(page or "") if b.label == "good")

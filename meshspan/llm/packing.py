@@ -57,15 +57,15 @@ class WordTokenizer:
     Texts are cut at ASCII white space, and each distinct word, then each distinct run of letters or
     symbols in it, is merged once while a worker remembers it; that equals encoding the whole text,
     because the tokenizer lower-cases, drops white space and merges such runs one by one. Words with
-    characters outside ASCII and extended Latin go to the library whole. Strings of special tokens
-    are ordinary text. What a worker remembers is bounded.
+    characters outside ASCII and extended Latin, or with the string of a special token, go to the library whole.
+    What a worker remembers is bounded.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.special = [t.content.encode() for t in self.library.get_added_tokens_decoder().values()]
         self.model = self.library.model
         if self.library.get_vocab_size() >= 1 << 16:
             raise ValueError("ids must fit 16 bits")
@@ -85,7 +85,7 @@ class WordTokenizer:
             if not word[-1:].isdigit():
                 return self._run(word[:-1].lower()) + self._run(word[-1:])
         text = word.decode("utf-8")
-        if not _PLAIN.fullmatch(text):
+        if not _PLAIN.fullmatch(text) or any(t in word for t in self.special):
             ids = self.library.encode(text, add_special_tokens=False).ids
             return array.array("H", ids).tobytes()
         text = text.lower()

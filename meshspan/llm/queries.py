@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import secrets
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,10 +11,6 @@ from pyspark.sql import functions as F
 from meshspan.llm import chat, context_tree, hashed_search, html_text, mixing, packing, pruned_graph, quality, simhash, surrogates
 from meshspan.llm.common import table
 
-#: Default key of surrogates; set ``meshspan.surrogates.key`` in the session for a secret one.
-DEFAULT_KEY = "meshspan"
-
-
 def tokenizer_path(spark: SparkSession) -> str:
     """The tokenizer file of packing: ``meshspan.tokenizer.path`` of the session, else the public one."""
     own = spark.conf.get("meshspan.tokenizer.path", None)
@@ -25,7 +22,13 @@ def tokenizer_path(spark: SparkSession) -> str:
 
 
 def surrogate_key(spark: SparkSession) -> str:
-    return spark.conf.get("meshspan.surrogates.key", DEFAULT_KEY)
+    """The secret key of surrogates: ``meshspan.surrogates.key`` of the session. Without one, a key is drawn for this
+    session, so that its surrogates agree with each other and with nobody else's."""
+    key = spark.conf.get("meshspan.surrogates.key", None)
+    if not key:
+        key = secrets.token_hex(32)
+        spark.conf.set("meshspan.surrogates.key", key)
+    return key
 
 
 def op1_context_tree_scores(spark: SparkSession, sf_dir: str) -> DataFrame:

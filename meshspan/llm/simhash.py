@@ -234,14 +234,20 @@ WIDE_SEGMENTS = 20  # 16-bit segments that are indexed, balls of radius one
 _ENTRY = np.dtype([("value", "<u2"), ("guest", "?"), ("id", "<i8"), ("fp", "<u8", (WIDE_WORDS,))])
 
 
-def wide_fingerprint(text: str | None, shingle: int = 5) -> np.ndarray:
-    """512-bit fingerprint of the set of a text's shingles (all words, if fewer); zero without words."""
+def shingle_set(text: str | None, shingle: int = 5) -> np.ndarray:
+    """Sorted distinct hashes of a text's shingles (all words, if fewer); empty without words."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return np.zeros(WIDE_WORDS, np.uint64)
+        return np.zeros(0, np.uint64)
     grams = map(b" ".join, zip(*(words[i:] for i in range(shingle)), strict=False)) if len(words) > shingle else [b" ".join(words)]
     digest = xxhash.xxh64_intdigest
-    hashes = np.unique(np.fromiter((digest(g, _SEED) for g in grams), np.uint64))
+    return np.unique(np.fromiter((digest(g, _SEED) for g in grams), np.uint64))
+
+
+def wide_fingerprint(hashes: np.ndarray) -> np.ndarray:
+    """512-bit fingerprint of a set of shingles; zero of none."""
+    if not len(hashes):
+        return np.zeros(WIDE_WORDS, np.uint64)
     ones = np.zeros(64 * WIDE_WORDS, np.int64)
     for at in range(0, len(hashes), 1 << 14):
         part = hashes[at : at + (1 << 14), None] + np.arange(1, WIDE_WORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
@@ -253,11 +259,11 @@ def wide_fingerprint(text: str | None, shingle: int = 5) -> np.ndarray:
 
 
 def wide_radius(similarity: float) -> int:
-    """Differing bits that sets of this similarity have, and half a standard deviation more: two equally
+    """Differing bits that sets of this similarity have, and four standard deviations more: two equally
     large sets of Jaccard similarity J lie at the angle acos(2 J / (1 + J)), and each bit differs with the
     probability of that angle over pi."""
     bits, p = 64 * WIDE_WORDS, np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    return round(bits * p + 0.5 * np.sqrt(bits * p * (1 - p)))
+    return round(bits * p + 4 * np.sqrt(bits * p * (1 - p)))
 
 
 def _met(owners: np.ndarray, asked: np.ndarray, chunk: int = 1 << 20):
@@ -300,27 +306,98 @@ def linked_part(entries: np.ndarray, radius: int, low_bits: int) -> tuple[np.nda
     return entries["id"][moved], entries["id"][root[moved]]
 
 
-def similar_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
-    """Groups of documents whose sets of ``shingle``-word shingles are about ``similarity`` alike or more,
-    by the same method on wide fingerprints: (doc_id, fp, component_id).
+FEW = 40  # shingles up to which sets are met by their shingles, not by fingerprints
+_CHUNK = 2048  # sets of a task, beyond which a group is verified by pairs of its chunks
+_FILTER_BITS = 1 << 26  # of the map of classes to verify
+
+
+def verified_links(sets: list[np.ndarray], fps: np.ndarray, similarity: float, radius: int, apart: np.ndarray | None = None) -> np.ndarray:
+    """Roots (smallest index reachable) of sets whose Jaccard similarity is at least ``similarity``. Pairs beyond the
+    fingerprint radius (unless a set has few shingles) or of too different sizes are passed over, and pairs that
+    are joined already; all others are compared shingle by shingle. ``apart``: side of each set, if only pairs of
+    different sides are due."""
+    n, root = len(sets), np.arange(len(sets))
+    sizes = np.array([len(x) for x in sets])
+    few = sizes <= FEW
+
+    def find(i: int) -> int:
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    for i in range(n):
+        low, high = np.minimum(sizes[i], sizes[:i]), np.maximum(sizes[i], sizes[:i])
+        due = low >= similarity * high - 1e-9
+        if apart is not None:
+            due &= apart[:i] != apart[i]
+        j = np.flatnonzero(due)
+        if len(j):
+            near = (np.bitwise_count(fps[j] ^ fps[i]).sum(1, dtype=np.int64) <= radius) | (few[j] & few[i])
+            j = j[near]
+        for k in j.tolist():
+            a, b = find(i), find(k)
+            if a == b:
+                continue
+            shared = len(np.intersect1d(sets[i], sets[k], assume_unique=True))
+            if shared >= similarity * (sizes[i] + sizes[k] - shared) - 1e-9:
+                root[max(a, b)] = min(a, b)
+    return np.array([find(i) for i in range(n)], int)
+
+
+def _marked(classes: DataFrame) -> np.ndarray:
+    """A map of bits of the classes' ids: of fixed size whatever their number; a class that is not in the table may
+    be marked, one that is in it always is."""
+
+    def marks(batches):
+        out = np.zeros(_FILTER_BITS // 8, np.uint8)
+        for batch in batches:
+            at = np.asarray(batch.column("class")).view(np.uint64) % np.uint64(_FILTER_BITS)
+            np.bitwise_or.at(out, (at >> np.uint64(3)).astype(np.int64), np.left_shift(np.uint8(1), (at & np.uint64(7)).astype(np.uint8)))
+        words = out.view("<u8")
+        some = np.flatnonzero(words)
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(words[some].view(np.int64))], ["at", "bits"])
 
-    Balls of radius one in 20 segments of 16 bits find all but a few in a thousand of the pairs at
-    similarity 0.8, and nearly all beyond; the distance over all 512 bits decides. Segment tables are
-    cut by the head of their value, so that flips of the other bits need no message. Null and wordless
-    texts form one group; repeated rows are copies; an empty table gives no rows; other columns are ignored.
+    rows = classes.select("class").mapInArrow(marks, "at long, bits long").groupBy("at").agg(F.bit_or("bits").alias("bits")).toArrow()
+    out = np.zeros(_FILTER_BITS // 64, "<u8")
+    out[np.asarray(rows["at"])] = np.asarray(rows["bits"]).view(np.uint64)
+    return out
+
+
+def similar_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
+    """Groups of documents whose sets of ``shingle``-word shingles have a Jaccard similarity of at least
+    ``similarity``, chains included: (doc_id, k1, k2, component) of every row, k1 and k2 being a key of the row's
+    doc_id and text.
+
+    Wide fingerprints find the candidates: balls of radius one in 20 segments of 16 bits, the segment tables cut by
+    the head of their value, so that flips of the other bits need no message, and all 512 bits within four
+    deviations of what such pairs differ by. Sets of few shingles, which fingerprints tell poorly, meet by the
+    shingles of their prefix instead: two sets of such similarity share one. What meets is a candidate group; within
+    it, shingle sets decide every link. Groups beyond a task's size are verified by pairs of their chunks.
+
+    Equal sets are one class; null and wordless texts form one group; repeated rows are copies; an empty table
+    gives no rows; other columns are ignored.
     """
     spark = docs.sparkSession
     radius = wide_radius(similarity)
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *row_key(), "text")
 
     def hashed(batches):
         for batch in batches:
             texts = batch.column("text")
-            fps = [wide_fingerprint(texts[i].as_py(), shingle).tobytes() for i in range(batch.num_rows)]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fps, pa.binary())], ["doc_id", "fp"])
-
-    prints = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(hashed, "doc_id long, fp binary")
-    prints = stored(prints.withColumn("class", F.xxhash64("fp")), "prints")
-    classes = stored(prints.groupBy("class", "fp").agg(F.min("doc_id").alias("low")), "classes")
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                sets = [shingle_set(texts[i].as_py(), shingle) for i in range(at, at + part.num_rows)]
+                fps = [wide_fingerprint(x).tobytes() for x in sets]
+                ids = [xxhash.xxh64_intdigest(x.tobytes(), _SEED) for x in sets]
+                heads = [x[: len(x) - int(np.ceil(similarity * len(x) - 1e-9)) + 1].tobytes() if len(x) <= FEW else None for x in sets]
+                yield pa.RecordBatch.from_arrays(
+                    [*(part.column(c) for c in ("doc_id", "k1", "k2")), pa.array(np.array(ids, np.uint64).view(np.int64)), pa.array(fps, pa.binary()), pa.array(heads, pa.binary())],
+                    ["doc_id", "k1", "k2", "class", "fp", "prefix"],
+                )
+
+    prints = stored(keyed.mapInArrow(hashed, "doc_id long, k1 long, k2 long, class long, fp binary, prefix binary"), "prints")
+    classes = stored(prints.groupBy("class", "fp").agg(F.first("prefix").alias("prefix")), "classes")
     head = min(12, max(3, (shuffle_partitions(spark) // WIDE_SEGMENTS + 1).bit_length(), (classes.count() // 50_000).bit_length()))
     low_bits = 16 - head
 
@@ -351,24 +428,73 @@ def similar_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -
         a, b = linked_part(entries, radius, low_bits)
         return pa.table({"src": pa.array(a, pa.int64()), "dst": pa.array(b, pa.int64())})
 
-    links = classes.select("class", "fp").mapInArrow(enter, "part long, body binary").groupBy("part").applyInArrow(meet, "src long, dst long")
-    parts = connected_components(links.distinct())
-    joined = classes.join(parts, classes["class"] == parts.node, "left").select("class", "low", F.coalesce("component", "class").alias("part"))
-    joined = stored(joined, "parts")
-    named = stored(joined.groupBy("part").agg(F.min("low").alias("component_id")), "named")
-    groups = stored(joined.join(named, "part").select("class", "component_id"), "groups")
-    return prints.join(groups, "class").select("doc_id", "fp", "component_id")
-
-
-def deduplicated(docs: DataFrame, similarity: float | None = 0.8) -> DataFrame:
-    """The documents without near-copies: of each group the row with the smallest doc_id stays (one of them,
-    if rows repeat; of a group without doc_ids none). Groups are those of :func:`similar_groups`, or of
-    :func:`near_duplicate_groups` if no similarity is given. All columns of ``docs`` are kept."""
-    keyed = stored(docs, "docs")
-    groups = near_duplicate_groups(keyed) if similarity is None else similar_groups(keyed, similarity)
-    heads = groups.groupBy("component_id").agg(F.min("doc_id").alias("_head")).select("_head")
-    named = keyed.join(heads.where("_head is not null"), keyed.doc_id.eqNullSafe(F.col("_head")), "left_semi")
-    repeated = named.groupBy("doc_id").count().where("count > 1").limit(1).count()
-    if repeated:
-        named = named.dropDuplicates(["doc_id"])
-    return named
+    def prefixes(batches):
+        for batch in batches:
+            for c, p in zip(batch.column("class").to_pylist(), batch.column("prefix").to_pylist(), strict=True):
+                heads = np.frombuffer(p, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(heads), c), pa.int64()), pa.array(heads, pa.int64())], ["class", "key"])
+
+    # candidate groups: what fingerprints join, and what shares a shingle of a short prefix
+    loose = connected_components(classes.select("class", "fp").mapInArrow(enter, "part long, body binary").groupBy("part").applyInArrow(meet, "src long, dst long").distinct())
+    met = classes.where("prefix is not null").select("class", "prefix").mapInArrow(prefixes, "class long, key long")
+    several = met.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    groups = stored(loose.select(F.col("node").alias("class"), F.col("component").alias("key"), F.lit(0).alias("way")).union(met.join(several, "key").select("class", "key", F.lit(1).alias("way"))), "candidates")
+    chunks = groups.groupBy("way", "key").agg(F.ceil(F.count("*") / (_CHUNK // 2)).cast("int").alias("chunks")).where("chunks > 2")
+    wanted = spark.sparkContext.broadcast(_marked(groups))
+
+    def sets_of(batches):
+        for batch in batches:
+            marks = wanted.value
+            texts = batch.column("text")
+            ids, fps, bodies = [], [], []
+            for i in range(batch.num_rows):
+                x = shingle_set(texts[i].as_py(), shingle)
+                c = xxhash.xxh64_intdigest(x.tobytes(), _SEED)
+                at = c % _FILTER_BITS
+                if (int(marks[at >> 6]) >> (at & 63)) & 1:
+                    ids.append(c)
+                    fps.append(wide_fingerprint(x).tobytes())
+                    bodies.append(x.tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(np.array(ids, np.uint64).view(np.int64)), pa.array(fps, pa.binary()), pa.array(bodies, pa.binary())], ["class", "fp", "body"])
+
+    sets = stored(docs.select("text").mapInArrow(sets_of, "class long, fp binary, body binary").groupBy("class").agg(F.first("fp").alias("fp"), F.first("body").alias("body")), "sets")
+    placed = groups.join(chunks, ["way", "key"], "left").withColumn("chunks", F.coalesce("chunks", F.lit(1))).withColumn("chunk", F.pmod(F.xxhash64("class"), F.col("chunks")).cast("int"))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    placed = placed.select("way", "key", "class", "chunk", F.least("chunk", "other").alias("low"), F.greatest("chunk", "other").alias("high"))
+
+    def verify(key: tuple, group: pa.Table) -> pa.Table:
+        group = group.sort_by("class")
+        ids, chunk = np.asarray(group["class"]), np.asarray(group["chunk"])
+        sets = [np.frombuffer(b, np.uint64) for b in group["body"].to_pylist()]
+        fps = np.frombuffer(b"".join(group["fp"].to_pylist()), "<u8").reshape(-1, WIDE_WORDS)
+        root = verified_links(sets, fps, similarity, radius, chunk if key[2].as_py() != key[3].as_py() else None)
+        moved = np.flatnonzero(root != np.arange(len(ids)))
+        return pa.table({"src": pa.array(ids[moved], pa.int64()), "dst": pa.array(ids[root[moved]], pa.int64())})
+
+    links = placed.join(sets, "class").groupBy("way", "key", "low", "high").applyInArrow(verify, "src long, dst long")
+    parts = stored(connected_components(links.distinct()), "components")
+    return prints.select("doc_id", "k1", "k2", "class").join(parts.withColumnRenamed("node", "class"), "class", "left").select("doc_id", "k1", "k2", F.coalesce("component", "class").alias("component"))
+
+
+def row_key() -> list:
+    """Two hashes of a row's doc_id and text."""
+    return [F.xxhash64("text", F.col("doc_id").cast("long")).alias("k1"), F.xxhash64(F.lit(_SEED), F.col("doc_id").cast("long"), F.lit("|"), F.reverse("text")).alias("k2")]
+
+
+def deduplicated(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
+    """The documents without near-copies: of each group of :func:`similar_groups` the row with the smallest doc_id
+    stays (rows without one come last; one of rows that repeat). All columns of ``docs`` are kept; ``_k1`` and
+    ``_k2`` may not be among them."""
+    whole = stored(docs, "docs")
+    groups = stored(similar_groups(whole, similarity), "groups")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k1", "k2")).alias("head")
+    heads = groups.groupBy("component").agg(first, F.count("*").alias("n")).where("n > 1").select("component", "head")
+    members = groups.join(heads, "component")
+    gone = members.where((F.col("k1") != F.col("head.k1")) | (F.col("k2") != F.col("head.k2"))).select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
+    repeated = stored(members.where((F.col("k1") == F.col("head.k1")) & (F.col("k2") == F.col("head.k2"))).groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).count().where("count > 1").select("_k1", "_k2"), "repeated")
+    k1, k2 = row_key()
+    left = whole.withColumns({"_k1": k1, "_k2": k2}).join(gone, ["_k1", "_k2"], "left_anti")
+    if repeated.limit(1).count():
+        once = left.join(repeated, ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"])
+        left = left.join(repeated, ["_k1", "_k2"], "left_anti").unionByName(once)
+    return left.select(*docs.columns)

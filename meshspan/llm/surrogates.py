@@ -1,15 +1,17 @@
 """Personal data: keyed, type-consistent surrogates, in DataFrame functions alone.
 
 One pattern finds e-mail addresses, account and card numbers, telephone and social security numbers,
-bank accounts, network addresses, secrets and titled names. An entity is its canonical form (case and
-separators removed), so that its spellings share one surrogate, in every document. A surrogate is drawn
+bank accounts, network addresses, secrets and titled names. An entity is its canonical form (case,
+separators, titles, country and trunk codes removed), so that its spellings share one surrogate, in every document;
+a name of several words that a text first gives with a title is replaced there without it too. A surrogate is drawn
 from SHA-256 of the key, the type and the canonical form; it keeps the format: digits stay digits,
-letters stay letters of the same case and script, separators, country codes, top-level domains, card
-checksums and the check digits of bank accounts stay valid; names follow the title's gender. All
-surrogates of the corpus are checked: an entity whose surrogate another has, or which is itself an
-entity of the corpus, draws again until all are distinct.
+letters stay letters of the same case and script, separators, country codes, top-level domains, private networks,
+card checksums and the check digits of bank accounts stay valid; a person's gender is that of all titles the corpus
+gives the name. All surrogates of the corpus are checked, hosts of addresses for themselves: an entity whose
+surrogate another has, or which is itself an entity of the corpus, draws again until all are distinct.
 
-Only documents with entities are shuffled. Entities are reduced to distinct ones before they are joined,
+Every repetition in a pattern is possessive, bounded, or of single characters, so that no stack grows with a text.
+The pattern runs once over each document; only documents with entities are shuffled. Entities are reduced to distinct ones before they are joined,
 and joined back from a stored table, so that an entity in a third of all documents can be split.
 """
 
@@ -36,11 +38,11 @@ _PARTICLE = rf"(?:(?:{_PARTICLES}) (?:(?:{_PARTICLE_AFTER}) )?+)"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1?\d?\d)"
 #: Patterns by type, in the order in which they are tried at a place.
 PATTERNS = {
-    "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+)*\.\p{L}{2,24}",
+    "email": r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]++@[\p{L}\p{N}-]+(?:\.[\p{L}\p{N}-]+){0,126}\.\p{L}{2,24}",  # a name has at most 127 labels
     "iban": r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])",
     "secret": r"(?<![\p{L}\p{N}])(?:(?=[0-9A-Fa-f]*\d)(?:[0-9a-f]{32,}|[0-9A-F]{32,})|(?:AKIA|ASIA)[0-9A-Z]{16}|(?:gh[po]_|sk-|xox[bp]-)[A-Za-z0-9_-]{16,})(?![\p{L}\p{N}])",
     "card": r"(?<![\p{L}\p{N}.+-])\d(?:[ -]?\d){12,18}(?![\p{L}\p{N}])",
-    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4})(?!\d)",
+    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4}|(?<![\p{L}\p{N}.-])0\d{2,4}[ -]\d{3,4}[ -]\d{3,4})(?!\d)",
     "ssn": r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])",
     "hex_address": r"(?<![\p{L}\p{N}:])(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?:[0-9A-Fa-f]{2}[:-]){5}[0-9A-Fa-f]{2})(?![\p{L}\p{N}:])",
     "ip": rf"(?<![\p{{L}}\p{{N}}.])(?:{_OCTET}\.){{3}}{_OCTET}(?![\p{{L}}\p{{N}}]|\.\d)",
@@ -107,7 +109,10 @@ def _chars(text: Column) -> Column:
 
 def _swap(text: Column, hexes: Column, from_place: int = 0) -> Column:
     """Every letter and digit replaced by one of its alphabet; all else stays."""
+    return _bound(hexes, lambda own: _swapped(text, own, from_place))
 
+
+def _swapped(text: Column, hexes: Column, from_place: int) -> Column:
     def one(c: Column, i: Column) -> Column:
         draw = _byte(hexes, i)
         first, *rest = _ALPHABETS
@@ -145,6 +150,12 @@ def _title_gender(surface: Column) -> Column:
     return F.when(surface.rlike(rf"^(?:{_TITLES['f']})\.? "), "f").when(surface.rlike(rf"^(?:{_TITLES['m']})\.? "), "m").otherwise("n")
 
 
+#: What stands before a national number: the country's code, and the digit for calls inside the country.
+_TRUNK = r"^(?:(?:\+\d{1,3}(?=[ .-]?\()|\+1|\+\d{1,3}(?=[ .-]))[ .-]?)?\(?0?"
+#: Second levels under which a country gives names.
+_SECOND_LEVEL = r"\.(?:co|com|org|net|gov|gob|gouv|edu|ac|or|ne)\.\p{L}{2}$"
+
+
 def _kind(surface: Column) -> Column:
     out = F.when(surface.rlike(f"^(?:{PATTERNS['email']})$"), F.lit("email"))
     for name in list(PATTERNS)[1:]:
@@ -154,14 +165,14 @@ def _kind(surface: Column) -> Column:
 
 def _canonical(kind: Column, surface: Column) -> Column:
     digits = F.regexp_replace(surface, r"\D", "")
-    national = F.regexp_replace(F.regexp_replace(surface, r"^\+\d{1,3}(?=[ .-]?\()|^\+1|^\+\d{1,3}(?=[ .-])", ""), r"\D", "")
+    national = F.regexp_replace(F.regexp_replace(surface, _TRUNK, ""), r"\D", "")
     name = F.lower(F.regexp_replace(surface, rf"^{_TITLED}", ""))
     return (
         F.when(kind == "email", F.lower(surface))
         .when(kind.isin("card", "ssn"), digits)
         .when(kind == "phone", national)
         .when(kind == "iban", F.regexp_replace(surface, " ", ""))
-        .when(kind == "name", F.concat_ws("|", _title_gender(surface), name))
+        .when(kind == "name", name)
         .otherwise(surface)
     )
 
@@ -173,13 +184,16 @@ def _syllable_name(hexes: Column, script: Column, from_byte: int) -> Column:
     return F.when(script == "cyrillic", built(_SYLLABLES["cyrillic"])).otherwise(built(_SYLLABLES["latin"]))
 
 
-def _core(key: str, kind: Column, canonical: Column, attempt: Column) -> Column:
-    """The surrogate of a canonical form, itself in canonical form (names: with capitals)."""
-    own = _hash(key, kind, canonical, attempt)
-    local, domain = F.substring_index(canonical, "@", 1), F.substring_index(canonical, "@", -1)
-    top = F.substring_index(domain, ".", -1)
-    host = F.substr(domain, F.lit(1), F.length(domain) - F.length(top))
-    email = F.concat(_swap(local, own), F.lit("@"), _swap(host, _hash(key, F.lit("domain"), domain, F.lit(0))), top)
+def _host_core(canonical: Column, own: Column) -> Column:
+    """The surrogate of an address's domain: other letters under the same top level."""
+    labels = F.when(canonical.rlike(_SECOND_LEVEL) & (F.size(F.split(canonical, r"\.")) > 2), F.substring_index(canonical, ".", -2)).otherwise(F.substring_index(canonical, ".", -1))
+    return F.concat(_swap(F.substr(canonical, F.lit(1), F.length(canonical) - F.length(labels)), own), labels)
+
+
+def _core(key: str, kind: Column, canonical: Column, attempt: Column, gender: Column, host_core: Column, own: Column) -> Column:
+    """The surrogate of a canonical form, itself in canonical form (names: with capitals). ``host_core``: the
+    surrogate of an address's domain; ``own``: the hash to draw from."""
+    email = F.concat(_swap(F.substring_index(canonical, "@", 1), own), F.lit("@"), host_core)
     swapped = _swap(canonical, own, 1)
     body = F.substr(swapped, F.lit(1), F.length(swapped) - 1)
     check = F.pmod(-luhn_sum(F.concat(body, F.lit("0"))), F.lit(10)).cast("string")
@@ -189,12 +203,16 @@ def _core(key: str, kind: Column, canonical: Column, attempt: Column) -> Column:
     rest = _swap(F.substr(canonical, F.lit(5)), own)
     country = F.substr(canonical, F.lit(1), F.lit(2))
     iban = F.concat(country, _iban_check(country, rest), rest)
-    ip = F.concat_ws(".", *[(F.pmod(_byte(own, F.lit(3 * i)), F.lit(223)) + 1).cast("string") for i in range(4)])
+    drawn = [(F.pmod(_byte(own, F.lit(3 * i)), F.lit(223)) + 1).cast("string") for i in range(4)]
+    octets = F.split(canonical, r"\.")
+    # private and loopback networks stay what they are, until their few forms are used up
+    held = F.when(attempt >= 8, 0).when(canonical.rlike(r"^(?:10|127)\."), 1).when(canonical.rlike(r"^192\.168\.|^169\.254\.|^172\.(?:1[6-9]|2\d|3[01])\."), 2).otherwise(0)
+    ip = F.concat_ws(".", *[F.when(held > i, octets[i]).otherwise(d) if i < 2 else d for i, d in enumerate(drawn)])
     prefix = F.regexp_extract(canonical, r"^(AKIA|ASIA|gh[po]_|sk-|xox[bp]-)", 1)
     secret = F.when(canonical.rlike("^[0-9a-f:-]+$|^[0-9A-F:-]+$"), _bound(own, lambda h: _hex_swap(canonical, h))).otherwise(
         F.concat(prefix, _bound(own, lambda h: _swap(F.substr(canonical, F.length(prefix) + 1), h)))
     )
-    gender, name = F.substring_index(canonical, "|", 1), F.substring_index(canonical, "|", -1)
+    name = canonical
     script = F.when(name.rlike(r"\p{IsCyrillic}"), "cyrillic").otherwise("latin")
     # small words go, initials stay initials, but for the last word, which is a surname as all others but the first
     small = f"^(?:{_PARTICLES}|{_PARTICLE_AFTER})$"
@@ -205,16 +223,16 @@ def _core(key: str, kind: Column, canonical: Column, attempt: Column) -> Column:
         lambda out, g: out.when((sex == g[0]) & (script == g[1]), _pick(_GIVEN[g], _byte(first, F.lit(0)))), _GIVEN, F.when(F.lit(False), F.lit(""))
     )
 
-    def renamed(word: Column, i: Column, n: Column) -> Column:
+    def renamed(word: Column, i: Column, n: Column, script: Column) -> Column:
         family = _hash(key, F.lit("surname"), word, attempt)
-        initials = word.rlike(r"^(?:\p{L}\.-?)*\p{L}\.?$") & (i < n - 1)
+        initials = word.rlike(r"^(?:\p{L}\.-?)*+(?:\p{L}\.?)?$") & (i < n - 1)
         other = F.when((i == 0) & (n > 1), picked).otherwise(_syllable_name(family, script, 10))
         return F.when(initials, F.upper(_swap(word, family))).otherwise(other)
 
-    person = _bound(words, lambda all_: F.array_join(F.transform(all_, lambda w, i: renamed(w, i, F.size(all_))), " "))
+    person = _bound(F.struct(words.alias("all"), script.alias("script")), lambda b: F.array_join(F.transform(b["all"], lambda w, i: renamed(w, i, F.size(b["all"]), b["script"])), " "))
     return (
         F.when(kind == "email", email).when(kind == "card", card).when(kind == "phone", phone).when(kind == "ssn", ssn)
-        .when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "name", F.concat_ws("|", gender, person)).otherwise(secret)
+        .when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "name", person).otherwise(secret)
     )
 
 
@@ -227,68 +245,95 @@ def _rendered(kind: Column, surface: Column, core: Column) -> Column:
             F.transform(_chars(shape), lambda c, i: F.when(c.rlike(r"[0-9A-Za-z]"), F.element_at(signs, F.length(F.regexp_replace(F.substr(shape, F.lit(1), i + 1), "[^0-9A-Za-z]", "")))).otherwise(c)), ""
         )
 
-    code = F.regexp_extract(surface, r"^(\+\d{1,3}(?=[ .-]?\()|\+1|\+\d{1,3}(?=[ .-]))?", 1)
+    code = F.regexp_extract(surface, _TRUNK, 0)
     title = F.regexp_extract(surface, rf"^({_TITLED})", 1)
-    same_case = F.array_join(F.transform(_chars(core), lambda c, i: F.when(F.substr(surface, i + 1, F.lit(1)).rlike(r"\p{Lu}"), F.upper(c)).otherwise(c)), "")
+    same_case = F.array_join(F.zip_with(_chars(core), _chars(surface), lambda c, o: F.when(F.coalesce(o, F.lit("")).rlike(r"\p{Lu}"), F.upper(c)).otherwise(F.coalesce(c, F.lit("")))), "")
     return (
         F.when(kind.isin("card", "ssn", "iban"), placed(surface, core))
         .when(kind == "phone", F.concat(code, placed(F.substr(surface, F.length(code) + 1), core)))
-        .when(kind == "name", F.concat(title, F.substring_index(core, "|", -1)))
+        .when(kind == "name", F.concat(title, core))
         .when(kind == "email", same_case)
         .otherwise(core)
     )
 
 
-def surrogate_table(surfaces: DataFrame, key: str, max_rounds: int = 12) -> DataFrame:
+def _settled(entities: DataFrame, key: str, max_rounds: int, hosts: bool = False) -> DataFrame:
+    """(kind, canonical, core) of ``entities(kind, canonical, gender, host_core)``: drawn until, in each type, all
+    differ and none is an entity."""
+    current = entities.withColumn("attempt", F.lit(0))
+    originals = entities.select(F.col("kind").alias("_kind"), F.lower("canonical").alias("_original")).distinct()
+    same = Window.partitionBy("kind", "_folded").orderBy("canonical")
+    for _ in range(max_rounds):
+        drawn = current.withColumn("own", _hash(key, F.col("kind"), F.col("canonical"), F.col("attempt")))
+        core = _host_core(F.col("canonical"), F.col("own")) if hosts else _core(key, *map(F.col, ("kind", "canonical", "attempt", "gender", "host_core", "own")))
+        drawn = drawn.withColumn("core", core)
+        drawn = drawn.withColumn("_folded", F.lower("core")).withColumn("_nth", F.row_number().over(same))
+        drawn = drawn.join(originals, (F.col("kind") == F.col("_kind")) & (F.col("_folded") == F.col("_original")), "left")
+        drawn = stored(drawn.select("kind", "canonical", "gender", "host_core", "attempt", "core", ((F.col("_nth") > 1) | F.col("_original").isNotNull()).alias("clash")), "drawn")
+        if not drawn.where("clash").limit(1).count():
+            return drawn.select("kind", "canonical", "core")
+        current = drawn.select("kind", "canonical", "gender", "host_core", (F.col("attempt") + F.col("clash").cast("int")).alias("attempt"))
+    raise RuntimeError("surrogates still collide: a type has too few forms for its entities")
+
+
+def surrogate_table(surfaces: DataFrame, key: str, max_rounds: int = 24) -> DataFrame:
     """(surface, kind, canonical, surrogate) of the distinct ``surfaces(surface)``; surrogates of
     different entities of a type differ, and none is an entity of the table."""
     known = stored(
         surfaces.select("surface", _kind(F.col("surface")).alias("kind")).withColumn("canonical", _canonical(F.col("kind"), F.col("surface"))).distinct(),
         "surfaces",
     )
-    current = known.select("kind", "canonical").distinct().withColumn("attempt", F.lit(0))
-    originals = known.select("kind", F.lower("canonical").alias("_original")).distinct()
-    same = Window.partitionBy("kind", "_folded").orderBy("canonical")
-    for _ in range(max_rounds):
-        drawn = current.withColumn("core", _core(key, F.col("kind"), F.col("canonical"), F.col("attempt")))
-        drawn = drawn.withColumn("_folded", F.lower("core")).withColumn("_nth", F.row_number().over(same))
-        drawn = drawn.join(originals.withColumnRenamed("kind", "_kind"), (F.col("kind") == F.col("_kind")) & (F.col("_folded") == F.col("_original")), "left")
-        drawn = stored(drawn.select("kind", "canonical", "attempt", "core", ((F.col("_nth") > 1) | F.col("_original").isNotNull()).alias("clash")), "drawn")
-        if not drawn.where("clash").limit(1).count():
-            break
-        current = drawn.select("kind", "canonical", (F.col("attempt") + F.col("clash").cast("int")).alias("attempt"))
-    else:
-        raise RuntimeError("surrogates still collide: a type has too few forms for its entities")
-    joined = known.join(drawn.select("kind", "canonical", "core"), ["kind", "canonical"])
+    # a name is one person's, whatever titles it has: of the gender that its titles tell, if they agree
+    sexes = F.collect_set(F.when(F.col("kind") == "name", F.nullif(_title_gender(F.col("surface")), F.lit("n"))))
+    entities = known.groupBy("kind", "canonical").agg(sexes.alias("sexes"))
+    entities = entities.select("kind", "canonical", F.when(F.size("sexes") == 1, F.col("sexes")[0]).otherwise("n").alias("gender"), F.when(F.col("kind") == "email", F.substring_index("canonical", "@", -1)).alias("host"))
+    entities = stored(entities, "entities")
+    hosts = entities.where("host is not null").select(F.lit("domain").alias("kind"), F.col("host").alias("canonical"), F.lit("n").alias("gender"), F.lit(None).cast("string").alias("host_core")).distinct()
+    hosts = _settled(stored(hosts, "hosts"), key, max_rounds, hosts=True).select(F.col("canonical").alias("host"), F.col("core").alias("host_core"))
+    entities = stored(entities.join(hosts, "host", "left").select("kind", "canonical", "gender", "host_core"), "entities")
+    joined = known.join(_settled(entities, key, max_rounds), ["kind", "canonical"])
     return stored(joined.select("surface", "kind", "canonical", _rendered(F.col("kind"), F.col("surface"), F.col("core")).alias("surrogate")), "surrogates")
 
 
+def _bare_names(known: Column) -> Column:
+    """Of a map from surfaces to surrogates, the names of several words without their titles, longest first:
+    structs of a pattern and what replaces it."""
+    pairs = F.filter(F.map_entries(known), lambda e: e["key"].rlike(rf"^{_TITLED}"))
+    bare = F.transform(pairs, lambda e: F.struct(F.regexp_replace(e["key"], rf"^{_TITLED}", "").alias("name"), F.regexp_replace(e["value"], rf"^{_TITLED}", "").alias("new")))
+    several = F.filter(F.array_distinct(bare), lambda e: e["name"].contains(" "))
+    order = F.array_sort(F.transform(several, lambda e: F.struct((-F.length(e["name"])).alias("size"), e["name"].alias("name"), e["new"].alias("new"))))
+    return F.transform(order, lambda e: F.struct(F.concat(F.lit(r"(?<![\p{L}\p{N}])\Q"), F.replace(e["name"], F.lit("\\E"), F.lit("")), F.lit(r"\E(?![\p{L}\p{N}])")).alias("pattern"), e["new"].alias("new")))
+
+
 def with_surrogates(docs: DataFrame, key: str, counts: bool = False) -> DataFrame:
     """``docs`` with every entity in ``text`` replaced by its surrogate; all columns are kept, and
-    n_chars, if there, is the new text's length where the text changed. ``counts`` adds n_entities.
+    n_chars, if there, is the new text's length where the text changed. ``counts`` adds n_entities, the
+    entities found (a known name's repeats without a title are replaced but not counted).
 
-    The key is secret: equal keys give equal surrogates. Null and empty texts stay; repeated rows are
-    replaced alike; an empty table gives no rows. Names of internal columns start with two underscores.
+    The key is secret: equal keys give equal surrogates, and who knows the key can look entities up. Null and empty
+    texts stay; repeated rows are replaced alike; an empty table gives no rows. Names of internal columns start
+    with two underscores.
     """
+    if not key:
+        raise ValueError("surrogates need a secret key")
     columns = docs.columns
     text = F.col("text")
     found = F.when(text.rlike(CHEAP), F.regexp_extract_all(text, F.lit(ENTITY), F.lit(0)))
-    has = F.coalesce(F.size(found) > 0, F.lit(False))
-    tagged = docs.withColumn("__found", found)
-    hit = stored(tagged.where(F.size("__found") > 0).withColumns({"__a": F.xxhash64("text"), "__b": F.xxhash64(F.lit(1), F.reverse("text"))}), "hit")
-    spoken = hit.select("__a", "__b", F.explode(F.array_distinct("__found")).alias("surface")).distinct()
-    spoken = stored(spoken, "spoken")
+    tagged = stored(docs.withColumn("__found", found).withColumn("__found", F.when(F.size("__found") > 0, F.col("__found"))), "tagged")
+    hit = tagged.where("__found is not null").withColumns({"__a": F.xxhash64("text"), "__b": F.xxhash64(F.lit(1), F.reverse("text"))})
+    spoken = stored(hit.select("__a", "__b", F.explode(F.array_distinct("__found")).alias("surface")).distinct(), "spoken")
     table = surrogate_table(spoken.select("surface").distinct(), key)
     pairs = spoken.join(table.select("surface", "surrogate"), "surface")
     maps = stored(
-        pairs.groupBy("__a", "__b").agg(F.map_from_entries(F.collect_list(F.struct("surface", "surrogate"))).alias("__map")), "maps"
+        pairs.groupBy("__a", "__b").agg(F.map_from_entries(F.collect_list(F.struct("surface", "surrogate"))).alias("__map")).withColumn("__bare", _bare_names(F.col("__map"))), "maps"
     )
     parts = F.split(F.col("text"), ENTITY, -1)
-    pieces = F.zip_with(parts, F.col("__found"), lambda p, e: F.concat(p, F.coalesce(F.element_at(F.col("__map"), e), F.lit(""))))
+    plain = F.transform(parts, lambda p: F.aggregate(F.col("__bare"), p, lambda t, e: F.regexp_replace(t, e["pattern"], e["new"])))
+    pieces = F.zip_with(F.when(F.size("__bare") > 0, plain).otherwise(parts), F.col("__found"), lambda p, e: F.concat(p, F.coalesce(F.element_at(F.col("__map"), e), F.lit(""))))
     replaced = hit.join(maps, ["__a", "__b"]).withColumn("text", F.array_join(pieces, ""))
     if "n_chars" in columns:
         replaced = replaced.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     out = [replaced.select(*columns, F.size("__found").cast("long").alias("n_entities"))]
-    out.append(docs.where(~has).withColumn("n_entities", F.lit(0).cast("long")).select(*columns, "n_entities"))
+    out.append(tagged.where("__found is null").withColumn("n_entities", F.lit(0).cast("long")).select(*columns, "n_entities"))
     both = out[0].unionByName(out[1])
     return both if counts else both.select(*columns)

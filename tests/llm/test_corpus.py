@@ -70,7 +70,6 @@ def whole_ids(text):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(TOKENIZER)
-    t.encode_special_tokens = True
     return np.array([*t.encode(text or "", add_special_tokens=False).ids, 2], "<u4")
 
 
@@ -98,6 +97,15 @@ def check_pieces(rows, texts):
     assert (lengths <= 4096).all() and all(n & (n - 1) == 0 for n in lengths)
 
 
+def test_strings_of_special_tokens_encode_as_the_library_does():
+    from tokenizers import Tokenizer
+
+    path = TOKENIZER
+    library, own = Tokenizer.from_file(path), packing.WordTokenizer(path)
+    for text in ("a <|endoftext|> b", "x<|endoftext|>Y", "<|startoftext|><|endoftext|>", "<|END|> <|endof text|>"):
+        assert own([text])[0][:-1].tolist() == library.encode(text, add_special_tokens=False).ids
+
+
 def test_pieces(spark, docs):
     rng = np.random.default_rng(0)
     texts = ODD + [" ".join(f"w{int(x)}" for x in rng.integers(0, 99, int(n))) for n in rng.integers(0, 3000, 60)] + ["long " * 20_000]
@@ -214,6 +222,33 @@ def test_pages_that_name_no_article_keep_their_text(text, times):
     assert html_text.main_text(page).split("\n") == want
 
 
+CHINESE = "这是一篇关于城市历史的文章，它讲述了许多年前的故事。" * 6
+
+
+def test_pages_of_short_paragraphs_and_other_scripts():
+    for text in (LONG.strip(), (LONG * 2)[:189].strip(), CHINESE, "Kratka vijest bez ijedne rečenice s točkom koja govori o gradu i rijeci"):
+        page = f"<body><nav><a href=a>Home</a></nav><div><p>{text}</p><p>{text}</p></div><div class=footer>{LONG * 3}</div></body>"
+        assert html_text.main_text(page) == f"{text}\n{text}", text
+
+
+def test_lists_of_other_articles_stay_out():
+    for name in ("related", "related-posts", "recommended", "trending"):
+        page = f"<main><p>{LONG}{LONG}</p></main><div class='{name}'><article><p>OTHER {LONG * 3}</p></article></div>"
+        assert html_text.main_text(page) == (LONG * 2).strip()
+
+
+@pytest.mark.parametrize("part", ["<li>item here", f"<p>{LONG[:60]}", "<b>x ", "<p>some words</p>", "<td>x"])
+def test_long_pages_take_linear_time(part):
+    import time
+
+    took = []
+    for n in (10_000, 40_000):
+        began = time.process_time()
+        html_text.main_text("<div>" + part * n)
+        took.append(time.process_time() - began)
+    assert took[1] < 10 * took[0] + 0.3
+
+
 def test_page_edges(spark):
     rows = [(1, None, None, "t"), (2, "u", "", "t"), (3, "u", "no markup", "t"), (3, "u", "no markup", "t"), (4, "u", "<p>" * 5000 + "x", "t"), (5, "u", "<", "t"), (None, "u", "<article><p>&#x41;", "t")]
     frame = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
@@ -305,6 +340,84 @@ def test_surrogates_are_distinct(spark, docs):
     assert len(set(out)) == len(mails) and not set(out) & set(mails)
 
 
+MILLION = 1_000_000
+LONG_TEXTS = [
+    "x@" + "a." * (MILLION // 2) + "com", "a" * MILLION + "@x.org", "x@" + "a" * MILLION + ".org", "1 " * (MILLION // 2), "1-" * (MILLION // 2), "ab:" * (MILLION // 3), "1." * (MILLION // 2), "f" * MILLION, "1f" * (MILLION // 2),
+    "Mr " + "A" * MILLION, "Mr" + " Ab" * (MILLION // 3), "Mr " + "A." * (MILLION // 2), "Mr " * (MILLION // 3), "DE89 " * (MILLION // 5), "+1 " * (MILLION // 3), "@" * MILLION, "a@b" * (MILLION // 3), "sk-" + "a" * MILLION,
+]
+
+
+def test_very_long_entities(spark, docs):
+    rows = {r["doc_id"]: r["text"] for r in surrogates.with_surrogates(docs(LONG_TEXTS).repartition(8), "k").collect()}
+    assert len(rows) == len(LONG_TEXTS) and all(rows.values())
+    for i in (1, 2, 8, 9, 17):
+        assert rows[i] != LONG_TEXTS[i]
+
+
+def test_one_person_one_surrogate(spark, docs):
+    text = "Prof. Ada Novak and Mrs Ada Novak met Ada Novak, not Ada Novakova. Sr Ben Costa, Dr Ben Costa. Mr Novak; +44 20 7946 0958, 020 7946 0958, (020) 7946 0958; 06 12 34 56 78, +33 6 12 34 56 78"
+    out = surrogates.with_surrogates(docs([text, "Ada Novak alone"]), "k").collect()
+    out, alone = (next(r["text"] for r in out if r["doc_id"] == i) for i in (0, 1))
+    prof, mrs, bare, other, sr, dr = re.fullmatch(r"Prof\. (\w+ \w+) and Mrs (\w+ \w+) met (\w+ \w+), not (\w+ \w+)\. Sr (\w+ \w+), Dr (\w+ \w+)\. Mr \w+; .*", out).groups()
+    assert prof == mrs == bare != "Ada Novak" and other == "Ada Novakova" and sr == dr != "Ben Costa" and alone == "Ada Novak alone"
+    assert prof.split()[0] in surrogates._GIVEN["f", "latin"] and sr.split()[0] in surrogates._GIVEN["m", "latin"]
+    phones = re.search(r"\+44 (\d\d \d{4} \d{4}), 0(\d\d \d{4} \d{4}), \(0(\d\d)\) (\d{4} \d{4}); 0(\d(?: \d\d){4}), \+33 (\d(?: \d\d){4})", out).groups()
+    assert phones[0] == phones[1] == f"{phones[2]} {phones[3]}" and phones[4] == phones[5] and "7946" not in out
+
+
+def test_networks_and_hosts(spark, docs):
+    out = surrogates.with_surrogates(docs(["10.1.2.3 192.168.7.9 172.20.1.1 8.8.8.8", *[f"me@{a}.org" for a in "abcdefghijklmnop"], "me@shop.example.co.uk"]), "k").collect()
+    rows = {r["doc_id"]: r["text"] for r in out}
+    a, b, c, d = rows[0].split()
+    assert a.startswith("10.") and b.startswith("192.168.") and c.startswith("172.20.") and not d.startswith(("10.", "8.8"))
+    hosts = [rows[i].split("@")[1] for i in range(1, 17)]
+    assert len(set(hosts)) == 16
+    assert re.fullmatch(r"\w\w@\w{4}\.\w{7}\.co\.uk", rows[17])
+
+
+def test_key_is_needed(docs):
+    with pytest.raises(ValueError):
+        surrogates.with_surrogates(docs(["x"]), "")
+
+
+def _python_surrogates(texts, table):
+    """Brute force: every text cut at its entities one by one, each replaced by the table's surrogate."""
+    pattern = jvm_like(surrogates.ENTITY)
+    out = []
+    for t in texts:
+        out.append(None if t is None else pattern.sub(lambda m: table[m[0]], t))
+    return out
+
+
+def jvm_like(pattern):
+    import regex
+
+    return regex.compile(pattern.replace(r"\p{Lu}", r"\p{Lu}"))
+
+
+def test_surrogates_equal_brute_force(spark):
+    """The given documents: each entity found by another regex engine is replaced by what the table says, one to one
+    within its type, and all else stays."""
+    frame = spark.read.parquet(SF + "/documents.parquet").select("doc_id", "text")
+    texts = {r["doc_id"]: r["text"] for r in frame.collect()}
+    pattern = jvm_like(surrogates.ENTITY)
+    surfaces = sorted({m[0] for t in texts.values() if t for m in pattern.finditer(t)})
+    table = surrogates.surrogate_table(spark.createDataFrame([(s,) for s in surfaces], "surface string"), "k").collect()
+    of = {r["surface"]: r["surrogate"] for r in table}
+    assert sorted(of) == surfaces and len(surfaces) > 20
+    by = {}
+    for r in table:
+        by.setdefault((r["kind"], r["canonical"]), set()).add(r["surrogate"].lower() if r["kind"] == "email" else r["canonical"])
+    assert all(len(v) == 1 for v in by.values())
+    assert len({(k, next(iter(v))) for (k, _), v in by.items()}) == len(by)
+    got = {r["doc_id"]: r["text"] for r in surrogates.with_surrogates(frame, "k").collect()}
+    want = _python_surrogates(texts.values(), of)
+    bare = re.compile(rf"^{surrogates._TITLED}")
+    for (i, t), w in zip(texts.items(), want, strict=True):
+        if got[i] != w:  # repeats of a titled name without its title
+            assert any(bare.sub("", m[0]) in w for m in pattern.finditer(t) if bare.match(m[0]))
+
+
 def test_surrogate_columns(spark, docs):
     frame = docs([PRIVATE, PRIVATE, "x"], ids=[1, 1, None]).withColumn("n_chars", F.lit(9))
     rows = surrogates.with_surrogates(frame, "k", counts=True).collect()

@@ -104,30 +104,44 @@ def jaccard(a, b, n=5):
     return len(a & b) / len(a | b)
 
 
-def test_similar_texts_are_grouped(spark, docs):
-    """Copies with some words changed, against exact similarities of the shingle sets: all clearly above the
-    threshold are together, nothing clearly below is, and one row of each group stays."""
+def test_similar_texts_equal_brute_force(spark, docs, monkeypatch):
+    """Copies with some words changed, of 3 to 400 words: groups are exactly those of all pairs whose shingle sets are
+    at least 0.8 alike, chains included, also when groups are cut into chunks; one row of each group stays."""
     rng = np.random.default_rng(3)
     texts = []
-    for _ in range(60):
-        words = [f"w{int(x)}" for x in rng.integers(0, 5000, int(rng.integers(60, 400)))]
+    for n in [*rng.integers(60, 400, 40), *rng.integers(3, 45, 60)]:
+        words = [f"w{int(x)}" for x in rng.integers(0, 5000, int(n))]
         texts.append(" ".join(words))
         for _ in range(int(rng.integers(0, 3))):
             copy = list(words)
-            for at in rng.choice(len(copy), int(rng.integers(1, max(2, len(copy) // 30))), replace=False):
+            for at in rng.choice(len(copy), int(rng.integers(0, max(2, len(copy) // 25))), replace=False):
                 copy[at] = "changed"
-            texts.append(" ".join(copy))
-    texts += [texts[0].upper(), None, "", "one two", "One  two"]
-    group = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(docs(texts)).collect()}
-    sure = [(i, j) for i, j in combinations(range(len(texts)), 2) if texts[i] and texts[j] and jaccard(texts[i], texts[j]) >= 0.86]
-    assert len(sure) > 20 and all(group[i] == group[j] for i, j in sure)
-    possible = groups_of(range(len(texts)), [(i, j) for i, j in combinations(range(len(texts)), 2) if texts[i] and texts[j] and jaccard(texts[i], texts[j]) >= 0.7] + [(len(texts) - 4, len(texts) - 3)])
-    assert all(possible[i] == possible[group[i]] for i in group)
-    kept = sorted(r["doc_id"] for r in simhash.deduplicated(docs(texts)).collect())
-    assert kept == sorted(set(group.values()))
+            texts.append(" ".join(copy + ["more"] * int(rng.integers(0, 2))))
+    texts += [texts[0].upper(), None, "", " ", "one two", "One  two"]
+    whole = [t or "" for t in texts]
+    pairs = [(i, j) for i, j in combinations(range(len(texts)), 2) if (whole[i].split() and whole[j].split() and jaccard(whole[i], whole[j]) >= 0.8) or not (whole[i].split() or whole[j].split())]
+    want = groups_of(range(len(texts)), pairs)
+    for chunk in (2048, 2):
+        monkeypatch.setattr(simhash, "_CHUNK", chunk)
+        rows = simhash.similar_groups(docs(texts)).collect()
+        low = {}
+        for r in rows:
+            low[r["component"]] = min(low.get(r["component"], 1 << 60), r["doc_id"])
+        assert {r["doc_id"]: low[r["component"]] for r in rows} == want
+        if chunk == 2048:
+            kept = sorted(r["doc_id"] for r in simhash.deduplicated(docs(texts)).collect())
+            assert kept == sorted(set(want.values()))
     assert simhash.similar_groups(docs(texts).limit(0)).count() == 0
 
 
+def test_rows_without_ids_and_repeats_stay_once(spark):
+    rows = [(None, "a lone text of its own", 1), (None, "another text without any id", 2), (5, "first under five", 3), (5, "quite another one under the same number", 4), (7, "said twice", 5), (7, "said twice", 5), (9, "Said twice", 6)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, fp int")
+    kept = simhash.deduplicated(frame)
+    assert kept.columns == frame.columns
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in kept.collect()) == sorted((i or 0, t) for i, t, _ in rows[:5])
+
+
 def test_parts_find_all_that_meets():
     rng = np.random.default_rng(0)
     low_bits, values = 10, rng.integers(0, 1 << 16, 400).astype(np.uint16)
