@@ -374,7 +374,7 @@ def test_state_round_trip(spark, tmp_path):
 
 
 def test_workload_shapes(spark):
-    rows = workloads.w2_connectivity(spark, SF).toPandas()
+    rows = workloads.GRIDS["w2_connectivity"].outcomes(spark, SF).toPandas()
     by = rows.set_index(["setting", "rule"])
     assert by.error["er:0.1", "50"] > by.error["er:0.25", "50"] > by.error["er:0.5", "50"]
     assert by.p2p_k["er:0.1", "50"] < by.p2p_k["er:0.5", "50"]
