@@ -42,7 +42,7 @@ PATTERNS = {
     "iban": r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])",
     "secret": r"(?<![\p{L}\p{N}])(?:(?=[0-9A-Fa-f]*\d)(?:[0-9a-f]{32,}|[0-9A-F]{32,})|(?:AKIA|ASIA)[0-9A-Z]{16}|(?:gh[po]_|sk-|xox[bp]-)[A-Za-z0-9_-]{16,})(?![\p{L}\p{N}])",
     "card": r"(?<![\p{L}\p{N}.+-])\d(?:[ -]?\d){12,18}(?![\p{L}\p{N}])",
-    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4}|(?<![\p{L}\p{N}.-])0\d{2,4}[ -]\d{3,4}[ -]\d{3,4})(?!\d)",
+    "phone": r"(?:(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|(?<!\d)\+\d{1,3}(?:[ .-]?\d)?(?:[ .-]?\d{2,4}){2,5}|(?<![\p{L}\p{N}.-])\d{3}[-. ]\d{3}[-. ]\d{4}|(?<![\p{L}\p{N}.-])0\d(?:[ .-]\d{2}){4}|(?<![\p{L}\p{N}.-])0\d{2,4}[ -]\d{3,4}[ -]\d{3,4})(?!\d)",
     "ssn": r"(?<![\p{L}\p{N}-])\d{3}-\d{2}-\d{4}(?![\p{L}\p{N}-])",
     "hex_address": r"(?<![\p{L}\p{N}:])(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?:[0-9A-Fa-f]{2}[:-]){5}[0-9A-Fa-f]{2})(?![\p{L}\p{N}:])",
     "ip": rf"(?<![\p{{L}}\p{{N}}.])(?:{_OCTET}\.){{3}}{_OCTET}(?![\p{{L}}\p{{N}}]|\.\d)",
@@ -184,10 +184,12 @@ def _syllable_name(hexes: Column, script: Column, from_byte: int) -> Column:
     return F.when(script == "cyrillic", built(_SYLLABLES["cyrillic"])).otherwise(built(_SYLLABLES["latin"]))
 
 
-def _host_core(canonical: Column, own: Column) -> Column:
-    """The surrogate of an address's domain: other letters under the same top level."""
+def _host_core(canonical: Column, own: Column, attempt: Column) -> Column:
+    """The surrogate of an address's domain: other letters under the same top level; four more where short names are
+    used up."""
     labels = F.when(canonical.rlike(_SECOND_LEVEL) & (F.size(F.split(canonical, r"\.")) > 2), F.substring_index(canonical, ".", -2)).otherwise(F.substring_index(canonical, ".", -1))
-    return F.concat(_swap(F.substr(canonical, F.lit(1), F.length(canonical) - F.length(labels)), own), labels)
+    more = F.when(attempt >= 6, F.concat(*[_pick("abcdefghijklmnopqrstuvwxyz", _byte(own, F.lit(50 + 3 * i))) for i in range(4)])).otherwise("")
+    return F.concat(more, _swap(F.substr(canonical, F.lit(1), F.length(canonical) - F.length(labels)), own), labels)
 
 
 def _core(key: str, kind: Column, canonical: Column, attempt: Column, gender: Column, host_core: Column, own: Column) -> Column:
@@ -265,7 +267,7 @@ def _settled(entities: DataFrame, key: str, max_rounds: int, hosts: bool = False
     same = Window.partitionBy("kind", "_folded").orderBy("canonical")
     for _ in range(max_rounds):
         drawn = current.withColumn("own", _hash(key, F.col("kind"), F.col("canonical"), F.col("attempt")))
-        core = _host_core(F.col("canonical"), F.col("own")) if hosts else _core(key, *map(F.col, ("kind", "canonical", "attempt", "gender", "host_core", "own")))
+        core = _host_core(F.col("canonical"), F.col("own"), F.col("attempt")) if hosts else _core(key, *map(F.col, ("kind", "canonical", "attempt", "gender", "host_core", "own")))
         drawn = drawn.withColumn("core", core)
         drawn = drawn.withColumn("_folded", F.lower("core")).withColumn("_nth", F.row_number().over(same))
         drawn = drawn.join(originals, (F.col("kind") == F.col("_kind")) & (F.col("_folded") == F.col("_original")), "left")
