@@ -7,7 +7,9 @@ the factor alpha, than the class itself is. The adjacency lists of a class from
 united, edges are made mutual, and every class is searched in its shards: a greedy beam from the
 shard's medoid and the class's own place, then an expansion through all neighbours in range. Cosines
 are verified in double precision. A sample of each shard's searches is audited against an exact
-scan; a shard that misses a link is searched again exactly.
+scan; a shard that misses a link is searched again exactly. How many shards a class enters is set per
+label by trial: sampled rows get partners at just the threshold's angle, and the overlap is the one at
+which all but a given share of such pairs, the hardest there are, have a shard in common.
 
 A pair that shares several shards is counted in the first of them. A shard returns link counts
 and a spanning forest, never its pairs.
@@ -165,12 +167,35 @@ def shard_links(vectors: np.ndarray, links: np.ndarray, threshold: float, audit:
     return a, b
 
 
+def overlap_needed(rows: np.ndarray, centres: np.ndarray, threshold: float, least: int, miss: float = 1e-3, probes: int = 1024, seed: int = 0) -> int:
+    """Nearest centres that each row must enter so that of pairs at exactly ``threshold`` no more than the share
+    ``miss`` has no centre in common; at least ``least``. Partners of up to ``probes`` unit rows that are no centres
+    are drawn: one in any direction, one towards another row."""
+    if len(centres) <= least or not len(rows):
+        return least
+    random = np.random.default_rng(seed)
+    u = rows[random.permutation(len(rows))[: 2 * probes]]
+    u = u[(u @ centres.T).max(1) < 1 - 1e-9][:probes]
+    ranks = []
+    for towards in (random.standard_normal(u.shape), rows[random.integers(0, len(rows), len(u))]):
+        side = towards - (towards * u).sum(1)[:, None] * u
+        length = np.sqrt((side * side).sum(1))
+        some = length > 1e-9
+        v = threshold * u[some] + np.sqrt(1 - threshold**2) * side[some] / length[some][:, None]
+        for at in range(0, len(v), 64):
+            # place of each centre in a row's order; a pair meets at the least of the larger places
+            places = [np.argsort(np.argsort(-(x[at : at + 64] @ centres.T), axis=1, kind="stable"), axis=1) for x in (u[some], v)]
+            ranks.append(np.maximum(*places).min(1) + 1)
+    ranks = np.concatenate(ranks) if ranks else np.zeros(0, int)
+    return max(least, int(np.quantile(ranks, 1 - miss, method="higher"))) if len(ranks) else least
+
+
 # ---------------------------------------------------------------- Spark plan
 
 
-def _centres(classes: DataFrame, shard_rows: int, seed: int) -> dict[int, np.ndarray]:
-    """Unit centres of every label: a hash sample of bounded size, thinned so that no two of a label
-    lie close together (a dense group has one centre)."""
+def _centres(classes: DataFrame, shard_rows: int, overlap: int, threshold: float, seed: int) -> dict[int, tuple[np.ndarray, int]]:
+    """Unit centres of every label, and how many of them a class enters: a hash sample of bounded size, thinned so
+    that no two of a label lie close together (a dense group has one centre)."""
     sizes = {r["label"]: r["n"] for r in classes.groupBy("label").agg(F.count("*").alias("n")).orderBy(F.desc("n")).limit(_MAX_CENTRES).collect()}
     total = sum(sizes.values())
     rate = max(1, int(max(shard_rows, total / _MAX_CENTRES * 4) / 4))
@@ -185,7 +210,7 @@ def _centres(classes: DataFrame, shard_rows: int, seed: int) -> dict[int, np.nda
                 break
             if not chosen or (np.array(chosen) @ v).max() < 0.6:
                 chosen.append(v)
-        out[label] = np.array(chosen)
+        out[label] = np.array(chosen), overlap_needed(own, np.array(chosen), threshold, overlap, seed=seed)
     return out
 
 
@@ -199,7 +224,7 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
     reachable, itself included), kept (vec_id = component_id). Null labels, and vectors that are null,
     zero or hold null or non-finite components link with nothing; equal vectors link; vectors of other
     lengths than their label's are an error; repeated rows link as equal vectors; an empty table gives no
-    rows. ``overlap``: shards per vector; ``shard_rows``: aim for a shard before overlap;
+    rows. ``overlap``: least number of shards per vector (:func:`overlap_needed`); ``shard_rows``: aim for a shard before overlap;
     ``largest``: rows of a task, beyond which a dense shard is searched by pairs of its chunks.
     """
     spark = vectors.sparkSession
@@ -211,7 +236,7 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
     classes = stored(
         keyed.where("x is not null").groupBy("label", "x", "h1", "h2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n")), "classes"
     )
-    centres = _centres(classes, shard_rows, seed)
+    centres = _centres(classes, shard_rows, overlap, threshold, seed)
     shared = spark.sparkContext.broadcast(centres)
 
     def place(batches):
@@ -223,8 +248,8 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
             parts = []
             for label in np.unique(labels):
                 own = np.flatnonzero(labels == label)
-                c = shared.value.get(int(label), np.zeros((0, v.shape[1])))
-                m = min(overlap, len(c)) or 1
+                c, m = shared.value.get(int(label), (np.zeros((0, v.shape[1])), 1))
+                m = min(m, len(c)) or 1
                 near = np.sort(np.argsort(-(unit(v[own]) @ c.T), axis=1, kind="stable")[:, :m], axis=1) if len(c) else np.zeros((len(own), 1), int)
                 for j in range(m):
                     parts.append((own, near[:, j], near))
@@ -273,11 +298,12 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
         chunk = np.asarray(group["chunk"])
         due = (chunk[a] != chunk[b]) == (key[2].as_py() != key[3].as_py())  # chunk pairs count their own pairs
         a, b = a[due], b[due]
-        lists = group["shards"].to_pylist()
-        member = np.zeros((len(reps), max([shard, *(s for own in lists for s in own)]) + 1), np.int8)
-        for i, own in enumerate(lists):
-            member[i, own] = 1
-        first = np.concatenate([(member[a[k : k + 65536]] & member[b[k : k + 65536]]).argmax(1) == shard for k in range(0, len(a), 65536)]) if len(a) else np.zeros(0, bool)
+        entered = np.array(group["shards"].to_pylist(), np.int32)  # as many for each class of a label, in order
+        first = np.zeros(len(a), bool)
+        for at in range(0, len(a), 8192):
+            own, other = entered[a[at : at + 8192]], entered[b[at : at + 8192]]
+            common = (own[:, :, None] == other[:, None, :]).any(2)
+            first[at : at + 8192] = own[np.arange(len(own)), common.argmax(1)] == shard
         weight = np.bincount(a[first], weights=n[b[first]], minlength=len(reps)).astype(np.int64)
         root = forest(a[a < b], b[a < b], len(reps))
         return pa.table({"rep": pa.array(reps, pa.int64()), "links": pa.array(weight, pa.int64()), "root": pa.array(reps[root], pa.int64())})
@@ -293,3 +319,24 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, shard_ro
     linked = keyed.where("x is not null").join(result, ["h1", "h2"]).select("vec_id", "n_links", "component_id")
     alone = keyed.where("x is null").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return linked.union(alone).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
+
+
+def recall(found: DataFrame, vectors: DataFrame, threshold: float = 0.93, sample: int = 256) -> float:
+    """Share of all true links of a bounded sample of rows that ``found`` counts (1 if they have none): each sampled
+    row of ``vectors`` against all rows of its label, whatever shards they share."""
+    x = F.col("embedding").cast("array<double>")
+    bad = F.exists(x, lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == float("inf")))
+    rows = vectors.where(F.col("label").isNotNull() & F.col("vec_id").isNotNull() & x.isNotNull() & ~bad & F.exists(x, lambda v: v != 0))
+    rows = rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), x.alias("x"))
+    asked = rows.orderBy(F.xxhash64("vec_id")).limit(sample).toArrow()
+    ids, labels, q = np.asarray(asked["vec_id"]), np.asarray(asked["label"]), matrix(asked["x"])
+
+    def count(batches):
+        for batch in batches:
+            if batch.num_rows and len(ids):
+                hits = (unit(matrix(batch.column("x"))) @ unit(q).T >= threshold) & (np.asarray(batch.column("label"))[:, None] == labels)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(hits.sum(0).astype(np.int64))], ["vec_id", "n"])
+
+    true = rows.mapInArrow(count, "vec_id long, n long").groupBy("vec_id").agg((F.sum("n") - 1).alias("n"))
+    sums = true.join(found.select("vec_id", "n_links"), "vec_id").agg(F.sum("n").alias("n"), F.sum(F.least("n", "n_links")).alias("hit")).first()
+    return sums["hit"] / sums["n"] if sums["n"] else 1.0

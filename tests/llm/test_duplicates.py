@@ -206,6 +206,31 @@ def test_vector_links_equal_brute_force(spark):
     assert pruned_graph.near_duplicate_vectors(frame.limit(0)).count() == 0
 
 
+def test_links_across_shard_borders_are_found(spark):
+    rng = np.random.default_rng(9)
+    x = pruned_graph.unit(rng.standard_normal((8000, 32)))
+    side = pruned_graph.unit(rng.standard_normal((2000, 32)))
+    side = pruned_graph.unit(side - (side * x[:2000]).sum(1)[:, None] * x[:2000])
+    cosine = rng.uniform(0.9301, 0.95, 2000)[:, None]
+    x = np.vstack((x, cosine * x[:2000] + np.sqrt(1 - cosine**2) * side))
+    frame = spark.createDataFrame([(i, v.tolist(), 1) for i, v in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    found = pruned_graph.near_duplicate_vectors(frame, shard_rows=64)
+    got = {r["vec_id"]: r["n_links"] for r in found.collect()}
+    want = (x @ x.T >= 0.93).sum(1) - 1
+    assert want.sum() >= 4000 and all(got[i] <= n for i, n in enumerate(want))
+    assert sum(got.values()) / want.sum() >= 0.998
+    assert pruned_graph.recall(found, frame) >= 0.99
+
+
+def test_overlap_grows_with_the_number_of_centres():
+    rng = np.random.default_rng(2)
+    x = pruned_graph.unit(rng.standard_normal((4000, 64)))
+    few, many = (pruned_graph.overlap_needed(x, x[:n], 0.93, 4) for n in (20, 2000))
+    assert 4 <= few <= many <= 200
+    assert pruned_graph.overlap_needed(x, x[:3], 0.93, 4) == 4 and pruned_graph.overlap_needed(x[:0], x[:20], 0.93, 4) == 4
+    assert pruned_graph.overlap_needed(np.ones((5, 1)), np.ones((9, 1)), 0.93, 4) == 4
+
+
 def test_graph_search_alone_has_high_recall():
     rng = np.random.default_rng(4)
     centres = rng.standard_normal((60, 32))
