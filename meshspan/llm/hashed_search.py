@@ -33,12 +33,15 @@ def usable(vectors: DataFrame) -> DataFrame:
 
 
 def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
-    """Rows of a list column as a matrix; lists must be equally long."""
+    """Rows of a list column as a matrix; an error unless all lists are equally long and none is null."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
     if not len(column):
         return np.zeros((0, 0))
-    flat = np.asarray(column.flatten(), np.float64)
-    return flat.reshape(len(column), -1)
+    flat = column.flatten()
+    sizes = np.asarray(column.value_lengths().fill_null(-1))
+    if flat.null_count or (sizes != sizes[0]).any() or sizes[0] < 0:
+        raise ValueError("vectors of unequal lengths, or with nulls")
+    return np.asarray(flat, np.float64).reshape(len(column), -1)
 
 
 def learn_rotation(sample: np.ndarray, bits: int = BITS, rounds: int = 40, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
@@ -129,8 +132,7 @@ def nearest(
     ``share``: share of all rows within a query's radius, the knob between work and recall; a query
     whose task-local radius holds fewer than ``k`` rows takes all the task's rows. ``sample``: bound of
     the rows from which rotation and radii are learned. Null, zero and non-finite vectors and rows without vec_id take no part;
-    repeated rows are candidates as often as they come; vectors of other lengths than most are an error
-    of the input; empty tables give no rows.
+    repeated rows are candidates as often as they come; vectors of unequal lengths raise an error; empty tables give no rows.
     """
     spark = vectors.sparkSession
     rows = usable(vectors)
@@ -141,14 +143,16 @@ def nearest(
     asked = stored(usable(queries).distinct(), "queries")
     blocks = max(1, -(-asked.count() // query_block))
     parts = []
+    if len(learned):
+        mean, projection = learn_rotation(learned)
+        learned_codes = encode(learned[:4096], mean, projection)
     for block in range(blocks if len(learned) else 0):
         own = asked.where(F.pmod(F.xxhash64(F.lit(11), "vec_id"), F.lit(blocks)) == block).toArrow().sort_by("vec_id")
         if not own.num_rows:
             continue
         q_ids, q = np.asarray(own["vec_id"]), matrix(own["x"])
-        mean, projection = learn_rotation(learned)
         q_codes = encode(q, mean, projection)
-        reach = radii(q_codes, encode(learned[:4096], mean, projection), share)
+        reach = radii(q_codes, learned_codes, share)
         shared = spark.sparkContext.broadcast((q_ids, q, q_codes, reach, mean, projection))
 
         def answer(ids, x, shared=shared):

@@ -57,8 +57,9 @@ def mixed(
     docs: DataFrame, seed: int = 7, weight: Column | None = None, cycle: tuple[float, ...] = (1, 2, 3), most: float = 3.0,
     max_sources: int = 100_000,
 ) -> DataFrame:
-    """Mix ``docs(doc_id, text, source)``: all columns of ``docs`` without clashes, plus size,
-    source_size, target and taken (words the mix takes of the row, repeats counted).
+    """Mix ``docs(doc_id, text, source)``: all columns of ``docs``, plus size, source_size, target and taken (words
+    the mix takes of the row, repeats counted), which replace columns of these names; :func:`mixture` keeps any.
+    Other columns may not begin with an underscore.
 
     ``weight``: quality weight column (null or below 0.001 counts as 0.001), default :func:`text_weight`.
     The row in which a budget ends gives its first words only, so that a source's taken words equal its
@@ -108,6 +109,16 @@ def mixed(
     return both.select(*keep, "size", "source_size", "target", (F.col("_epochs") * F.col("size") + F.col("_part")).cast("long").alias("taken"))
 
 
+def mixture(docs: DataFrame, **settings) -> DataFrame:
+    """The rows of :func:`repeated_texts` of the mix of ``docs``, with all columns of ``docs`` whatever their names;
+    ``settings`` are those of :func:`mixed`."""
+    used = [c for c in docs.columns if c in ("doc_id", "text", "source", "n_chars")]
+    others = [c for c in docs.columns if c not in used]
+    rows = docs.select(*used, F.struct(*[F.col(f"`{c}`") for c in others]).alias("others")) if others else docs
+    mix = repeated_texts(mixed(rows, **settings))
+    return mix.select(*[F.col(c) if c in used else F.col("others").getField(c).alias(c) for c in docs.columns])
+
+
 def repeated_texts(mix: DataFrame) -> DataFrame:
     """The mix as rows: each document once per whole epoch, then its first words if it ends a budget.
     Columns of ``mix`` without size, source_size, target and taken, n_chars of cut texts their new length;

@@ -18,7 +18,7 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 _REMEMBERED = 300_000  # words whose scores a task remembers
@@ -147,14 +147,16 @@ class Model:
 def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) -> Model:
     """Learn ``labels(doc_id, quality)`` from the texts of ``docs(doc_id, text)``.
 
-    Rows with null labels or doc_ids, or labels other than 0 and 1, teach nothing; repeated rows
-    teach as often as they come. Without usable rows every document scores 0.5.
+    Rows with null labels or doc_ids, or labels other than 0 and 1, teach nothing; of rows that share a doc_id
+    one teaches, that with the smallest hash of its text, so that the sample stays within its bound however often
+    an id comes. Without usable rows every document scores 0.5.
     """
     fold = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(settings.folds))
     usable = labels.where(F.col("quality").isin(0, 1) & (fold != settings.held_out)).select("doc_id", F.col("quality").cast("int").alias("quality"))
     rank = F.xxhash64(F.lit(settings.seed), "doc_id")
-    chosen = usable.orderBy(rank, "doc_id").limit(settings.sample)
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    chosen = usable.distinct().orderBy(rank, "doc_id", "quality").limit(settings.sample)
+    copies = Window.partitionBy("doc_id", "quality").orderBy(F.xxhash64("text"), F.col("text").asc_nulls_first())
+    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").withColumn("copy", F.row_number().over(copies)).where("copy = 1")
 
     def digest(batches):
         for batch in batches:

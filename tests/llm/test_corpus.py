@@ -61,6 +61,57 @@ def test_mix_edges(spark, docs):
         mixing.mixed(docs(["a", "b"], ["p", "q"]), max_sources=1)
 
 
+def brute_mix(rows, seed_keys, weight):
+    """Words taken of each row: all rows of a source in the order of their keys, by plain Python."""
+    sizes = {}
+    for _, text, source in rows:
+        sizes[source] = sizes.get(source, 0) + len((text or "").split())
+    goal = {}
+    order = sorted(sizes, key=lambda s: (s is None, s or ""))
+    share, rest = {s: (1, 2, 3)[i % 3] for i, s in enumerate(order)}, sum(sizes.values())
+    while share:
+        full = [s for s in share if rest * share[s] / sum(share.values()) >= 3 * sizes[s]]
+        if not full:
+            goal |= {s: rest * w / sum(share.values()) for s, w in share.items()}
+            break
+        for s in full:
+            goal[s] = 3 * sizes[s]
+            del share[s]
+        rest = sum(sizes.values()) - sum(goal.values())
+    taken = {}
+    for s in order:
+        own = sorted((r for r in rows if r[2] == s), key=lambda r: -np.log(seed_keys[r[0]]) / weight[r[0]])
+        whole, left = divmod(int(goal[s]), sizes[s])
+        for i, text, _ in own:
+            n = len((text or "").split())
+            taken[i] = whole * n + min(n, left)
+            left -= min(n, left)
+    return taken
+
+
+def test_mix_equals_brute_force(spark, docs):
+    random = np.random.default_rng(5)
+    rows = [(i, "w " * int(random.integers(0, 40)), [None, "a", "b", "hot"][min(3, int(random.integers(0, 9)))]) for i in range(400)]
+    rows += [(400, "w " * 3, "tiny"), (401, None, "a")]
+    frame = docs([r[1] for r in rows], [r[2] for r in rows])
+    draws = {r["doc_id"]: r["u"] for r in frame.select("doc_id", ((F.pmod(F.xxhash64(F.lit(7), "doc_id"), F.lit(1 << 52)) + 0.5) / float(1 << 52)).alias("u")).collect()}
+    weight = {r[0]: 0.2 + r[0] % 5 for r in rows}
+    got = {r["doc_id"]: r["taken"] for r in mixing.mixed(frame, weight=F.lit(0.2) + F.col("doc_id") % 5).collect()}
+    assert got == brute_mix(rows, draws, weight)
+
+
+def test_mixture_keeps_columns_of_any_name(spark):
+    rows = [(i, "a b c d" if i else "w " * 1_000_000, "ab"[i % 2], 7, i, None, "t", i) for i in range(20)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, source string, size int, target long, taken string, _key string, others long")
+    out = mixing.mixture(frame)
+    assert out.columns == frame.columns
+    assert all(r["size"] == 7 and r["target"] == r["doc_id"] == r["others"] and r["_key"] == "t" for r in out.collect())
+    words = {r["source"]: r["n"] for r in out.groupBy("source").agg(F.sum(mixing.word_count(F.col("text"))).alias("n")).collect()}
+    want = {r["source"]: r["n"] for r in mixing.mixed(frame.select("doc_id", "text", "source")).groupBy("source").agg(F.sum("taken").alias("n")).collect()}
+    assert words == want
+    assert mixing.mixture(frame.limit(0)).count() == 0
+
+
 # ---------------------------------------------------------------- packing
 
 TOKENIZER = pytest.importorskip("public_tokenizers").path("word_bpe_49k.json")

@@ -283,3 +283,12 @@ def test_rotation_is_orthogonal():
     x = np.random.default_rng(0).standard_normal((500, 64))
     mean, p = hashed_search.learn_rotation(x)
     assert p.shape == (64, 64) and np.allclose(p.T @ p, np.eye(64), atol=1e-9)
+
+
+def test_unequal_vectors_are_refused():
+    import pyarrow as pa
+
+    for rows in ([[1.0, 2.0, 3.0], [1.0]], [[1.0, 2.0], None], [[1.0, None], [1.0, 2.0]]):
+        with pytest.raises(ValueError):
+            hashed_search.matrix(pa.array(rows, pa.list_(pa.float64())))
+    assert hashed_search.matrix(pa.array([[1.0, 2.0]] * 3, pa.list_(pa.float64())).slice(1, 2)).shape == (2, 2)

@@ -175,3 +175,38 @@ def test_quality_edges(spark, docs):
     rows = quality.scored(frame, quality.fit(frame, nothing)).collect()
     assert len(rows) == 4 and all(r["score"] == 0.5 and r["predicted"] == 1 for r in rows)
     assert quality.scored(frame.limit(0), quality.fit(frame, nothing)).count() == 0
+
+
+def test_an_id_that_repeats_teaches_once(spark, docs):
+    labels = spark.createDataFrame([(i, i % 2) for i in range(30)] * 2, "doc_id long, quality int")
+    texts = [f"good prose number {i}" if i % 2 else f"### junk {i} @@@" for i in range(30)]
+    small = quality.Settings(least_steps=500)
+    once, often = docs(texts), docs(texts + [texts[3]] * 500, ids=[*range(30), *[3] * 500])
+    a, b = (quality.scored(once, quality.fit(frame, labels, small)).orderBy("doc_id").toPandas() for frame in (once, often))
+    assert (a.score == b.score).all()
+
+
+def test_quality_of_very_long_texts(spark, docs):
+    texts = ["good prose " * 400_000, "x" * 3_000_000, "### @@@ " * 3]
+    labels = spark.createDataFrame([(0, 1), (2, 0)], "doc_id long, quality int")
+    frame = docs(texts)
+    rows = quality.scored(frame, quality.fit(frame, labels, quality.Settings(least_steps=200))).collect()
+    assert len(rows) == 3 and all(0 <= r["score"] <= 1 for r in rows)
+
+
+def brute_probability(text, model):
+    """Score of a text from the scores of its features, word by word."""
+    words = quality.words_of(text)
+    total = 0.0
+    for w in words:
+        ids, _ = quality.features([w], model.settings)
+        total += model.scores[ids].mean()
+    return 1 / (1 + np.exp(-(total / max(1, len(words)) + model.bias)))
+
+
+def test_quality_scores_equal_brute_force(spark):
+    d, labels = spark.read.parquet(SF + "/documents.parquet"), spark.read.parquet(SF + "/labels.parquet")
+    model = quality.fit(d, labels, quality.Settings(least_steps=500))
+    texts = {r["doc_id"]: r["text"] for r in d.collect()}
+    for r in quality.scored(d, model).collect():
+        assert abs(r["score"] - brute_probability(texts[r["doc_id"]], model)) < 1e-9
