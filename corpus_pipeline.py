@@ -32,7 +32,7 @@ def replace_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; the one in which a budget ends gives its first words."""
-    return mixing.repeated_texts(mixing.mixed(docs))
+    return mixing.mixture(docs)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,7 +48,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: No stage but the mix has a SQL form.
+#: The first three stages and the packing have no SQL form, so the rows of run() have none; tests compare with brute force.
 ORACLE_SQL = None
 
 
