@@ -28,7 +28,7 @@ TIERS = (512, 1024, 2048, LONG)
 END_ID = 2
 _END = np.array([END_ID], "<u2").tobytes()
 _WORDS, _RUNS_KEPT = 400_000, 700_000  # words and runs whose ids a worker remembers
-_KNOWN: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
+_KNOWN: dict[str, tuple[_Words, dict[str, bytes]]] = {}
 _PLAIN = regex.compile(r"[\x21-\x7E\u00C0-\u012F\u0131-\u024F]+")
 # Fixed value: the runs on which the tokenizer file's pre-tokenizer works.
 _RUNS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
@@ -43,6 +43,7 @@ def _byte_signs() -> dict[int, int]:
 
 
 _BYTE_SIGNS = _byte_signs()
+_PAIRS = [i.to_bytes(2, "little") for i in range(1 << 16)]
 
 PIECE = pa.schema(
     [("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64())]
@@ -51,6 +52,14 @@ PIECE = pa.schema(
 PIECE_DDL = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
 
 
+class _Words(dict):
+    """Ids by word; a word that is not known is asked for once."""
+
+    def __missing__(self, word: bytes) -> bytes:
+        known = self[word] = self.ask(word)
+        return known
+
+
 class WordTokenizer:
     """Ids of whole texts by a public byte-level BPE tokenizer file whose pieces never cross white space.
 
@@ -65,33 +74,37 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.special = [t.content.encode() for t in self.library.get_added_tokens_decoder().values()]
+        special = [t.content.encode() for t in self.library.get_added_tokens_decoder().values()]
+        self.special = regex.compile(b"|".join(map(regex.escape, special)) if special else rb"(?!)")
         self.model = self.library.model
         if self.library.get_vocab_size() >= 1 << 16:
             raise ValueError("ids must fit 16 bits")
-        self.words, self.runs = _KNOWN.setdefault(path, ({}, {}))
+        self.words, self.runs = _KNOWN.setdefault(path, (_Words(), {}))
+        self.words.ask = self._word
 
-    def _run(self, run: bytes) -> bytes:
+    def _run(self, run: str) -> bytes:
         known = self.runs.get(run)
         if known is None:
-            tokens = self.model.tokenize(run.decode("latin-1").translate(_BYTE_SIGNS))
-            known = self.runs[run] = array.array("H", [t.id for t in tokens]).tobytes()
+            signs = run if run.isascii() else run.encode().decode("latin-1").translate(_BYTE_SIGNS)
+            known = self.runs[run] = b"".join([_PAIRS[t.id] for t in self.model.tokenize(signs)])
         return known
 
     def _word(self, word: bytes) -> bytes:
         if word.isalpha():
-            return self._run(word.lower())
+            return self._run(word.lower().decode())
         if word[:-1].isalpha() and word[-1] < 128:
             if not word[-1:].isdigit():
-                return self._run(word[:-1].lower()) + self._run(word[-1:])
+                text = word.lower().decode()
+                return self._run(text[:-1]) + self._run(text[-1])
         text = word.decode("utf-8")
-        if not _PLAIN.fullmatch(text) or any(t in word for t in self.special):
+        if not _PLAIN.fullmatch(text) or self.special.search(word):
             ids = self.library.encode(text, add_special_tokens=False).ids
             return array.array("H", ids).tobytes()
         text = text.lower()
         if text.isalpha():
-            return self._run(text.encode())
-        return b"".join([self._run(r.encode()) for r in _RUNS.findall(text)])
+            return self._run(text)
+        known, run = self.runs.get, self._run
+        return b"".join([known(r) or run(r) for r in _RUNS.findall(text)])
 
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
         split = [t.encode("utf-8").split() for t in texts]
@@ -100,8 +113,6 @@ class WordTokenizer:
             words.clear()
         if len(self.runs) > _RUNS_KEPT:
             self.runs.clear()
-        for w in set().union(*split).difference(words):
-            words[w] = self._word(w)
         get = words.__getitem__
         return [np.frombuffer(b"".join(map(get, own)) + _END, "<u2").astype("<u4") for own in split]
 

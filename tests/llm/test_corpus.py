@@ -148,6 +148,16 @@ def check_pieces(rows, texts):
     assert (lengths <= 4096).all() and all(n & (n - 1) == 0 for n in lengths)
 
 
+def test_unknown_words_are_encoded_by_lookup():
+    """Texts are looked up word by word; a word is encoded once, when it is met first."""
+    own, asked = packing.WordTokenizer(TOKENIZER), []
+    own.words.clear()
+    encode = own.words.ask
+    own.words.ask = lambda w: asked.append(w) or encode(w)
+    assert own(["new words new", "words new more"])[1].tolist() == whole_ids("words new more").tolist()
+    assert asked == [b"new", b"words", b"more"]
+
+
 def test_strings_of_special_tokens_encode_as_the_library_does():
     from tokenizers import Tokenizer
 
