@@ -49,16 +49,16 @@ def fingerprint(text: str | None, shingle: int = 4) -> int:
     return value
 
 
-def with_fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
-    """(doc_id, fp) of every row; fp is the fingerprint's 64 bits as a signed long."""
+def with_fingerprints(docs: DataFrame, shingle: int = 4, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, fp) of every row, and its columns ``keys`` (longs); fp is the fingerprint's 64 bits as a signed long."""
 
     def run(batches):
         for batch in batches:
             texts = batch.column("text")
             values = np.array([fingerprint(texts[i].as_py(), shingle) for i in range(batch.num_rows)], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(values.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(values.view(np.int64)), *(batch.column(k) for k in keys)], ["doc_id", "fp", *keys])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *keys).mapInArrow(run, ", ".join(f"{c} long" for c in ("doc_id", "fp", *keys)))
 
 
 # ---------------------------------------------------------------- links under one key
@@ -227,6 +227,14 @@ def near_duplicate_groups(docs: DataFrame, shingle: int = 4) -> DataFrame:
     )
 
 
+def fingerprint_groups(docs: DataFrame) -> DataFrame:
+    """(doc_id, k1, k2, component) of every row, as :func:`similar_groups` gives them, by fingerprints that link."""
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *row_key(), "text")
+    prints = stored(with_fingerprints(keyed, keys=("k1", "k2")), "prints")
+    parts = connected_components(fingerprint_links(prints.select("fp").distinct()))
+    return prints.join(parts, prints.fp == parts.node, "left").select("doc_id", "k1", "k2", F.coalesce("component", "fp").alias("component"))
+
+
 # ---------------------------------------------------------------- by similarity of shingle sets
 
 WIDE_WORDS = 8  # 64-bit words of a wide fingerprint
@@ -481,12 +489,13 @@ def row_key() -> list:
     return [F.xxhash64("text", F.col("doc_id").cast("long")).alias("k1"), F.xxhash64(F.lit(_SEED), F.col("doc_id").cast("long"), F.lit("|"), F.reverse("text")).alias("k2")]
 
 
-def deduplicated(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """The documents without near-copies: of each group of :func:`similar_groups` the row with the smallest doc_id
-    stays (rows without one come last; one of rows that repeat). All columns of ``docs`` are kept; ``_k1`` and
+def deduplicated(docs: DataFrame, similarity: float | None = 0.8) -> DataFrame:
+    """The documents without near-copies: of each group of :func:`similar_groups` (without a similarity: of fingerprints
+    that link, as in :func:`near_duplicate_groups`) the row with the smallest doc_id stays (rows without one come last;
+    one of rows that repeat). All columns of ``docs`` are kept; ``_k1`` and
     ``_k2`` may not be among them."""
     whole = stored(docs, "docs")
-    groups = stored(similar_groups(whole, similarity), "groups")
+    groups = stored(fingerprint_groups(whole) if similarity is None else similar_groups(whole, similarity), "groups")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k1", "k2")).alias("head")
     heads = groups.groupBy("component").agg(first, F.count("*").alias("n")).where("n > 1").select("component", "head")
     members = groups.join(heads, "component")
