@@ -3,7 +3,7 @@
 A word's vector is the mean of the vectors of its features: the hashed word itself and its hashed
 character n-grams. A document's vector is the mean over its words, and a linear softmax layer gives
 the label's probability. Vectors and layer are trained by numpy stochastic gradient descent on a
-bounded sample of labelled rows; every document is scored, over its whole text.
+bounded sample of labelled rows, in one task; every document is scored, over its whole text.
 
 Since the output is linear in the averaged vectors, a trained model is one number per feature, and
 scoring a word is a look-up of its remembered sum.
@@ -158,28 +158,23 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) ->
     copies = Window.partitionBy("doc_id", "quality").orderBy(F.xxhash64("text"), F.col("text").asc_nulls_first())
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").withColumn("copy", F.row_number().over(copies)).where("copy = 1")
 
-    def digest(batches):
+    def learned(batches):
+        rows = []
         for batch in batches:
             texts = batch.column("text")
-            bags = [bag(texts[i].as_py(), settings) for i in range(batch.num_rows)]
-            yield pa.RecordBatch.from_pydict(
-                {
-                    "doc_id": batch.column("doc_id"), "quality": batch.column("quality"),
-                    "ids": [b[0].astype("<i4").tobytes() for b in bags], "weights": [b[1].astype("<f4").tobytes() for b in bags],
-                },
-                schema=pa.schema([("doc_id", pa.int64()), ("quality", pa.int32()), ("ids", pa.binary()), ("weights", pa.binary())]),
-            )
-
-    rows = sample.select(F.col("doc_id").cast("long").alias("doc_id"), "quality", "text").mapInArrow(digest, "doc_id long, quality int, ids binary, weights binary").toArrow()
-    ids, weights = rows["ids"], rows["weights"]  # read in place: the sample is held once
-    order = sorted(range(rows.num_rows), key=lambda i: (rows["doc_id"][i].as_py(), zlib.crc32(ids[i].as_buffer())))
-
-    def in_place(column: pa.ChunkedArray, i: int, kind: str) -> np.ndarray:
-        body = column[i].as_buffer()
-        return np.frombuffer(body, kind) if body.size else np.zeros(0, kind)
-
-    bags = [(in_place(ids, i, "<i4"), in_place(weights, i, "<f4")) for i in order]
-    return Model(*train(bags, np.array([rows["quality"][i].as_py() for i in order], int), settings), settings)
+            for i, (doc, quality) in enumerate(zip(batch.column("doc_id").to_pylist(), batch.column("quality").to_pylist(), strict=True)):
+                ids, weights = bag(texts[i].as_py(), settings)
+                ids = ids.astype("<i4")
+                rows.append((doc, zlib.crc32(ids.tobytes()), ids, weights, quality))
+        rows.sort(key=operator.itemgetter(0, 1))
+        scores, bias = train([r[2:4] for r in rows], np.array([r[4] for r in rows], int), settings)
+        yield pa.RecordBatch.from_pydict({"scores": [scores.astype("<f8").tobytes()], "bias": [bias]}, schema=pa.schema([("scores", pa.binary()), ("bias", pa.float64())]))
+
+    # one task reads the sample and trains; the driver gets one number per feature
+    taught = sample.select(F.col("doc_id").cast("long").alias("doc_id"), "quality", "text").repartition(1).mapInArrow(learned, "scores binary, bias double").collect()
+    if not taught:
+        return Model(*train([], np.zeros(0, int), settings), settings)
+    return Model(np.frombuffer(taught[0]["scores"], "<f8"), taught[0]["bias"], settings)
 
 
 def scored(docs: DataFrame, model: Model) -> DataFrame:

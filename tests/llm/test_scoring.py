@@ -4,6 +4,7 @@ import math
 import zlib
 
 import numpy as np
+import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -210,3 +211,14 @@ def test_quality_scores_equal_brute_force(spark):
     texts = {r["doc_id"]: r["text"] for r in d.collect()}
     for r in quality.scored(d, model).collect():
         assert abs(r["score"] - brute_probability(texts[r["doc_id"]], model)) < 1e-9
+
+
+def test_training_sample_stays_off_the_driver(spark, monkeypatch):
+    """The sample is read and learned from in one task: no table of texts or features comes to the driver."""
+    from pyspark.sql import DataFrame
+
+    docs = spark.createDataFrame([(i, f"word{i} good text") for i in range(50)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(50)], "doc_id long, quality int")
+    monkeypatch.setattr(DataFrame, "toArrow", lambda self: pytest.fail("a table came to the driver"))
+    model = quality.fit(docs, labels, quality.Settings(least_steps=500))
+    assert len(model.scores) == model.settings.buckets and model.scores.any()
