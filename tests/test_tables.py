@@ -49,3 +49,9 @@ def test_traffic_leaves_out_loops_and_missing_keys(spark):
     rows = spark.createDataFrame([(1, 2), (22, 1), (3, 23), (None, 4), (5, None)], "a long, b long")
     assert [tuple(r) for r in topology.traffic(rows, "a", "b", 20).collect()] == [(1, 2, 2)]
     assert topology.traffic(rows.limit(0), "a", "b", 20).count() == 0
+
+
+def test_graph_sets_compare_drawn_networks(spark):
+    e, f = drawn(spark), drawn(spark, 0.5)
+    got = {r["part"]: r["n"] for r in queries.queries()["graph_sets"](spark, SF).collect()}
+    assert got == {"both": len(e & f), "only_dense": len(f - e), "either": len(e | f)}
