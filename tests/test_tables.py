@@ -55,3 +55,10 @@ def test_graph_sets_compare_drawn_networks(spark):
     e, f = drawn(spark), drawn(spark, 0.5)
     got = {r["part"]: r["n"] for r in queries.queries()["graph_sets"](spark, SF).collect()}
     assert got == {"both": len(e & f), "only_dense": len(f - e), "either": len(e | f)}
+
+
+def test_messages_per_node_follow_the_drawn_network(spark, changed):
+    degree = np.bincount(np.array(sorted(drawn(spark))).ravel(), minlength=20)
+    rows = queries.queries()["messages_per_node"](spark, SF).where("graph = 'random' and rule = '2t+1'").collect()
+    assert {r["node"]: r["sends"] for r in rows} == {i: 9375 * int(g) for i, g in enumerate(degree) if g}
+    assert differs(spark, changed, "messages_per_node")
