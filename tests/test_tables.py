@@ -62,3 +62,9 @@ def test_messages_per_node_follow_the_drawn_network(spark, changed):
     rows = queries.queries()["messages_per_node"](spark, SF).where("graph = 'random' and rule = '2t+1'").collect()
     assert {r["node"]: r["sends"] for r in rows} == {i: 9375 * int(g) for i, g in enumerate(degree) if g}
     assert differs(spark, changed, "messages_per_node")
+
+
+def test_message_report_follows_the_drawn_network(spark):
+    degree = np.bincount(np.array(sorted(drawn(spark))).ravel(), minlength=20)
+    row = queries.queries()["message_report"](spark, SF).where("graph = 'random' and rule = '50'").first()
+    assert row["n"] == (degree > 0).sum() and row["sends"] == pytest.approx(10_000 * degree[degree > 0].mean(), abs=1e-4)
