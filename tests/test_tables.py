@@ -68,3 +68,19 @@ def test_message_report_follows_the_drawn_network(spark):
     degree = np.bincount(np.array(sorted(drawn(spark))).ravel(), minlength=20)
     row = queries.queries()["message_report"](spark, SF).where("graph = 'random' and rule = '50'").first()
     assert row["n"] == (degree > 0).sum() and row["sends"] == pytest.approx(10_000 * degree[degree > 0].mean(), abs=1e-4)
+
+
+def weights(spark):
+    edges = drawn(spark)
+    degree = np.bincount(np.array(sorted(edges)).ravel(), minlength=20)
+    w = np.zeros((20, 20))
+    for i, j in edges:
+        w[i, j] = w[j, i] = 1 / max(degree[i], degree[j])
+    return w + np.diag(1 - w.sum(1))
+
+
+def test_weights_follow_the_drawn_network(spark):
+    w, got = weights(spark), np.zeros((20, 20))
+    for r in queries.queries()["local_degree_weights"](spark, SF).collect():
+        got[r["src"], r["dst"]] = r["w"]
+    assert np.allclose(got, w, atol=1e-6)
