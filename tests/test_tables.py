@@ -84,3 +84,10 @@ def test_weights_follow_the_drawn_network(spark):
     for r in queries.queries()["local_degree_weights"](spark, SF).collect():
         got[r["src"], r["dst"]] = r["w"]
     assert np.allclose(got, w, atol=1e-6)
+
+
+def test_weight_sums_read_lineitem(spark):
+    run = queries.queries()["weight_sums"]
+    assert [tuple(r) for r in run(spark, SF).orderBy("node").collect()] == [(i, 1.0, 1.0) for i in range(20)]
+    with pytest.raises(Exception, match="lineitem"):
+        run(spark, SF + "/missing").collect()
