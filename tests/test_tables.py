@@ -91,3 +91,10 @@ def test_weight_sums_read_lineitem(spark):
     assert [tuple(r) for r in run(spark, SF).orderBy("node").collect()] == [(i, 1.0, 1.0) for i in range(20)]
     with pytest.raises(Exception, match="lineitem"):
         run(spark, SF + "/missing").collect()
+
+
+def test_anchor_entries_follow_the_drawn_network(spark, changed):
+    got = {r["node"]: (r["anchor"], r["unreached"]) for r in queries.queries()["anchor_entries"](spark, SF).collect()}
+    column = np.linalg.matrix_power(weights(spark), 2)[:, 0]
+    assert all(got[i] == (pytest.approx(column[i], abs=1e-6), column[i] < 1e-12) for i in range(20)) and len(got) == 20
+    assert differs(spark, changed, "anchor_entries")
