@@ -98,3 +98,10 @@ def test_anchor_entries_follow_the_drawn_network(spark, changed):
     column = np.linalg.matrix_power(weights(spark), 2)[:, 0]
     assert all(got[i] == (pytest.approx(column[i], abs=1e-6), column[i] < 1e-12) for i in range(20)) and len(got) == 20
     assert differs(spark, changed, "anchor_entries")
+
+
+def test_schedule_has_a_step_per_day_with_orders(spark):
+    days = sorted(r[0] for r in load_table(spark, SF, "orders").select("o_orderdate").distinct().collect())
+    rows = queries.queries()["schedule_rounds"](spark, SF).where("rule = 't+1'").orderBy("t").collect()
+    assert [r["rounds"] for r in rows] == rounds(RULES["t+1"], len(days)) and rows[-1]["inner_total"] == sum(rounds(RULES["t+1"], len(days)))
+    assert sum(r["orders"] for r in rows) == load_table(spark, SF, "orders").count()
