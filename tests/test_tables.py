@@ -105,3 +105,14 @@ def test_schedule_has_a_step_per_day_with_orders(spark):
     rows = queries.queries()["schedule_rounds"](spark, SF).where("rule = 't+1'").orderBy("t").collect()
     assert [r["rounds"] for r in rows] == rounds(RULES["t+1"], len(days)) and rows[-1]["inner_total"] == sum(rounds(RULES["t+1"], len(days)))
     assert sum(r["orders"] for r in rows) == load_table(spark, SF, "orders").count()
+
+
+def test_straggler_time_waits_for_the_busiest_node(spark):
+    from collections import Counter
+
+    rows = load_table(spark, SF, "orders").select("o_orderdate", "o_custkey").collect()
+    at = {d: t for t, d in enumerate(sorted({r[0] for r in rows}))}
+    busy = Counter((at[r[0]], r[1] % 10) for r in rows)
+    most = {t: max(busy[t, n] for n in range(10)) for t in range(min(200, len(at)))}
+    got = {r["rule"]: r["makespan_s"] for r in queries.queries()["straggler_time"](spark, SF).collect()}
+    assert got == {k: pytest.approx(sum(RULES[k].at(t) * m for t, m in most.items()) * 0.01, abs=1e-4) for k in ("2t+1", "50")}
