@@ -116,3 +116,9 @@ def test_straggler_time_waits_for_the_busiest_node(spark):
     most = {t: max(busy[t, n] for n in range(10)) for t in range(min(200, len(at)))}
     got = {r["rule"]: r["makespan_s"] for r in queries.queries()["straggler_time"](spark, SF).collect()}
     assert got == {k: pytest.approx(sum(RULES[k].at(t) * m for t, m in most.items()) * 0.01, abs=1e-4) for k in ("2t+1", "50")}
+
+
+def test_star_messages_of_customers_and_orders(spark):
+    keys = [r[0] for r in load_table(spark, SF, "orders").select("o_custkey").collect()]
+    got = {r["role"]: (r["nodes"], r["sends"]) for r in queries.queries()["star_messages"](spark, SF).collect()}
+    assert got == {"centre": (len(set(keys)), pytest.approx(9375 * len(keys) / len(set(keys)), abs=1e-4)), "edge": (len(keys), 9375.0)}
