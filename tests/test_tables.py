@@ -122,3 +122,11 @@ def test_star_messages_of_customers_and_orders(spark):
     keys = [r[0] for r in load_table(spark, SF, "orders").select("o_custkey").collect()]
     got = {r["role"]: (r["nodes"], r["sends"]) for r in queries.queries()["star_messages"](spark, SF).collect()}
     assert got == {"centre": (len(set(keys)), pytest.approx(9375 * len(keys) / len(set(keys)), abs=1e-4)), "edge": (len(keys), 9375.0)}
+
+
+def test_lateral_schedule_has_a_step_per_order(spark):
+    from collections import Counter
+
+    k = Counter(r[0] for r in load_table(spark, SF, "orders").select("o_custkey").collect())
+    got = sorted(tuple(r) for r in queries.queries()["lateral_schedule"](spark, SF).collect())
+    assert got == sorted((c, t) for c, n in k.items() for t in range(n))
