@@ -130,3 +130,13 @@ def test_lateral_schedule_has_a_step_per_order(spark):
     k = Counter(r[0] for r in load_table(spark, SF, "orders").select("o_custkey").collect())
     got = sorted(tuple(r) for r in queries.queries()["lateral_schedule"](spark, SF).collect())
     assert got == sorted((c, t) for c, n in k.items() for t in range(n))
+
+
+def test_published_messages_follow_drawn_networks(spark, changed):
+    rows = {(r["tab"], r["config"], r["rule"]): r for r in queries.queries()["published_messages"](spark, SF).collect()}
+    assert len(rows) == len(queries.PUBLISHED)
+    for at, (n, p, seed) in queries.NETWORKS.items():
+        row = rows[(*at, "2t+1")]
+        assert row["degree"] == pytest.approx(2 * len(drawn(spark, p, n, seed)) / n, abs=1e-6)
+        assert row["p2p_k"] == pytest.approx(row["degree"] * sum(rounds(RULES["2t+1"], row["outer_steps"])) / 1000, abs=1e-3)
+    assert differs(spark, changed, "published_messages")
